@@ -49,6 +49,15 @@ def unpack(data: bytes) -> tuple[np.ndarray, ...]:
     return pickle.loads(zstandard.decompress(bytes(data)))
 
 
+def planes(x: np.ndarray) -> np.ndarray:
+    """Four-byte values by byte, so that the even bytes compress well."""
+    return np.ascontiguousarray(x.view(np.uint8).reshape(-1, 4).T)
+
+
+def joined(x: np.ndarray, kind) -> np.ndarray:
+    return np.ascontiguousarray(x.T).view(kind).ravel()
+
+
 def small(x: np.ndarray) -> np.ndarray:
     """The same counts in the least bytes each."""
     top = int(x.max()) if len(x) else 0
@@ -92,11 +101,14 @@ class Chunk:
         place = np.empty(len(order), np.int32)
         place[order] = np.arange(len(order))
         lengths = np.array([len(s) + 1 for s in self.streams])
+        self.numbers.clear()
         end = np.zeros(1, np.int32)
-        stream = place[np.concatenate([x for s in self.streams for x in (s, end)])]
+        spoken = np.concatenate([x for s in self.streams for x in (s, end)])
+        self.streams.clear()
+        stream = place[spoken]
         held = np.array(self.held)
         ids = pa.array(self.ids, pa.int64())
-        yield -1, chunk, pack(ids.fill_null(0).to_numpy(zero_copy_only=False), np.array([i is None for i in self.ids]), held, lengths, stream, contexts[order], np.array([place[0]]))
+        yield -1, chunk, pack(ids.fill_null(0).to_numpy(zero_copy_only=False), np.array([i is None for i in self.ids]), held, lengths, planes(spoken), place, contexts[order])
         keys = pair_keys(stream, contexts[order], place[0])
         keys = np.sort(keys << np.uint64(1) | np.repeat(held, lengths).astype(np.uint64))
         learn = (keys & np.uint64(1)) == 0
@@ -173,71 +185,74 @@ def merge(blobs: list[bytes]):
 
 
 class Floor:
-    """The seating of one level: for each (restaurant, dish) the sizes of the tables that serve it."""
+    """The seating of one level: for each (restaurant, dish) the sizes of the tables that serve it.
+
+    Dishes of one customer have one table and are not kept; the others lie in
+    blocks (rows, sizes by table and row), of few tables where the customers are few.
+    """
 
-    def __init__(self, customers: np.ndarray, discount: float, strength: float):
+    def __init__(self, customers: np.ndarray, discount: float, strength: float, widths: tuple[int, ...] = (TABLES,)):
         self.customers, self.discount, self.strength = customers.copy(), discount, strength
         self.tables = np.ones(len(customers), np.int64)
-        self.busy = np.flatnonzero(customers > 1)
-        self._open()
-
-    def _open(self):
-        self.sizes = np.zeros((len(self.busy), TABLES), np.float64)
-        self.sizes[:, 0] = self.customers[self.busy]
+        self.blocks = []
+        least = 2
+        for width in widths:
+            rows = np.flatnonzero((customers >= least) & ((customers <= width) | (width == widths[-1])))
+            self.blocks.append([rows, self._open(customers[rows], width)])
+            least = width + 1
+
+    @staticmethod
+    def _open(customers: np.ndarray, width: int) -> np.ndarray:
+        sizes = np.zeros((width, len(customers)))
+        sizes[0] = customers
+        return sizes
 
     def follow(self, customers: np.ndarray, rng) -> None:
-        """Customers that came or went since: they join or leave the table of a random customer, a last customer stays."""
-        change = customers - self.customers
+        """Customers that came or went since: they join or leave the table of a random customer, a last customer stays. For floors of one block."""
+        (rows, sizes), change = self.blocks[0], customers - self.customers
+        self.customers = customers.copy()
         idle = np.ones(len(customers), bool)
-        idle[self.busy] = False
+        idle[rows] = False
+        moved = np.flatnonzero(change[rows])
+        if len(moved):
+            own = sizes[:, moved]
+            at, n = _pick(own, rng), np.arange(len(moved))
+            own[at, n] = np.maximum(own[at, n] + change[rows[moved]], 0)
+            own[own.argmax(axis=0), n] += customers[rows[moved]] - own.sum(axis=0)
+            wrong = (own < 0).any(axis=0)
+            own[:, wrong] = self._open(customers[rows[moved[wrong]]], len(own))
+            sizes[:, moved] = own
         fresh = np.flatnonzero(idle & (customers > 1))
-        self.customers = customers.copy()
         if len(fresh):
-            old, rows = self.sizes, np.concatenate([self.busy, fresh])
-            order = np.argsort(rows, kind="stable")
-            grown = np.zeros((len(rows), TABLES))
-            grown[: len(old)] = old
-            grown[len(old) :, 0] = customers[fresh]
-            self.busy, self.sizes = rows[order], grown[order]
-            change[fresh] = 0
-        delta = change[self.busy]
-        rows = np.flatnonzero(delta)
-        if len(rows):
-            at = _pick(self.sizes[rows], rng)
-            after = np.maximum(self.sizes[rows, at] + delta[rows], 0)
-            self.sizes[rows, at] = after
-            gap = customers[self.busy[rows]] - self.sizes[rows].sum(axis=1)
-            self.sizes[rows, self.sizes[rows].argmax(axis=1)] += gap
-            wrong = rows[(self.sizes[rows] < 0).any(axis=1)]
-            self.sizes[wrong] = 0
-            self.sizes[wrong, 0] = customers[self.busy[wrong]]
-        self.tables[self.busy] = np.count_nonzero(self.sizes, axis=1)
-
-    def sweep(self, parent: np.ndarray, totals: np.ndarray, moves: int, rng) -> None:
+            rows, sizes = np.concatenate([rows, fresh]), np.concatenate([sizes, self._open(customers[fresh], len(sizes))], axis=1)
+        self.blocks[0] = [rows, sizes]
+        self.tables[rows] = np.count_nonzero(sizes, axis=0)
+
+    def sweep(self, parent: np.ndarray, totals: np.ndarray, moves: int, rng, piece: int = 1 << 15) -> None:
         """Gibbs: take a random customer of each dish with two or more away and seat it anew.
 
         parent: the dish's probability in the parent restaurant; totals: the restaurant's tables, for each row.
         """
-        if not len(self.busy):
-            return
-        rows = np.arange(len(self.busy))
-        fresh = (self.strength + self.discount * totals[self.busy]) * parent[self.busy]
-        for _ in range(moves):
-            self.sizes[rows, _pick(self.sizes, rng)] -= 1
-            weight = np.maximum(self.sizes - self.discount, 0)
-            full = (self.sizes > 0).all(axis=1)
-            seated = weight.sum(axis=1)
-            alone = rng.random(len(rows)) * (seated + np.where(full, 0, fresh)) >= seated
-            at = np.where(alone, (self.sizes == 0).argmax(axis=1), _pick(weight, rng))
-            self.sizes[rows, at] += 1
-        self.tables[self.busy] = np.count_nonzero(self.sizes, axis=1)
+        for rows, sizes in self.blocks:
+            for at in range(0, len(rows), piece):
+                own, part = rows[at : at + piece], np.ascontiguousarray(sizes[:, at : at + piece])
+                fresh, n = (self.strength + self.discount * totals[own]) * parent[own], np.arange(len(own))
+                for _ in range(moves):
+                    part[_pick(part, rng), n] -= 1
+                    weight = np.maximum(part - self.discount, 0)
+                    seated = np.cumsum(weight, axis=0)
+                    draw = rng.random(len(own)) * (seated[-1] + np.where((part > 0).all(axis=0), 0, fresh))
+                    again = np.minimum((seated <= draw).sum(axis=0), len(part) - 1)
+                    part[np.where(draw >= seated[-1], (part == 0).argmax(axis=0), again), n] += 1
+                sizes[:, at : at + piece] = part
+                self.tables[own] = np.count_nonzero(part, axis=0)
 
 
 def _pick(weight: np.ndarray, rng) -> np.ndarray:
-    """A column for each row, in proportion to the weights."""
-    total = np.cumsum(weight, axis=1)
-    draw = rng.random(len(weight)) * total[:, -1]
-    return np.minimum((total <= draw[:, None]).sum(axis=1), weight.shape[1] - 1)
+    """A row for each column, in proportion to the weights."""
+    total = np.cumsum(weight, axis=0)
+    draw = rng.random(weight.shape[1]) * total[-1]
+    return np.minimum((total <= draw).sum(axis=0), len(weight) - 1)
 
 
 def groups(word: np.ndarray, context: np.ndarray):
@@ -276,7 +291,7 @@ def sample_bucket(table, model: Model, samples: int, burn: int, moves: int, seed
     known, word, context, count = table
     rng = np.random.default_rng(seed)
     row, up_word, up_parent, first = groups(word, context)
-    low = Floor(count, DISCOUNTS[0], STRENGTHS[0])
+    low = Floor(count, DISCOUNTS[0], STRENGTHS[0], (2, 4, TABLES))
     mid_customers = np.add.reduceat(low.tables, first) if len(first) else np.empty(0, np.int64)
     mid = Floor(mid_customers, DISCOUNTS[1], STRENGTHS[1])
     top_first = np.flatnonzero(np.concatenate([[True], up_word[1:] != up_word[:-1]])) if len(up_word) else np.empty(0, np.int64)
@@ -311,33 +326,51 @@ def as_model(total: np.ndarray) -> tuple[Model, int]:
     return Model(total[: at[0]], total[at[0] : at[1]], total[at[1] : at[2]], total[at[2]], int(total[at[2] + 1])), int(total[at[2] + 2])
 
 
-def answer(data: bytes, table, seatings, models: list[Model]):
-    """(log10 probability of each pair, training count of each word) for one chunk's blob."""
-    known, word, context, count = table
-    hashes, each, u, _ = unpack(data)
-    row, up_word, up_parent, first = groups(word, context)
-    n_known = len(known)
-    w = np.searchsorted(known, hashes)
-    w = np.where((w < n_known) & (known[np.minimum(w, max(0, n_known - 1))] == hashes), w, -1) if n_known else np.full(len(hashes), -1)
-    pair_w, u = np.repeat(w, each), u.astype(np.int64)
-    s = u // FANOUT
-    low_at, mid_at = _find(word << 16 | context.astype(np.int64), pair_w << 16 | u), _find(up_word << 10 | up_parent, pair_w << 10 | s)
-    take = lambda x, at: np.where(at >= 0, x[np.maximum(at, 0)], 0) if len(x) else np.zeros(len(at))
-    total = np.zeros(len(u))
-    for (low, mid, top), m in zip(seatings, models):
-        mid_customers = np.add.reduceat(low, first, dtype=np.int64) if len(first) else low
-        top_customers = np.bincount(up_word, mid, n_known)
-        p = m.root(take(top_customers, pair_w), take(top, pair_w))
-        p = m.parent(s, take(mid_customers, mid_at), take(mid, mid_at), p)
-        total += m.context(u, take(count, low_at), take(low, low_at), p)
-    return np.log10(total / max(1, len(models))).astype(np.float32), small(take(np.bincount(word, count, n_known), w).astype(np.int64))
+class Answers:
+    """A bucket's predictive probabilities, averaged over the samples: of each pair it knows, and the parts of all others."""
+
+    def __init__(self, table, seatings, models: list[Model]):
+        self.known, word, context, count = table
+        self.models = models
+        row, up_word, up_parent, first = groups(word, context)
+        self.pair_keys, self.up_keys = word << 16 | context.astype(np.int64), up_word << 10 | up_parent
+        self.counts = np.bincount(word, count, len(self.known)).astype(np.int64)
+        u = context.astype(np.int64)
+        self.pairs, self.roots, self.parents = np.zeros(len(word)), [], []
+        for (low, mid, top), m in zip(seatings, models):
+            root = m.root(np.bincount(up_word, mid, len(self.known)), top)
+            parent = m.parent(up_parent, np.add.reduceat(low, first, dtype=np.int64) if len(first) else low, mid, root[up_word])
+            self.pairs += m.context(u, count, low, parent[row]) / len(models)
+            self.roots.append(root)
+            self.parents.append(parent)
+
+    def __call__(self, data: bytes) -> tuple[np.ndarray, np.ndarray]:
+        """(log10 probability of each pair, training count of each word) for one chunk's blob."""
+        hashes, each, u, _ = unpack(data)
+        word = _find(self.known, hashes)
+        pair_word, u = np.repeat(word, each), u.astype(np.int64)
+        at = _find(self.pair_keys, np.where(pair_word < 0, -1, pair_word << 16 | u))
+        p = self.pairs[at] if len(self.pairs) else np.zeros(len(u))
+        new = np.flatnonzero(at < 0)
+        if len(new):
+            w, c = pair_word[new], u[new]
+            s = c // FANOUT
+            up = _find(self.up_keys, np.where(w < 0, -1, w << 10 | s))
+            total = np.zeros(len(new))
+            for m, root, parent in zip(self.models, self.roots, self.parents):
+                below = np.where(w >= 0, root[w], m.root(0, 0)) if len(root) else np.full(len(w), m.root(0, 0))
+                below = np.where(up >= 0, parent[up], m.parent(s, 0, 0, below)) if len(parent) else m.parent(s, 0, 0, below)
+                total += m.context(c, 0, 0, below)
+            p[new] = total / len(self.models)
+        counts = np.where(word >= 0, self.counts[word], 0) if len(self.counts) else np.zeros(len(word), np.int64)
+        return np.log10(p).astype(np.float32), small(counts)
 
 
 def _find(known: np.ndarray, asked: np.ndarray) -> np.ndarray:
     if not len(known):
         return np.full(len(asked), -1)
     at = np.minimum(np.searchsorted(known, asked), len(known) - 1)
-    return np.where((known[at] == asked) & (asked >= 0), at, -1)
+    return np.where(known[at] == asked, at, -1)
 
 
 # -- the distributed whole ------------------------------------------------
@@ -359,7 +392,7 @@ def _summed(totals: DataFrame, buckets: int) -> np.ndarray:
     return np.sum([unpack(r["data"])[0] for r in parts], axis=0) if parts else np.zeros(2 * CONTEXTS + PARENTS + 3)
 
 
-def score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, chunk_bytes: int = 16 << 20, bucket_bytes: int = 24 << 20, samples: int = 2, burn: int = 2, moves: int = 3, seed: int = 42) -> DataFrame:
+def score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, chunk_bytes: int = 12 << 20, bucket_bytes: int = 12 << 20, samples: int = 2, burn: int = 2, moves: int = 3, seed: int = 42) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, perplexity of every row."""
     spark = df.sparkSession
     size = df.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
@@ -403,8 +436,10 @@ def score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds:
         for b in batches:
             for part, numbers, blobs, counts, seats in zip(*(b.column(i).to_pylist() for i in range(5))):
                 own, seats = unpack(counts), [unpack(x) for x in seats]
+                answers = Answers(own, seats, held.value)
                 for chunk, data in zip(numbers, blobs):
-                    yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([chunk], pa.int64()), pa.array([pack(*answer(data, own, seats, held.value))], pa.binary())], ["part", "chunk", "data"])
+                    logs, known = answers(data)
+                    yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([chunk], pa.int64()), pa.array([pack(planes(logs), known)], pa.binary())], ["part", "chunk", "data"])
 
     per_part = seatings.groupBy("part").agg(F.transform(F.array_sort(F.collect_list(F.struct("sample", "seating"))), lambda x: x["seating"]).alias("seats"))
     answers = table.join(per_part, "part").select("part", "chunks", "blobs", "counts", "seats").mapInArrow(answered, BLOBS)
@@ -413,10 +448,11 @@ def score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds:
 
     def scored(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("part")
-        ids, null, held_out, lengths, stream, contexts, start = unpack(pdf["data"].iloc[0])
+        ids, null, held_out, lengths, spoken, place, contexts = unpack(pdf["data"].iloc[0])
         parts = [unpack(x) for x in pdf["data"].iloc[1:]]
-        logs, counts = (np.concatenate([p[i] for p in parts]) for i in range(2))
-        keys = pair_keys(stream, contexts, start[0])
+        logs, counts = np.concatenate([joined(p[0], np.float32) for p in parts]), np.concatenate([p[1] for p in parts])
+        stream = place[joined(spoken, np.int32)]
+        keys = pair_keys(stream, contexts, place[0])
         value = logs[np.searchsorted(np.unique(keys), keys)].astype(np.float64)
         c = counts.astype(np.float64)[stream]
         first = np.cumsum(lengths) - lengths

@@ -316,7 +316,7 @@ def test_predictions_sum_to_one():
     for context in (0, 77, int(table[2][0]), int(table[2][-1])):
         asked = np.append(known, np.uint64(known[-1] + np.uint64(1)))
         blob = hpylm.pack(asked, np.ones(len(asked), np.int64), np.full(len(asked), context, np.uint16), np.zeros(len(asked), np.uint8))
-        logs, _ = hpylm.answer(blob, table, seatings, models)
+        logs, _ = hpylm.Answers(table, seatings, models)(blob)
         assert math.isclose((10.0 ** logs.astype(np.float64)).sum(), 1, rel_tol=1e-3)
 
 
@@ -326,7 +326,8 @@ def test_seating_keeps_its_customers():
     floor = hpylm.Floor(customers, 0.8, 1.0)
     for _ in range(5):
         floor.sweep(np.full(500, 0.1), np.full(500, 50.0), 5, rng)
-        assert (floor.sizes.sum(axis=1) == floor.customers[floor.busy]).all() and (floor.sizes >= 0).all()
+        ((rows, sizes),) = floor.blocks
+        assert (sizes.sum(axis=0) == floor.customers[rows]).all() and (sizes >= 0).all() and len(set(rows)) == len(rows)
         assert ((floor.tables >= 1) & (floor.tables <= floor.customers)).all()
         floor.follow(np.maximum(1, floor.customers + rng.integers(-3, 4, 500)), rng)
     assert (floor.tables[floor.customers > 5] > 1).any()
