@@ -73,7 +73,7 @@ def schema_cost(n: int, m: int, k: int, level: int, cached: bool, alpha: float,
     return alpha * (0 if cached else n * m) + beta * level * n * m / k
 
 
-def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, data_phase: bool = True, groups: int | None = None, seed: int = 42, alpha: float = 1.0, beta: float = 1.0, max_round_pairs: int = 200_000_000, prune_keys: bool = False, level_budget: float | None = None) -> list[tuple[int, int]]:
+def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, data_phase: bool = True, groups: int | None = None, seed: int = 42, alpha: float = 1.0, beta: float = 1.0, max_round_pairs: int = 20_000_000, prune_keys: bool = False, level_budget: float | None = None) -> list[tuple[int, int]]:
     """kind: fd or ucc. prune_keys: a left side known to be a key needs no test for its right sides."""
     m = len(attrs)
     rows, repeated, n = pairs.compacted(df, attrs)

@@ -7,16 +7,18 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from depmine.operators import cover, distribute, evidence
+from depmine.sources.io import materialize
 
 from .result import Meter
 
 
 def compacted(df: DataFrame, attrs: list[str], meter: Meter | None = None) -> tuple[DataFrame, bool, int]:
     """Distinct rows with two hashes that tell them apart, whether rows repeat, and their number."""
+    nulls = [F.isnull(a) for a in attrs]
     rows = df.groupBy(*attrs).agg(F.count("*").alias("_m"))
+    rows = materialize(rows.withColumns({"_h1": F.xxhash64(F.lit(1), *attrs, *nulls), "_h2": F.xxhash64(F.lit(2), *attrs, *nulls)}), "rows")  # each round reads it again
     stat = rows.agg(F.count("*").alias("n"), F.max("_m").alias("m")).first()
-    nulls = [F.isnull(a) for a in attrs]
-    return rows.drop("_m").withColumns({"_h1": F.xxhash64(F.lit(1), *attrs, *nulls), "_h2": F.xxhash64(F.lit(2), *attrs, *nulls)}), (stat["m"] or 0) > 1, stat["n"]
+    return rows.drop("_m"), (stat["m"] or 0) > 1, stat["n"]
 
 
 ORDER = ["_h1", "_h2"]
@@ -43,7 +45,7 @@ def guard(n: int, max_pairs: int) -> int:
     return pairs
 
 
-def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, max_pairs: int = 5_000_000_000, dedupe: bool = False, where: str = "driver") -> list[tuple[int, int]]:
+def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, max_pairs: int = 5_000_000_000, dedupe: bool = False, covers_in: str = "driver") -> list[tuple[int, int]]:
     with meter.phase("data"):
         rows, repeated, n = compacted(df, attrs)
         total = guard(n, max_pairs)
@@ -57,7 +59,7 @@ def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: i
         if kind == "ucc":
             found = [] if repeated else [(x, 0) for x in cover.minimal(seen, max_lhs)]
         else:
-            found = cover.per_rhs(df.sparkSession, seen, len(attrs), max_lhs, where)
+            found = cover.per_rhs(df.sparkSession, seen, len(attrs), max_lhs, covers_in)
             if plan == "reuse" and n > 1:
                 found = _without_false_constants(rows, attrs, found, seen)
     return found

@@ -101,7 +101,7 @@ for t in ("orders", "part"):
             for memory in ("resident", "spill"):
                 register(f"fd_{t}_{method}_{plan}_{memory}", fd_query(t, method=method, plan=plan, memory=memory), oracle)
     register(f"fd_{t}_pair_reuse_resident_deduped", fd_query(t, method="pair", plan="reuse", memory="resident", dedupe=True), oracle)
-    register(f"fd_{t}_pair_covers_in_tasks", fd_query(t, method="pair", memory="resident", where="tasks"), oracle)
+    register(f"fd_{t}_pair_covers_in_tasks", fd_query(t, method="pair", memory="resident", covers_in="tasks"), oracle)
     register(f"fd_{t}_hybrid_no_sampling", fd_query(t, method="hybrid", data_phase=False), oracle)
     register(f"fd_{t}_hybrid_key_pruning", fd_query(t, method="hybrid", prune_keys=True), oracle)
 for plan in ("reuse", "rescan"):
