@@ -42,7 +42,7 @@ def intersect(pi: DataFrame, parents: DataFrame) -> DataFrame:
 
 
 def _tuple(df: DataFrame, attrs: list[str], mask: int):
-    return [df[attrs[i]] for i in members(mask)]
+    return [F.col(attrs[i]) for i in members(mask)]
 
 
 def counts_by_grouping_sets(df: DataFrame, attrs: list[str], masks: list[int]) -> dict[int, int]:
@@ -54,8 +54,8 @@ def counts_by_grouping_sets(df: DataFrame, attrs: list[str], masks: list[int]) -
         for m in batch:
             union |= m
         used = members(union)
-        sets = [[df[attrs[i]] for i in members(m)] for m in batch]
-        classes = df.groupingSets(sets, *[df[attrs[i]] for i in used]).agg(F.grouping_id().alias("gid"))
+        sets = [[F.col(attrs[i]) for i in members(m)] for m in batch]
+        classes = df.groupingSets(sets, *[F.col(attrs[i]) for i in used]).agg(F.grouping_id().alias("gid"))
         named = {sum(1 << (len(used) - 1 - p) for p, i in enumerate(used) if not m >> i & 1): m for m in batch}
         out |= {named[r["gid"]]: r["n"] for r in classes.groupBy("gid").agg(F.count("*").alias("n")).collect()}  # a row for each set
     return {m: out.get(m, 0) for m in masks}

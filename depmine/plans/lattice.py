@@ -120,6 +120,7 @@ class StoredClasses:
 
     def counts(self, masks: list[int]) -> dict[int, int]:
         fresh = [x for x in masks if x not in self.known]
+        out = self._sizes([x for x in masks if x in self.known])
         if fresh:
             pairs = []
             for x in fresh:
@@ -133,9 +134,15 @@ class StoredClasses:
                 made = part if made is None else made.unionByName(part)
             self.store = made if self.memory != "chunked" else materialize(made, "classes")
             self.known = set(fresh)
-        rows = self.store.groupBy("mask").agg(F.count_distinct("class_id").alias("n")).collect()  # a row for each set
-        out = {r["mask"]: r["n"] for r in rows}
-        return {x: out.get(x, 0) for x in masks}
+            out |= self._sizes(fresh)
+        return out
+
+    def _sizes(self, masks: list[int]) -> dict[int, int]:
+        if not masks:
+            return {}
+        rows = self.store.where(F.col("mask").isin(masks)).groupBy("mask").agg(F.count_distinct("class_id").alias("n")).collect()  # a row for each set
+        seen = {r["mask"]: r["n"] for r in rows}
+        return {x: seen.get(x, 0) for x in masks}
 
     def _intersect(self, pairs):
         parents = self.spark.createDataFrame(pairs, "mask long, left long, right long")
