@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 from depmine.functions.bits import names
 from depmine.functions.prep import hash_slice  # noqa: F401
 from depmine.operators import cover, distribute, evidence, partition, refine, relational
-from depmine.plans import baselines, cost, lattice, pairs, planner, reason, tree
+from depmine.plans import baselines, cost, lattice, pairs, planner, reason, tree, workloads
 from depmine.plans.result import FD, Meter
 from depmine.sources.io import materialize
 from depmine.sources.views import relation, table
@@ -523,3 +523,13 @@ register("events_sliding_counts", lambda s, d: monitor.window_counts(events(s, d
 register("events_session_counts", lambda s, d: monitor.session_counts(events(s, d), "ts", "6 hours", "user_id").groupBy("user_id").agg(F.count("*").alias("n_sessions"), F.max("n_rows").alias("longest")), """select user_id, count(*) as n_sessions, max(n) as longest from (select user_id, s, count(*) as n from (select user_id, sum(new) over (partition by user_id order by ts) as s from (select user_id, ts, case when ts >= lag(ts) over (partition by user_id order by ts) + interval 6 hour then 1 else 0 end as new from events)) group by 1, 2) group by 1""")
 register("events_fd_refutations", lambda s, d: monitor.watch_fd(events(s, d), ["user_id"], "event_type"), "select user_id, min(event_type) as value_1, max(event_type) as value_2 from events group by 1 having min(event_type) <> max(event_type)")
 register("events_ucc_refutations", lambda s, d: monitor.watch_ucc(events(s, d), ["user_id", "event_type"]), "select user_id, event_type, count(*) as n_rows from events group by 1, 2 having count(*) > 1")
+
+# -- experiment reports ------------------------------------------------
+
+register("scaling_columns_wide109", lambda s, d: workloads.by_columns(s, d, "wide109", (5, 10, 20), "vec_id < 200"))
+register("scaling_columns_wide60", lambda s, d: workloads.by_columns(s, d, "wide60", (5, 10), "l_orderkey < 200"))
+register("scaling_rows_lineitem", lambda s, d: workloads.by_rows(s, d, "lineitem", (5, 10, 20), max_lhs=1))
+register("scaling_workers_orders", lambda s, d: workloads.by_workers(anchored(s, d), ["o_orderkey"], (1, 3, 6, 10)))
+for method in ("lattice", "pair", "hybrid"):
+    register(f"plans_{method}_wide24", lambda s, d, method=method: workloads.by_plan(s, d, "wide24", "l_orderkey < 100", method, 1))
+register("datasets_by_method", lambda s, d: workloads.by_columns(s, d, "star14", (14,), "o_orderkey < 500").unionByName(workloads.by_columns(s, d, "wide39", (12,), "l_orderkey < 100")))
