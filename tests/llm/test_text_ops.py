@@ -97,7 +97,6 @@ def test_links_connect_what_pairs_connect(spark, bits, segments, split_at):
                 x ^= 1 << int(b)
             fps.add(x)
     edges = simhash.links(spark.createDataFrame([(x,) for x in fps], "fp long"), bits, segments, split_at=split_at).collect()
-    assert all(((a ^ b) & (2**64 - 1)).bit_count() <= bits or True for a, b in edges)
     parent = {x: x for x in fps}
 
     def find(x):
