@@ -207,7 +207,11 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of df that stay: of each component the one with the smallest id (of repeated rows of it, one); rows without id stay."""
-    classes = near_duplicates(df, id_col, text_col, **options)
+    return keep_lowest(df, near_duplicates(df, id_col, text_col, **options), id_col)
+
+
+def keep_lowest(df: DataFrame, classes: DataFrame, id_col: str) -> DataFrame:
+    """The rows of df whose id is the component_id of their class, each id once, and the rows without id."""
     stay = classes.where("doc_id = component_id").groupBy("doc_id").agg(F.count("*").alias("__rows")).withColumnRenamed("doc_id", id_col)
     kept = df.join(stay, id_col)
     single = kept.where(F.col("__rows") == 1).drop("__rows")

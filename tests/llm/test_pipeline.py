@@ -6,7 +6,8 @@ import tiktoken
 
 import corpus_pipeline
 from depmine.llm import bpe_dp
-from test_text_ops import slow_base, slow_components, slow_fingerprint
+from test_near_copies import slow_classes, word_sets
+from test_text_ops import slow_base
 
 
 def test_stages(spark, small):
@@ -24,8 +25,8 @@ def test_stages(spark, small):
     before = {r["doc_id"]: r for r in docs.collect()}
     gone = set(before) - set(rows["language"])
     assert all(not any(c.isalpha() for c in before[d]["text"]) or len(before[d]["text"]) < 2_000 for d in gone) and len(gone) < 0.03 * len(before)
-    classes = slow_components([(d, slow_fingerprint(r["text"])) for d, r in rows["language"].items()])
-    assert set(rows["near_duplicates"]) == {c for _, _, c in classes}
+    classes = slow_classes(word_sets([(d, r["text"]) for d, r in rows["language"].items()]))
+    assert set(rows["near_duplicates"]) == set(classes.values())
     assert set(rows["decontamination"]) < set(rows["near_duplicates"])
     assert set(rows["secrets"]) == set(rows["decontamination"])
     assert not any(slow_base(r["text"].replace("[SECRET]", " ")) for r in rows["secrets"].values())
