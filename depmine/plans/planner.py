@@ -37,6 +37,15 @@ def discover(df: DataFrame, kind: str = "fd", method: str = "lattice", plan: str
     return Discovery(df.sparkSession, attrs, kind, found, meter, status)
 
 
+def whole(df: DataFrame, kind: str = "fd", method: str = "lattice", plan: str = "rescan", memory: str = "spill", **options) -> Discovery:
+    """discover(); where its plan refuses for memory, the plan that spills gives the same whole result: lattice for lattice, hybrid for pairs and hybrid."""
+    done = discover(df, kind, method, plan, memory, **options)
+    if done.status != "memory limit":
+        return done
+    kept = {o: options[o] for o in ("k", "max_lhs", "attrs", "null_mode", "seed", "limit_s") if o in options}
+    return discover(df, kind, "lattice" if method == "lattice" else "hybrid", "rescan", "spill", **kept)
+
+
 def order_dependencies(df: DataFrame, attrs: list[str], plan: str = "rescan", memory: str = "spill", k: int = 8, max_context: int | None = None, directions=("asc", "desc")) -> DataFrame:
     """Unary list dependencies, or with max_context the minimal set-based ones."""
     meter, counts = Meter(), lattice.counter_for(df.select(*attrs), attrs, plan, memory, k)

@@ -15,7 +15,7 @@ UCC = "lhs string, lhs_size int"
 
 
 class LimitExceeded(RuntimeError):
-    """A run over its time limit."""
+    """A run over its time or memory limit."""
 
 
 @dataclass
@@ -52,6 +52,8 @@ class Discovery:
 
     @property
     def dependencies(self) -> DataFrame:
+        if self.status != "done":
+            raise LimitExceeded(f"no whole result: {self.status}")
         if self.kind == "ucc":
             return self.spark.createDataFrame([(names(x, self.attrs), x.bit_count()) for x, _ in self.found], UCC)
         return self.spark.createDataFrame([(names(x, self.attrs), names(a, self.attrs), x.bit_count()) for x, a in self.found], FD)

@@ -79,7 +79,7 @@ def mask_sql(attrs: list[str], l: str = "l", r: str = "r") -> str:  # noqa: E741
 def fd_query(name, attrs=None, where=None, kind="fd", **options):
     def run(spark, sf_dir):
         df = relation(spark, sf_dir, name).select(*(attrs or ATTRS[name]))
-        return planner.discover(df.where(where) if where else df, kind, **options).dependencies
+        return planner.whole(df.where(where) if where else df, kind, **options).dependencies
 
     return run
 
@@ -352,12 +352,12 @@ register("cost_bounds_model", q_model)
 
 
 def q_trace(spark, sf_dir):
-    return planner.discover(table(spark, sf_dir, "orders"), memory="resident").trace.select("level", "size", "found")
+    return planner.whole(table(spark, sf_dir, "orders"), memory="resident").trace.select("level", "size", "found")
 
 
 register("lattice_trace_orders", q_trace)
-register("hybrid_trace_orders", lambda spark, sf_dir: planner.discover(table(spark, sf_dir, "orders"), method="hybrid", memory="resident").trace)
-register("phase_seconds_orders", lambda spark, sf_dir: planner.discover(table(spark, sf_dir, "orders"), method="hybrid", plan="reuse", memory="resident").cost)
+register("hybrid_trace_orders", lambda spark, sf_dir: planner.whole(table(spark, sf_dir, "orders"), method="hybrid", memory="resident").trace)
+register("phase_seconds_orders", lambda spark, sf_dir: planner.whole(table(spark, sf_dir, "orders"), method="hybrid", plan="reuse", memory="resident").cost)
 register("candidate_tree_part", lambda spark, sf_dir: tree_of(spark, sf_dir), SQL["fd_part_lattice_rescan_spill"])
 
 
@@ -412,7 +412,7 @@ register("single_task_part_pairs", lambda spark, sf_dir: baselines.single_task(t
 
 def q_precision(spark, sf_dir):
     df = table(spark, sf_dir, "lineitem")
-    exact = planner.discover(df, memory="resident", max_lhs=3).found
+    exact = planner.whole(df, memory="resident", max_lhs=3).found
     rows = []
     for k in (2, 4, 6, 8, 10):
         local = baselines.local_intersect(df, F.pmod(F.xxhash64(*df.columns), F.lit(k)), k, 3)
@@ -425,7 +425,7 @@ register("precision_by_nodes", q_precision)
 
 def q_sample_precision(spark, sf_dir):
     df = table(spark, sf_dir, "lineitem")
-    exact = planner.discover(df, memory="resident", max_lhs=3).found
+    exact = planner.whole(df, memory="resident", max_lhs=3).found
     return spark.createDataFrame([(p, *map(float, baselines.precision(baselines.sample_only(df, F.pmod(F.xxhash64(*df.columns), F.lit(100)) < p, 3), exact))) for p in (1, 5, 10, 25, 50)], "percent int, precision double, recall double")
 
 
@@ -441,8 +441,8 @@ def abcd(spark):
     return spark.createDataFrame(ABCD, "A string, B string, C string, D string")
 
 
-register("example_four_rows_fds", lambda spark, sf_dir: planner.discover(abcd(spark), method="pair", memory="resident").dependencies, fd_sql(ABCD_SQL, list("ABCD")))
-register("example_four_rows_keys", lambda spark, sf_dir: planner.discover(abcd(spark), "ucc").dependencies, ucc_sql(ABCD_SQL, list("ABCD")))
+register("example_four_rows_fds", lambda spark, sf_dir: planner.whole(abcd(spark), method="pair", memory="resident").dependencies, fd_sql(ABCD_SQL, list("ABCD")))
+register("example_four_rows_keys", lambda spark, sf_dir: planner.whole(abcd(spark), "ucc").dependencies, ucc_sql(ABCD_SQL, list("ABCD")))
 
 
 def q_example_evidence(spark, sf_dir):
@@ -456,7 +456,7 @@ register("example_four_rows_evidence", q_example_evidence, "select * from (value
 def q_two_nodes(spark, sf_dir):
     df = spark.createDataFrame([(0, "a1", "b1")] * 2 + [(1, "a1", "b2")] * 2, "node int, A string, B string")
     local = baselines.local_intersect(df.select("A", "B", "node"), F.col("node"), 2, 1)
-    whole = planner.discover(df.select("A", "B")).found
+    whole = planner.whole(df.select("A", "B")).found
     return spark.createDataFrame([("local", sum(1 for x, a in local if a == 2)), ("whole", sum(1 for x, a in whole if a == 2))], "where string, n_fds int").withColumnRenamed("where", "found_on")
 
 
@@ -470,7 +470,7 @@ register("duplicate_keys_lineitem", lambda spark, sf_dir: reason.duplicate_keys(
 
 
 def star_fds(spark, sf_dir):
-    return reason.as_sets(planner.discover(relation(spark, sf_dir, "star14").select(*STAR), memory="resident", max_lhs=1).dependencies.collect())
+    return reason.as_sets(planner.whole(relation(spark, sf_dir, "star14").select(*STAR), memory="resident", max_lhs=1).dependencies.collect())
 
 
 register("candidate_keys_star", lambda spark, sf_dir: spark.createDataFrame([(",".join(sorted(k)),) for k in reason.candidate_keys(STAR, star_fds(spark, sf_dir))], "candidate_key string"), "select 'o_orderkey' as candidate_key")
@@ -482,7 +482,7 @@ register("shrink_order_by_events", lambda spark, sf_dir: spark.createDataFrame([
 def q_change(spark, sf_dir):
     attrs = ["o_orderkey", "o_custkey", "o_totalprice", "o_orderdate"]
     df = table(spark, sf_dir, "orders").select(*attrs)
-    return reason.compare(planner.discover(df.where("o_orderkey < 500"), memory="resident").dependencies, planner.discover(df, memory="resident").dependencies)
+    return reason.compare(planner.whole(df.where("o_orderkey < 500"), memory="resident").dependencies, planner.whole(df, memory="resident").dependencies)
 
 
 O4 = ["o_orderkey", "o_custkey", "o_totalprice", "o_orderdate"]

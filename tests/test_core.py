@@ -9,7 +9,7 @@ from depmine.functions.bits import names, subset
 from depmine.operators import cover, distribute, partition
 from depmine.plans import baselines, lattice, planner, reason
 from depmine.plans.tree import CandidateTree
-from depmine.queries import ABCD, abcd
+from depmine.queries import ABCD, QUERIES, abcd
 
 PLANS = [("lattice", "reuse", "resident"), ("lattice", "reuse", "spill"), ("lattice", "reuse", "chunked"), ("lattice", "rescan", "resident"), ("lattice", "rescan", "spill"), ("pair", "reuse", "resident"), ("pair", "reuse", "spill"), ("pair", "rescan", "resident"), ("pair", "rescan", "spill"), ("hybrid", "reuse", "resident"), ("hybrid", "rescan", "resident"), ("hybrid", "rescan", "spill")]
 
@@ -112,3 +112,25 @@ def test_reasoning():
     assert reason.closure("A", fds) == frozenset("ABC") and reason.candidate_keys("ABC", fds) == [frozenset("A")]
     assert reason.shrink_group_by(["A", "B", "C"], fds) == ["A"] and reason.bcnf_violations("ABC", fds) == [(frozenset("B"), "C")]
     assert reason.minimal_cover([*fds, (frozenset("A"), "C")]) == fds
+
+
+def test_a_refused_plan_gives_no_empty_result(spark, tiny, monkeypatch):
+    """Over a limit, dependencies raise; the registered queries fall back to a plan that spills."""
+    from depmine.operators import partition
+    from depmine.plans import pairs
+    from depmine.plans.result import LimitExceeded
+
+    df = spark.read.parquet(f"{tiny}/orders.parquet")
+    for refused in (planner.discover(df, method="pair", max_pairs=1), planner.discover(df, limit_s=0.0)):
+        with pytest.raises(LimitExceeded):
+            refused.dependencies.collect()
+    names = ("fd_orders_pair_reuse_resident", "fd_orders_pair_rescan_spill", "fd_orders_lattice_rescan_resident")
+    want = sorted(map(tuple, planner.discover(df).dependencies.collect()))
+
+    def refuse(*args, **options):
+        raise MemoryError
+
+    monkeypatch.setattr(pairs, "guard", refuse)
+    monkeypatch.setattr(partition, "BroadcastCodes", refuse)
+    for name in names:
+        assert want and sorted(map(tuple, QUERIES[name](spark, tiny).collect())) == want
