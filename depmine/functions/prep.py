@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -64,3 +64,16 @@ def profile_schema(df: DataFrame, exclude=(), max_distinct_ratio: float = 1.0) -
         return attrs
     seen = df.agg(F.count("*").alias("_n"), *[F.approx_count_distinct(a).alias(a) for a in attrs]).first()
     return [a for a in attrs if seen[a] <= max_distinct_ratio * max(1, seen["_n"])]
+
+
+def cells(df: DataFrame, attrs: list[str]) -> tuple[Column, list[str]]:
+    """The values of a row as an array of (attr, v0, v1, ...) with one v for each type among the attributes, and the names of these fields.
+
+    Of the v of one element only that of its attribute's type is set, so that
+    grouping by them compares every value by its own type.
+    """
+    kind = {a: T.StringType() if isinstance(df.schema[a].dataType, T.NullType) else df.schema[a].dataType for a in attrs}
+    kinds = list({k.simpleString(): k for k in kind.values()}.values())
+    slots = [f"v{i}" for i in range(len(kinds))]
+    each = [F.struct(F.lit(n).alias("attr"), *[(F.col(a) if kind[a].simpleString() == k.simpleString() else F.lit(None)).cast(k).alias(s) for s, k in zip(slots, kinds)]) for n, a in enumerate(attrs)]
+    return F.array(*each), slots

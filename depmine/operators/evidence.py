@@ -1,4 +1,4 @@
-"""Evidence of row pairs: which attributes differ, or how they compare, as native bit expressions."""
+"""Evidence of row pairs for keys and functional dependencies: which attributes differ, as native bit expressions."""
 
 from __future__ import annotations
 
@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from depmine.functions.bits import from_words
 
 WORD = 62
+#: Distinct evidence that the driver is to hold.
+MOST = 5_000_000
 
 
 def differs(attrs: list[str], left: str = "l_", right: str = "r_") -> list[Column]:
@@ -21,44 +23,16 @@ def differs(attrs: list[str], left: str = "l_", right: str = "r_") -> list[Colum
     return out
 
 
-def compares(attrs: list[str], ordered: set[str], left: str = "l_", right: str = "r_") -> Column:
-    """Two bits an attribute: 0 less, 1 equal, 2 greater, 3 different without order (a null on one side, or an unordered type)."""
-    total = F.lit(0).cast("long")
-    for i, a in enumerate(attrs):
-        x, y = F.col(left + a), F.col(right + a)
-        code = F.when(x.eqNullSafe(y), 1)
-        if a in ordered:
-            code = code.when(x < y, 0).when(x > y, 2)
-        total = total + F.shiftleft(code.otherwise(3).cast("long"), 2 * i)
-    return total.alias("code")
-
-
 def histogram(pairs: DataFrame, columns) -> DataFrame:
     """Distinct evidence with its number of pairs; map-side combine keeps the exchange tiny."""
     shown = pairs.select(*columns)
     return shown.groupBy(*shown.columns).agg(F.count("*").alias("n_pairs"))
 
 
-def masks(evidence: DataFrame) -> dict[int, int]:
-    """The distinct masks on the driver, where covers are searched: at most 2^m, in practice far fewer than rows."""
-    words = sorted((c for c in evidence.columns if c.startswith("ev")), key=lambda c: int(c[2:]))
-    return {from_words([r[w] for w in words]): r["n_pairs"] for r in evidence.collect()}
-
-
-#: What each of the four comparison results satisfies.
-SATISFIED = {0: ("!=", "<", "<="), 1: ("=", "<=", ">="), 2: ("!=", ">", ">="), 3: ("!=",)}
-MIRROR = {0: 2, 1: 1, 2: 0, 3: 3}
-
-
-def mirrored(code: int, m: int) -> int:
-    return sum(MIRROR[code >> 2 * i & 3] << 2 * i for i in range(m))
-
-
-def predicate_space(attrs: list[str], ordered: set[str]) -> list[tuple[str, str]]:
-    return [(a, op) for a in attrs for op in (("=", "!=", "<", "<=", ">", ">=") if a in ordered else ("=", "!="))]
-
-
-def predicate_mask(code: int, attrs: list[str], space: list[tuple[str, str]]) -> int:
-    """The predicates of the space that a pair with this code satisfies."""
-    results = {a: SATISFIED[code >> 2 * i & 3] for i, a in enumerate(attrs)}
-    return sum(1 << b for b, (a, op) in enumerate(space) if op in results[a])
+def masks(evidence: DataFrame, most: int = MOST) -> dict[int, int]:
+    """The distinct masks on the driver, where covers are searched; refuses more than `most` of them."""
+    words = sorted((c for c in evidence.columns if c != "n_pairs"), key=lambda c: int(c.lstrip("abcdefghijklmnopqrstuvwxyz")))
+    rows = evidence.limit(most + 1).collect()
+    if len(rows) > most:
+        raise MemoryError(f"more than {most} distinct evidence sets")
+    return {from_words([r[w] for w in words]): r["n_pairs"] for r in rows}

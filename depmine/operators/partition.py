@@ -1,52 +1,82 @@
-"""Classes of equal rows: membership tables, and class counts of many attribute sets at once."""
+"""Classes of equal rows: membership tables, and class counts of many attribute sets at once.
+
+Values are compared by their own types: a class never depends on how a value
+is printed, -0.0 equals 0.0, NaN equals NaN and null equals null.
+"""
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
 from depmine.functions.bits import members
+from depmine.functions.prep import cells
+
+from .distribute import candidates_deal
 
 #: Attribute sets of one job: bounds how often a row is expanded.
 BATCH = 32
+#: A class above a thousandth of all rows, or this many, is looked up by broadcast; there are at most a thousand of them for each key column.
+HOT_SHARE, HOT_ROWS = 1_000, 100_000
+
+
+def numbered(rows: DataFrame, keys: list[str], row_id: str, n: int | None = None) -> DataFrame:
+    """rows with class_id: the smallest row of those equal on keys, which needs no global numbering.
+
+    The members of a large class are named by a broadcast of the few large
+    classes (their number is bounded by rows / size), so no task receives a
+    whole one; all others by an exchange. Tables smaller than a large class take one window.
+    """
+    n = rows.count() if n is None else n
+    least = max(HOT_ROWS, n // HOT_SHARE)
+    if n <= least:
+        return rows.withColumn("class_id", F.min(row_id).over(Window.partitionBy(*keys)))
+    short = [f"_k{i}" for i in range(len(keys))]
+    sizes = rows.groupBy(*[F.col(k).alias(s) for k, s in zip(keys, short)]).agg(F.min(row_id).alias("class_id"), F.count("*").alias("_size"))
+    met = reduce(lambda a, b: a & b, [F.col(k).eqNullSafe(F.col(s)) for k, s in zip(keys, short)])
+    large = sizes.where(F.col("_size") > least)
+    marked = rows.join(F.broadcast(large), met, "left").select(*rows.columns, "class_id")
+    rest = marked.where("class_id is null").drop("class_id").join(sizes.where(F.col("_size") <= least), met)
+    return rest.select(*rows.columns, "class_id").unionByName(marked.where("class_id is not null"))
 
 
 def classes_from_rows(df: DataFrame, attrs: list[str], row_id: str) -> DataFrame:
-    """(class_id, row_id): a class is named by its smallest row, which needs no global numbering."""
-    least = df.groupBy(*attrs).agg(F.min(row_id).alias("class_id"))
-    same = [df[a].eqNullSafe(least[a]) for a in attrs]
-    condition = same[0]
-    for c in same[1:]:
-        condition = condition & c
-    return df.join(least, condition).select("class_id", df[row_id].alias("row_id"))
+    """(class_id, row_id) of one attribute set."""
+    rows = df.select(*attrs, F.col(row_id).alias("__row"))
+    return numbered(rows, attrs, "__row").select("class_id", F.col("__row").alias("row_id"))
 
 
-def column_classes(df: DataFrame, attrs: list[str], row_id: str) -> DataFrame:
-    """(mask, class_id, row_id) of every single column: columns are dealt out as rows, then grouped."""
-    cells = F.explode(F.array(*[F.struct(F.lit(1 << i).cast("long").alias("mask"), F.to_json(F.struct(F.col(a).alias("v")), {"ignoreNullFields": "false"}).alias("value")) for i, a in enumerate(attrs)]))
-    flat = df.select(F.col(row_id).alias("row_id"), cells.alias("c")).select("row_id", "c.mask", "c.value")
-    named = flat.groupBy("mask", "value").agg(F.min("row_id").alias("class_id"))
-    return flat.join(named, ["mask", "value"]).select("mask", "class_id", "row_id")
+def column_classes(df: DataFrame, attrs: list[str], row_id: str, n: int | None = None) -> DataFrame:
+    """(node, class_id, row_id) of every single column; node is the column's number. Columns are dealt out as rows, then grouped."""
+    values, slots = cells(df, attrs)
+    flat = df.select(F.col(row_id).alias("row_id"), F.explode(values).alias("c")).select("row_id", F.col("c.attr").alias("node"), *[f"c.{s}" for s in slots])
+    n = (df.count() if n is None else n) * len(attrs)
+    return numbered(flat, ["node", *slots], "row_id", n).select("node", "class_id", "row_id")
 
 
-def intersect(pi: DataFrame, parents: DataFrame) -> DataFrame:
-    """Classes of new sets from two stored parents each. pi: (mask, class_id, row_id); parents: (mask, left, right)."""
-    left = pi.select(F.col("mask").alias("left"), F.col("class_id").alias("l_class"), "row_id")
-    right = pi.select(F.col("mask").alias("right"), F.col("class_id").alias("r_class"), "row_id")
-    rows = left.join(F.broadcast(parents), "left").join(right, ["right", "row_id"])  # parents: a level's candidates, checked by the caller
-    named = rows.groupBy("mask", "l_class", "r_class").agg(F.min("row_id").alias("class_id"))
-    return rows.join(named, ["mask", "l_class", "r_class"]).select("mask", "class_id", "row_id")
+def intersect(pi: DataFrame, parents: DataFrame, n: int | None = None, hint: str | None = None) -> DataFrame:
+    """Classes of new sets from two stored parents each. pi: (node, class_id, row_id); parents: (node, left, right), a level's candidates, checked by the caller."""
+    few = F.broadcast(parents) if hint is None else parents.hint(hint)
+    left = pi.select(F.col("node").alias("left"), F.col("class_id").alias("l_class"), "row_id").join(few, "left")
+    right = pi.select(F.col("node").alias("right"), F.col("class_id").alias("r_class"), "row_id")
+    rows = left.join(right if hint is None else right.hint(hint), ["right", "row_id"]).select("node", "l_class", "r_class", "row_id")
+    return numbered(rows, ["node", "l_class", "r_class"], "row_id", n).select("node", "class_id", "row_id")
 
 
 def _tuple(df: DataFrame, attrs: list[str], mask: int):
     return [F.col(attrs[i]) for i in members(mask)]
 
 
-def counts_by_grouping_sets(df: DataFrame, attrs: list[str], masks: list[int]) -> dict[int, int]:
-    """Exact: one exchange for each batch of attribute sets."""
+def class_sizes(df: DataFrame, attrs: list[str], masks: list[int]) -> dict[int, tuple[int, int]]:
+    """(classes, rows of the largest) of each attribute set; one exchange for each batch of sets."""
     out = {}
     for at in range(0, len(masks), BATCH):
         batch = masks[at : at + BATCH]
@@ -55,10 +85,16 @@ def counts_by_grouping_sets(df: DataFrame, attrs: list[str], masks: list[int]) -
             union |= m
         used = members(union)
         sets = [[F.col(attrs[i]) for i in members(m)] for m in batch]
-        classes = df.groupingSets(sets, *[F.col(attrs[i]) for i in used]).agg(F.grouping_id().alias("gid"))
+        classes = df.groupingSets(sets, *[F.col(attrs[i]) for i in used]).agg(F.grouping_id().alias("gid"), F.count("*").alias("size"))
         named = {sum(1 << (len(used) - 1 - p) for p, i in enumerate(used) if not m >> i & 1): m for m in batch}
-        out |= {named[r["gid"]]: r["n"] for r in classes.groupBy("gid").agg(F.count("*").alias("n")).collect()}  # a row for each set
-    return {m: out.get(m, 0) for m in masks}
+        rows = classes.groupBy("gid").agg(F.count("*").alias("n"), F.max("size").alias("most")).collect()  # a row for each set
+        out |= {named[r["gid"]]: (r["n"], r["most"]) for r in rows}
+    return {m: out.get(m, (0, 0)) for m in masks}
+
+
+def counts_by_grouping_sets(df: DataFrame, attrs: list[str], masks: list[int]) -> dict[int, int]:
+    """Exact: one exchange for each batch of attribute sets."""
+    return {m: n for m, (n, _) in class_sizes(df, attrs, masks).items()}
 
 
 def counts_one_by_one(df: DataFrame, attrs: list[str], masks: list[int]) -> dict[int, int]:
@@ -77,61 +113,133 @@ def counts_by_fingerprint(df: DataFrame, attrs: list[str], masks: list[int]) ->
     return {m: out.get(m, 0) for m in masks}
 
 
+#: Bytes of a value on its way to the driver, by type; texts and binaries by their length.
+_WIDTH = {"tinyint": 1, "smallint": 2, "int": 4, "float": 4, "boolean": 1, "date": 4}
+
+
+def raw_bytes(df: DataFrame, attrs: list[str]) -> tuple[int, int]:
+    """(rows, bytes of the values as they would reach the driver), counted in one pass."""
+    fixed, texts = 0, []
+    for a in attrs:
+        kind = df.schema[a].dataType
+        if isinstance(kind, (T.StringType, T.BinaryType)):
+            texts.append(F.octet_length(F.col(a)))
+        elif isinstance(kind, (T.ArrayType, T.MapType, T.StructType)):
+            texts.append(F.octet_length(F.to_json(F.struct(F.col(a)))))
+        else:
+            fixed += _WIDTH.get(kind.simpleString(), 8)
+    long = reduce(lambda a, b: a + b, [F.coalesce(x.cast("long"), F.lit(0)) + 4 for x in texts], F.lit(0).cast("long"))
+    row = df.agg(F.count("*").alias("n"), F.coalesce(F.sum(long), F.lit(0)).alias("b")).first()
+    return row["n"], row["n"] * fixed + row["b"]
+
+
 class BroadcastCodes:
     """The resident rescan plan: one broadcast copy of the encoded relation, candidates dealt to `k` tasks.
 
-    Refuses a relation whose codes exceed `limit` bytes: that is what the scarce-memory plans are for.
+    Refuses a relation whose values or codes exceed `limit` bytes, before any of
+    them moves: that is what the scarce-memory plans are for. Codes keep the
+    order of values, nulls first, NaN last.
     """
 
     def __init__(self, df: DataFrame, attrs: list[str], k: int, limit: int = 512 << 20):
-        self.spark, self.k = df.sparkSession, k
-        n = df.count()
-        if 4 * n * len(attrs) > limit:
-            raise MemoryError(f"{4 * n * len(attrs)} bytes of codes exceed the limit of {limit}; use memory='spill'")
+        self.spark, self.k, self.attrs = df.sparkSession, k, attrs
+        self.rows, raw = raw_bytes(df, attrs)
+        if max(raw, 4 * self.rows * len(attrs)) > limit:
+            raise MemoryError(f"{raw} bytes of values, {4 * self.rows * len(attrs)} of codes: more than the limit of {limit}; use memory='spill'")
         codes = encode(df.select(*attrs).toArrow())
         self.bytes = sum(c.nbytes for c, _ in codes)
         self.held = self.spark.sparkContext.broadcast(codes)
 
     def counts(self, masks: list[int]) -> dict[int, int]:
+        return {m: n for m, n in zip(masks, self.answer(masks, lambda codes, m: count_distinct(codes, m)))}
+
+    def answer(self, questions: list, ask) -> list[int]:
+        """ask(codes, question) for each question, dealt round robin to k tasks; an integer each."""
+        if not questions:
+            return []
         held = self.held
+        texts = candidates_deal([(i, repr(q)) for i, q in enumerate(questions)], min(self.k, len(questions)))  # as text: a mask may be wider than any integer column
+
+        def run(batches):
+            import ast
 
-        def run(batches):  # masks travel as text: they may be wider than any integer column
             for pdf in batches:
-                yield pd.DataFrame({"mask": pdf["mask"], "n": [count_distinct(held.value, int(m)) for m in pdf["mask"]]})
+                yield pd.DataFrame({"at": pdf["at"], "n": [int(ask(held.value, ast.literal_eval(q))) for q in pdf["question"]]})
 
-        if not masks:
-            return {}
-        k = min(self.k, len(masks))
-        deal = self.spark.sparkContext.parallelize([(str(m),) for i in range(k) for m in masks[i::k]], k).toDF("mask string")
-        return {int(r["mask"]): r["n"] for r in deal.mapInPandas(run, "mask string, n long").collect()}  # a row for each set
+        deal = self.spark.sparkContext.parallelize([x for own in texts for x in own], len(texts)).toDF("at int, question string")
+        got = {r["at"]: r["n"] for r in deal.mapInPandas(run, "at int, n long").collect()}  # a row for each question
+        return [got[i] for i in range(len(questions))]
 
 
 def encode(table: pa.Table) -> list[tuple[np.ndarray, int]]:
-    """(codes, number of codes) of each column; null is a value, NaN equals NaN and -0.0 equals 0.0."""
+    """(codes, number of codes) of each column, in the order of the values: nulls first, NaN last, -0.0 as 0.0."""
     out = []
     for column in table.columns:
         c = column.combine_chunks()
-        if pa.types.is_floating(c.type):
-            c = pa.array(np.where(np.asarray(c.fill_null(0)) == 0, 0.0, np.asarray(c.fill_null(0))), mask=np.asarray(c.is_null()))
         if pa.types.is_nested(c.type):
-            c = pa.array([None if v is None else repr(v) for v in c.to_pylist()])
-        coded = c.dictionary_encode(null_encoding="encode")
-        out.append((np.asarray(coded.indices, np.int32), len(coded.dictionary)))
+            c = pa.array([None if v is None else repr(v) for v in c.to_pylist()], pa.string())
+        if pa.types.is_null(c.type):
+            c = c.cast(pa.string())
+        null = np.asarray(c.is_null())
+        if pa.types.is_floating(c.type):
+            values = np.asarray(c.fill_null(0)) + 0.0  # -0.0 becomes 0.0; all NaN are one value, after the others
+            values, codes = np.unique(values, return_inverse=True, equal_nan=True)
+        elif pa.types.is_integer(c.type) or pa.types.is_temporal(c.type):
+            values, codes = np.unique(np.asarray(c.fill_null(pa.scalar(0).cast(c.type) if pa.types.is_integer(c.type) else pa.scalar(0, pa.int64()).cast(c.type) if c.type.bit_width == 64 else pa.scalar(0, pa.int32()).cast(c.type))), return_inverse=True)
+        else:
+            coded = c.dictionary_encode()
+            words = coded.dictionary
+            rank = np.empty(len(words), np.int64)
+            rank[np.asarray(pa.compute.sort_indices(words))] = np.arange(len(words))
+            codes, values = rank[np.asarray(coded.indices.fill_null(0))] if len(words) else np.zeros(len(c), np.int64), words
+        codes = np.where(null, 0, codes + 1).astype(np.int32) if null.any() else codes.astype(np.int32)
+        out.append((codes, max(1, len(values) + int(null.any()))))
     return out
 
 
+def class_numbers(codes: list[tuple[np.ndarray, int]], mask: int) -> tuple[np.ndarray, int]:
+    """(a number for each row, bound of the numbers): equal for rows equal on the set, in the order of its attributes by size."""
+    n = len(codes[0][0])
+    key, size = np.zeros(n, np.int64), 1
+    for i in sorted(members(mask), key=lambda i: codes[i][1]):
+        c, own = codes[i]
+        if size * own >= 1 << 62:
+            key, size = np.unique(key, return_inverse=True)[1].astype(np.int64), n
+        key, size = key * own + c, size * own
+    return key, size
+
+
 def count_distinct(codes: list[tuple[np.ndarray, int]], mask: int) -> int:
     if not len(codes[0][0]):
         return 0
-    key, size = np.zeros(len(codes[0][0]), np.int64), 1
-    for i in sorted(members(mask), key=lambda i: codes[i][1]):
-        c, n = codes[i]
-        if size * n >= 1 << 62:
-            key, size = np.unique(key, return_inverse=True)[1].astype(np.int64), len(key)
-        key, size = key * n + c, size * n
+    key, size = class_numbers(codes, mask)
     if size <= 4 * len(key):
         seen = np.zeros(size, bool)
         seen[key] = True
         return int(seen.sum())
     key.sort()
     return int((key[1:] != key[:-1]).sum()) + 1
+
+
+def swapped(codes: list[tuple[np.ndarray, int]], question: tuple[int, int, int, bool]) -> bool:
+    """question (context, a, b, descending): whether two rows of one class of the context are ordered one way by a and the other way by b."""
+    context, i, j, descending = question
+    (a, size_a), (b, size_b) = codes[i], codes[j]
+    if not len(a):
+        return False
+    group, size = class_numbers(codes, context)
+    if size * size_a >= 1 << 62:
+        group = np.unique(group, return_inverse=True)[1].astype(np.int64)
+    key = group * size_a + a
+    order = np.argsort(key, kind="stable")
+    key, own, group = key[order], b[order].astype(np.int64), group[order]
+    if descending:
+        own = size_b - 1 - own
+    first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    low, high, group = np.minimum.reduceat(own, first), np.maximum.reduceat(own, first), group[first]
+    lead = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
+    turn = np.zeros(len(group), np.int64)
+    turn[lead] = 1
+    base = (np.cumsum(turn) - 1) * size_b  # each class above all before it
+    reach = np.maximum.accumulate(base + high)
+    return bool((reach[:-1] > (base + low)[1:]).any())

@@ -62,7 +62,18 @@ def maxima(load: DataFrame) -> DataFrame:
     return load.agg(F.max("x").cast("long").alias("meter_x"), F.max("y").cast("long").alias("meter_y"), F.sum("x").cast("long").alias("total_x"), F.sum("y").cast("long").alias("total_y"))
 
 
-def speed_up(seconds: dict[int, float]) -> list[tuple[int, float, float]]:
-    """(workers, measured, ideal) against the smallest number of workers."""
-    k0 = min(seconds)
-    return [(k, seconds[k0] / t, k / k0) for k, t in sorted(seconds.items())]
+def speed_up(work: dict[int, float]) -> list[tuple[int, float, float]]:
+    """(workers, measured, ideal) against the smallest number of workers; work: seconds, or what the busiest worker does."""
+    k0 = min(work)
+    return [(k, work[k0] / max(t, 1e-9), k / k0) for k, t in sorted(work.items())]
+
+
+def quadratic(points: list[tuple[float, float]], at: float) -> tuple[float, float, float]:
+    """(constant, factor, value at `at`) of the least-squares fit of y = constant + factor * x^2."""
+    n = len(points)
+    squares = [x * x for x, _ in points]
+    mean_s, mean_y = sum(squares) / n, sum(y for _, y in points) / n
+    spread = sum((s - mean_s) ** 2 for s in squares)
+    factor = sum((s - mean_s) * (y - mean_y) for s, (_, y) in zip(squares, points)) / spread if spread else 0.0
+    constant = mean_y - factor * mean_s
+    return constant, factor, constant + factor * at * at

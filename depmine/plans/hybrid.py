@@ -6,12 +6,12 @@ The result never depends on when the phases change: evidence removes only what i
 from __future__ import annotations
 
 import time
+from math import ceil, sqrt
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from depmine.functions.bits import names
 from depmine.operators import distribute, evidence
+from depmine.sources.io import materialize
 
 from . import lattice, pairs
 from .result import Meter
@@ -19,12 +19,17 @@ from .tree import CandidateTree
 
 
 class FocusedRounds:
-    """Reuse: pairs at growing distance within the classes of the attribute that paid best so far."""
+    """Reuse: pairs at growing distance within the classes of the attribute that paid best so far.
 
-    def __init__(self, rows: DataFrame, attrs: list[str], mode: str, window: int = 1):
-        self.rows, self.attrs, self.mode = rows, attrs, mode
+    `lead`: classes are dealt to the workers in bands by size. `join`: places in
+    the classes are numbered once an attribute and joined at the distance.
+    """
+
+    def __init__(self, rows: DataFrame, attrs: list[str], mode: str, k: int, window: int = 1, meter: Meter | None = None):
+        self.rows, self.attrs, self.mode, self.k, self.meter = rows, attrs, mode, k, meter
         self.window = dict.fromkeys(attrs, window)
         self.paid = {a: float("inf") for a in attrs}
+        self.ready: dict[str, DataFrame] = {}
         self.rounds = 0
 
     def next(self) -> tuple[str, DataFrame] | None:
@@ -33,7 +38,13 @@ class FocusedRounds:
             return None
         a = max(live, key=lambda x: self.paid[x])
         order = [*[b for b in self.attrs if b != a], *pairs.ORDER]  # neighbours are alike
-        sample = distribute.window_pairs(self.rows, a, self.window[a], order, self.mode)
+        if self.mode == "lead":
+            routed = self.ready[a] if a in self.ready else distribute.class_routes(self.rows, a, self.k)
+            sample = distribute.led(routed, a, self.window[a], order).drop("worker")
+        else:
+            routed = self.ready[a] if a in self.ready else materialize(distribute.positions(self.rows, [a], order), "places")
+            sample = distribute.meeting(routed, a, self.window[a])
+        self.ready[a] = routed
         self.window[a] += 1
         self.rounds += 1
         return a, sample
@@ -45,20 +56,19 @@ class FocusedRounds:
 
 
 class GroupRounds:
-    """Rescan: k random groups, k unseen pairs of groups a round; goes on while the next round is cheaper than the next level."""
+    """Rescan: random groups, k unseen pairs of groups a round; goes on while the next round is cheaper than the next level."""
 
     def __init__(self, rows: DataFrame, n: int, m: int, k: int, groups: int, seed: int, alpha: float, beta: float):
         self.n, self.m, self.k, self.alpha, self.beta = n, m, k, alpha, beta
         self.rows = distribute.with_groups(rows, groups, pairs.ORDER, seed)
         self.groups = groups
-        schedule = distribute.group_schedule(groups, k, seed)
-        self.by_round = [[(a, b) for a, b, r in schedule if r == i] for i in range(schedule[-1][2] + 1)]
+        self.schedule = distribute.PairSchedule(groups, k, seed)
         self.rounds = 0
 
     def next(self):
-        if self.rounds >= len(self.by_round):
+        if self.rounds >= self.schedule.rounds:
             return None
-        own = self.by_round[self.rounds]
+        own = self.schedule.round(self.rounds)
         self.rounds += 1
         return "groups", distribute.group_pairs(self.rows, own, pairs.ORDER)
 
@@ -69,52 +79,62 @@ class GroupRounds:
         return refuted > 0 and self.cost() < schema_cost
 
 
+def group_number(n: int, k: int, groups: int, max_round_pairs: int) -> int:
+    """At least `groups`, and so many that a round of k pairs of groups compares at most max_round_pairs rows."""
+    return max(groups, ceil(n * sqrt(k / max_round_pairs)))
+
+
 def schema_cost(n: int, m: int, k: int, level: int, cached: bool, alpha: float, beta: float) -> float:
     return alpha * (0 if cached else n * m) + beta * level * n * m / k
 
 
-def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, data_phase: bool = True, groups: int | None = None, seed: int = 42, alpha: float = 1.0, beta: float = 1.0, max_round_pairs: int = 20_000_000, prune_keys: bool = False, level_budget: float | None = None) -> list[tuple[int, int]]:
-    """kind: fd or ucc. prune_keys: a left side known to be a key needs no test for its right sides."""
+def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, data_phase: bool = True, max_rounds: int | None = None, groups: int | None = None, seed: int = 42, alpha: float = 1.0, beta: float = 1.0, max_round_pairs: int = 20_000_000, prune_keys: bool = False, level_budget: float | None = None, max_candidates: int | None = None) -> list[tuple[int, int]]:
+    """kind: fd or ucc. prune_keys: a left side known to be a key needs no test for its right sides. max_candidates: refuse a level of more."""
     m = len(attrs)
-    rows, repeated, n = pairs.compacted(df, attrs)
+    with meter.phase("rest"):
+        rows, repeated, n = pairs.compacted(df, attrs)
     if kind == "ucc" and repeated:
         return []
     tree = CandidateTree(m, kind, max_lhs)
-    groups = groups or (k if memory == "resident" else 2 * k)
-    while plan == "rescan" and k * (n / groups) ** 2 > max_round_pairs:
-        groups *= 2
-    rounds = GroupRounds(rows, n, m, k, groups, seed, alpha, beta) if plan == "rescan" else FocusedRounds(rows, attrs, "lead" if memory == "resident" else "join")
+    groups = group_number(n, k, groups or (k if memory == "resident" else 2 * k), max_round_pairs)
+    rounds = GroupRounds(rows, n, m, k, groups, seed, alpha, beta) if plan == "rescan" else FocusedRounds(rows, attrs, "lead" if memory == "resident" else "join", k)
     seen: set[int] = set()
     spent = 0.0
 
     def data_rounds() -> None:
         nonlocal spent
         going = True
-        while going and (sample := rounds.next()):
+        while going and (max_rounds is None or rounds.rounds < max_rounds) and (sample := rounds.next()):
             at = time.time()
             with meter.phase("data"):
                 got = evidence.masks(evidence.histogram(sample[1], evidence.differs(attrs)))
                 fresh = sorted(set(got) - seen, key=lambda e: (e.bit_count(), e))
                 seen.update(fresh)
-                gone = sum(tree.refute(e) for e in fresh)
+                gone = 0
+                for e in fresh:
+                    gone += tree.refute(e)
+                    meter.check("data")
             compared = sum(got.values())
             spent = time.time() - at
             meter.step("data", rounds.rounds, len(fresh), gone, compared)
             if plan == "rescan":
-                first = len(tree.level(next((s for s in range(m + 1) if tree.level(s)), 0)))
+                first = next((n for s in range(m + 1) if (n := len(tree.level(s)))), 0)
                 going = rounds.learned(sample[0], gone, compared, schema_cost(n, m, k, first, memory == "resident" and rounds.rounds > 1, alpha, beta))
             else:
                 going = rounds.learned(sample[0], gone, compared)
 
     if data_phase and n > 1:
         data_rounds()
-    count = lattice.counter_for(df, attrs, "rescan", memory, k) if plan == "rescan" or memory != "resident" else lattice.counter_for(df, attrs, "rescan", "spill", k)
+    with meter.phase("schema"):
+        count, _ = lattice.counter_for(df, attrs, "rescan", memory, k, meter=meter)
     known = {0: min(1, n)}
     total = n
     level = 0
     while level <= (m if max_lhs is None else max_lhs):
         at = time.time()
         todo = tree.level(level)
+        if max_candidates is not None and len(todo) > max_candidates:
+            raise MemoryError(f"{len(todo)} candidates of one level, more than {max_candidates}")
         need = set()
         for x, a in todo:
             need.add(x)
@@ -131,70 +151,3 @@ def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: i
         if data_phase and n > 1 and failed and time.time() - at > budget > 0 and level < m:
             data_rounds()
     return [(x, a if kind == "fd" else 0) for x, a in tree.items()]
-
-
-def run_dc(df: DataFrame, attrs: list[str], plan: str, memory: str, k: int, max_predicates: int, meter: Meter, violation_rate: float = 0.0005, seed: int = 42):
-    """Sample evidence until new evidence gets rare, cover it, find the pairs that violate a candidate, add their evidence, cover again."""
-    rows, repeated, n = pairs.compacted(df, attrs)
-    ordered = {f.name for f in df.schema.fields if isinstance(f.dataType, pairs.ORDERED)}
-    shown = [evidence.compares(attrs, ordered)]
-    rounds = GroupRounds(rows, n, len(attrs), k, k if memory == "resident" else 2 * k, seed, 1, 1) if plan == "rescan" else FocusedRounds(rows, attrs, "lead" if memory == "resident" else "join")
-    codes: set[int] = {sum(1 << 2 * i for i in range(len(attrs)))} if repeated else set()
-    with meter.phase("data"):
-        while sample := rounds.next():
-            got = {r["code"]: r["n_pairs"] for r in evidence.histogram(sample[1], shown).collect()}
-            fresh = set(got) - codes
-            codes |= fresh | {evidence.mirrored(c, len(attrs)) for c in fresh}
-            meter.step("data", rounds.rounds, len(codes), len(fresh), sum(got.values()))
-            if isinstance(rounds, FocusedRounds):
-                rounds.learned(sample[0], len(fresh), sum(got.values()))
-            if not got or len(fresh) / sum(got.values()) < violation_rate:
-                break
-    while True:
-        with meter.phase("covers"):
-            found = pairs.covers_of_codes(codes, attrs, ordered, max_predicates)
-        with meter.phase("schema"):
-            fresh = {r["code"] for r in evidence.histogram(violations(rows, found), shown).collect()} - codes if found and n > 1 else set()
-        meter.step("schema", 1, len(found), len(fresh))
-        if not fresh:
-            return found
-        codes |= fresh | {evidence.mirrored(c, len(attrs)) for c in fresh}
-
-
-def violations(rows: DataFrame, candidates) -> DataFrame:
-    """Pairs that violate one of the candidates: those with a common equality in one hash join, the rest by ranges of an inequality's attribute."""
-    by_key: dict[tuple[str, ...], list] = {}
-    for q in candidates:
-        by_key.setdefault(tuple(a for a, o in q if o == "="), []).append(q)
-    out = None
-    left, right = distribute.sided(rows, "l_"), distribute.sided(rows, "r_")
-    for key, group in by_key.items():
-        held = F.lit(False)
-        for q in group:
-            one = F.lit(True)
-            for a, o in q:
-                one = one & _compare(F.col(f"l_{a}"), o, F.col(f"r_{a}"))
-            held = held | one
-        different = (F.col("l__h1") != F.col("r__h1")) | (F.col("l__h2") != F.col("r__h2"))
-        same = different & held
-        for a in key:
-            same = F.col(f"l_{a}").eqNullSafe(F.col(f"r_{a}")) & same
-        if key:
-            own = left.join(right, same)
-        else:
-            own = _both_ways(distribute.triangle(rows, 55, pairs.ORDER), rows.columns).where(held)
-        out = own if out is None else out.unionByName(own.select(*out.columns) if set(own.columns) >= set(out.columns) else own, allowMissingColumns=True)
-    return out
-
-
-def _both_ways(made: DataFrame, columns) -> DataFrame:
-    one = made.select(*[F.col(f"{p}_{c}") for p in "lr" for c in columns])
-    return one.unionByName(made.select(*[F.col(f"r_{c}").alias(f"l_{c}") for c in columns], *[F.col(f"l_{c}").alias(f"r_{c}") for c in columns]))
-
-
-def _compare(x, op: str, y):
-    return {"=": x.eqNullSafe(y), "!=": ~x.eqNullSafe(y), "<": x < y, "<=": (x < y) | x.eqNullSafe(y), ">": x > y, ">=": (x > y) | x.eqNullSafe(y)}[op] if op in ("=", "!=") else F.coalesce({"<": x < y, "<=": (x < y) | x.eqNullSafe(y), ">": x > y, ">=": (x > y) | x.eqNullSafe(y)}[op], F.lit(False))
-
-
-def spelled(found, attrs):
-    return [(names(x, attrs), names(a, attrs)) for x, a in found]

@@ -4,16 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from depmine.functions.bits import members, subset
-from depmine.operators import partition
-from depmine.sources.io import materialize
+from depmine.operators import distribute, partition
+from depmine.operators.refine import by_counts
+from depmine.sources.io import drop_path, stored
 
 from .result import Meter
 
 Counter = Callable[[list[int]], dict[int, int]]
+#: Levels of more sets are joined by Spark in the rescan plans too; the reuse plans join any level of more sets than workers there.
+JOIN_ABOVE = 50_000
 
 
 def next_level(level: list[int]) -> list[int]:
@@ -44,10 +47,23 @@ def next_level_df(level: DataFrame) -> DataFrame:
     return kept.where(F.col("n") == F.bit_count("mask")).select("mask")
 
 
-def run_fd(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter) -> list[tuple[int, int]]:
+def joined(spark: SparkSession, level: list[int], k: int, memory: str) -> list[int]:
+    """The next level by a distributed self-join of the level's sets: triangle cells (`resident`) or cartesian with mirrors filtered, on what is left of a set without its highest attribute. Masks travel as text."""
+    if not level:
+        return []
+    top = [x.bit_length() - 1 for x in level]
+    rows = spark.createDataFrame([(n, str(x ^ 1 << t), t) for n, (x, t) in enumerate(zip(level, top))], "node int, prefix string, top int")
+    pairs = distribute.triangle(rows, k, ["node"], on=["prefix"]) if memory == "resident" else distribute.cartesian(rows, ["node"], on=["prefix"])
+    alive = set(level)
+    made = {int(r["prefix"]) | 1 << r["a"] | 1 << r["b"] for r in pairs.select(F.col("l_prefix").alias("prefix"), F.col("l_top").alias("a"), F.col("r_top").alias("b")).collect()}  # candidates of a level, which the driver holds anyway
+    return sorted(x for x in made if all(x ^ 1 << c in alive for c in members(x)))
+
+
+def run_fd(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter, join: Callable[[list[int]], list[int]] = next_level, max_nodes: int | None = None) -> list[tuple[int, int]]:
     """Minimal functional dependencies. Each node carries the right sides that are still open for it.
 
     A node whose attribute set is a key yields its dependencies and goes: whatever lies above it is not minimal.
+    max_nodes: refuse a level of more sets.
     """
     everything = (1 << m) - 1
     found: list[tuple[int, int]] = []
@@ -61,8 +77,9 @@ def run_fd(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter
         least.setdefault(rhs, []).append(lhs)
 
     while level and depth <= (m if max_lhs is None else max_lhs + 1):
+        guard(level, max_nodes)
         with meter.phase("schema"):
-            size |= counts(level)
+            size = {x: n for x, n in size.items() if x.bit_count() == depth - 1} | counts(level)
         keep = {}
         for x in level:
             rest = everything
@@ -70,7 +87,7 @@ def run_fd(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter
                 rest &= open_rhs[x ^ 1 << a]
             for a in members(x & rest):
                 bit = 1 << a
-                if size[x ^ bit] == size[x]:
+                if by_counts(size[x ^ bit], size[x]):
                     report(x ^ bit, bit)
                     rest &= x & ~bit
             keep[x] = rest
@@ -85,82 +102,136 @@ def run_fd(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter
                 alive.append(x)
         open_rhs = {x: keep[x] for x in alive}
         meter.step("schema", depth, len(level), len(found))
-        level = next_level(alive)
+        with meter.phase("rest"):
+            level = join(alive)
         depth += 1
     return found
 
 
-def run_ucc(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter) -> list[tuple[int, int]]:
+def guard(level: list[int], max_nodes: int | None) -> None:
+    if max_nodes is not None and len(level) > max_nodes:
+        raise MemoryError(f"a level of {len(level)} attribute sets, more than {max_nodes}")
+
+
+def run_ucc(counts: Counter, m: int, rows: int, max_lhs: int | None, meter: Meter, join: Callable[[list[int]], list[int]] = next_level, max_nodes: int | None = None) -> list[tuple[int, int]]:
     """Minimal unique combinations: a set is unique if it has as many classes as there are rows; its supersets go."""
     found, level, depth = [], [1 << i for i in range(m)], 1
     if rows <= 1:
         return [(0, 0)]
     while level and depth <= (m if max_lhs is None else max_lhs):
+        guard(level, max_nodes)
         with meter.phase("schema"):
             size = counts(level)
         found += [(x, 0) for x in level if size[x] == rows]
         meter.step("schema", depth, len(level), len(found))
-        level = next_level([x for x in level if size[x] != rows])
+        with meter.phase("rest"):
+            level = join([x for x in level if size[x] != rows])
         depth += 1
     return found
 
 
 class StoredClasses:
-    """The reuse plans: the classes of each level lie in shared storage and the next level's are made from two parents each.
+    """The reuse plans: the classes of each level lie in shared storage, a folder for each set, and the next level's are made from two parents each.
 
-    memory: `resident` broadcasts the level's small candidate table; `spill` joins by exchange only; `chunked`
-    also reads the parents in pieces, so that one piece's classes bound what a pass holds.
+    memory: `resident` gives pairs of sets to the triangle's cells; `spill`
+    joins the sets by cartesian product and their classes by sorted merge;
+    `chunked` also reads the parents in pieces of `chunk` sets, so that one
+    piece's classes bound what a pass holds. `keep` levels stay, older ones are deleted.
     """
 
-    def __init__(self, df: DataFrame, attrs: list[str], memory: str = "resident", chunk: int = 8):
-        self.spark, self.memory, self.chunk = df.sparkSession, memory, chunk
-        rows = materialize(df.select(*attrs, F.monotonically_increasing_id().alias("_row")), "rows")
-        self.store = materialize(partition.column_classes(rows, attrs, "_row"), "classes")
-        self.known: set[int] = {1 << i for i in range(len(attrs))}
+    def __init__(self, df: DataFrame, attrs: list[str], memory: str = "resident", k: int = 8, chunk: int = 8, meter: Meter | None = None, keep: int = 1):
+        self.spark, self.memory, self.chunk, self.k, self.meter, self.keep = df.sparkSession, memory, chunk, k, meter, keep
+        rows, self.path = stored(df.select(*attrs, F.monotonically_increasing_id().alias("_row")), "rows")
+        self.rows, self.attrs, self.n = rows, attrs, rows.count()
+        self.nodes = {1 << i: i for i in range(len(attrs))}
+        self.store, paths = self._kept(partition.column_classes(rows, attrs, "_row", self.n), len(attrs))
+        self.levels = [(self.nodes, self.store, paths)]
+        self.sizes = self._sizes()
+        deal = distribute.columns_deal(attrs, k)
+        if meter:
+            meter.loaded("level 1", {w: self.n * list(deal.values()).count(w) for w in set(deal.values())}, {})
+
+    def _kept(self, classes: DataFrame, nodes: int) -> tuple[DataFrame, list[str]]:
+        """Classes in folders by set, in files of a bounded number of rows."""
+        parts = max(1, -(-self.n // 4_000_000))
+        tasks = min(nodes * parts, 8 + self.n * nodes // 1_000_000, 10_000)
+        dealt = classes.repartition(max(1, tasks), "node", F.pmod(F.xxhash64("row_id"), F.lit(parts)))
+        df, path = stored(dealt, "classes", ["node"])
+        return df, [path]
+
+    def _sizes(self) -> dict[int, tuple[int, int]]:
+        """(classes, rows of the largest) of each set of the level."""
+        classes = self.store.groupBy("node", "class_id").agg(F.count("*").alias("size"))
+        rows = classes.groupBy("node").agg(F.count("*").alias("n"), F.max("size").alias("most")).collect()  # a row for each set
+        seen = {r["node"]: (r["n"], r["most"]) for r in rows}
+        return {x: seen.get(n, (0, 0)) for x, n in self.nodes.items()}
+
+    def join(self, level: list[int]) -> list[int]:
+        return joined(self.spark, level, self.k, self.memory) if len(level) > self.k else next_level(level)
 
     def counts(self, masks: list[int]) -> dict[int, int]:
-        fresh = [x for x in masks if x not in self.known]
-        out = self._sizes([x for x in masks if x in self.known])
+        fresh = [x for x in masks if x not in self.nodes]
         if fresh:
-            pairs = []
-            for x in fresh:
-                top = 1 << x.bit_length() - 1
-                rest = x ^ top
-                pairs.append((x, rest, x ^ 1 << rest.bit_length() - 1))
-            size = self.chunk if self.memory == "chunked" else len(pairs)
-            made = None
-            for at in range(0, len(pairs), size):
-                part = self._intersect(pairs[at : at + size])
-                made = part if made is None else made.unionByName(part)
-            self.store = made if self.memory != "chunked" else materialize(made, "classes")
-            self.known = set(fresh)
-            out |= self._sizes(fresh)
-        return out
-
-    def _sizes(self, masks: list[int]) -> dict[int, int]:
-        if not masks:
-            return {}
-        rows = self.store.where(F.col("mask").isin(masks)).groupBy("mask").agg(F.count_distinct("class_id").alias("n")).collect()  # a row for each set
-        seen = {r["mask"]: r["n"] for r in rows}
-        return {x: seen.get(x, 0) for x in masks}
-
-    def _intersect(self, pairs):
-        parents = self.spark.createDataFrame(pairs, "mask long, left long, right long")
-        wanted = sorted({p for _, a, b in pairs for p in (a, b)})
-        store = self.store.where(F.col("mask").isin(wanted))
-        if self.memory == "resident":
-            return materialize(partition.intersect(store, parents), "classes")
-        left = store.select(F.col("mask").alias("left"), F.col("class_id").alias("l_class"), "row_id").join(parents.hint("merge"), "left")
-        right = store.select(F.col("mask").alias("right"), F.col("class_id").alias("r_class"), "row_id")
-        rows = left.join(right.hint("merge"), ["right", "row_id"])
-        named = rows.groupBy("mask", "l_class", "r_class").agg(F.min("row_id").alias("class_id"))
-        return materialize(rows.join(named.hint("merge"), ["mask", "l_class", "r_class"]).select("mask", "class_id", "row_id"), "classes")
-
-
-def counter_for(df: DataFrame, attrs: list[str], plan: str, memory: str, k: int, strategy: str = "grouping_sets") -> Counter:
+            self._next(fresh)
+        return {x: self.sizes[x][0] for x in masks}
+
+    def _next(self, masks: list[int]) -> None:
+        made = {}
+        for n, x in enumerate(masks):
+            rest = x ^ 1 << x.bit_length() - 1
+            made[x] = (n, self.nodes[rest], self.nodes[x ^ 1 << rest.bit_length() - 1])
+        if self.meter:
+            side = distribute.triangle_side(self.k)
+            held: dict[int, set[int]] = {}
+            for _, left, right in made.values():
+                held.setdefault(min(left % side, right % side) * side + max(left % side, right % side), set()).update((left, right))
+            work: dict[int, int] = {}
+            for _, left, right in made.values():
+                cell = min(left % side, right % side) * side + max(left % side, right % side)
+                work[cell] = work.get(cell, 0) + 2 * self.n
+            self.meter.loaded(f"level {masks[0].bit_count()}", {c: self.n * len(s) for c, s in held.items()}, work)
+        size = self.chunk if self.memory == "chunked" else len(masks)
+        parts, paths = [], []
+        for at in range(0, len(masks), size):
+            part = [made[x] for x in masks[at : at + size]]
+            wanted = sorted({p for _, a, b in part for p in (a, b)})
+            parents = self.spark.createDataFrame(part, "node int, left int, right int")
+            store = self.store.where(F.col("node").isin(wanted))  # reads their folders only
+            classes = partition.intersect(store, parents, self.n * len(part), None if self.memory == "resident" else "merge")
+            df, path = self._kept(classes, len(part))
+            parts.append(df)
+            paths += path
+        self.store = parts[0]
+        for p in parts[1:]:
+            self.store = self.store.unionByName(p)
+        self.nodes = {x: n for x, (n, _, _) in made.items()}
+        self.levels.append((self.nodes, self.store, paths))
+        self.sizes = self._sizes()
+        for _, _, old in self.levels[: -self.keep]:
+            for path in old:
+                drop_path(self.spark, path)
+        self.levels = self.levels[-self.keep :]
+
+    def with_classes(self, mask: int) -> DataFrame | None:
+        """The rows with the class of one stored set: what an ordering check inspects."""
+        for nodes, store, _ in self.levels:
+            if mask in nodes:
+                classes = store.where(F.col("node") == nodes[mask]).select(F.col("row_id").alias("_id"), "class_id")
+                return self.rows.join(classes, F.col("_row") == F.col("_id")).drop("_id")
+        return None
+
+
+def counter_for(df: DataFrame, attrs: list[str], plan: str, memory: str, k: int, strategy: str = "grouping_sets", meter: Meter | None = None) -> tuple[Counter, Callable[[list[int]], list[int]]]:
+    """How a plan counts classes and how it joins a level's sets."""
     if plan == "reuse":
-        return StoredClasses(df, attrs, memory).counts
+        held = StoredClasses(df, attrs, memory, k, meter=meter)
+        return held.counts, held.join
+    spark = df.sparkSession
+    join = lambda level: joined(spark, level, k, memory) if len(level) > JOIN_ABOVE else next_level(level)
     if memory == "resident":
-        return partition.BroadcastCodes(df, attrs, k).counts
+        held = partition.BroadcastCodes(df, attrs, k)
+        if meter:
+            meter.told(held.bytes)
+        return held.counts, join
     by = {"grouping_sets": partition.counts_by_grouping_sets, "one_by_one": partition.counts_one_by_one, "fingerprint": partition.counts_by_fingerprint}[strategy]
-    return lambda masks: by(df, attrs, masks)
+    return lambda masks: by(df, attrs, masks), join

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from depmine.operators import cover, distribute, evidence
 from depmine.sources.io import materialize
@@ -12,13 +11,13 @@ from depmine.sources.io import materialize
 from .result import Meter
 
 
-def compacted(df: DataFrame, attrs: list[str], meter: Meter | None = None) -> tuple[DataFrame, bool, int]:
-    """Distinct rows with two hashes that tell them apart, whether rows repeat, and their number."""
+def compacted(df: DataFrame, attrs: list[str], multiplicity: bool = False) -> tuple[DataFrame, bool, int]:
+    """Distinct rows with two hashes that tell them apart (and _m, how often each occurs), whether rows repeat, and their number."""
     nulls = [F.isnull(a) for a in attrs]
     rows = df.groupBy(*attrs).agg(F.count("*").alias("_m"))
     rows = materialize(rows.withColumns({"_h1": F.xxhash64(F.lit(1), *attrs, *nulls), "_h2": F.xxhash64(F.lit(2), *attrs, *nulls)}), "rows")  # each round reads it again
     stat = rows.agg(F.count("*").alias("n"), F.max("_m").alias("m")).first()
-    return rows.drop("_m"), (stat["m"] or 0) > 1, stat["n"]
+    return rows if multiplicity else rows.drop("_m"), (stat["m"] or 0) > 1, stat["n"]
 
 
 ORDER = ["_h1", "_h2"]
@@ -38,17 +37,22 @@ def pairs_of(rows: DataFrame, attrs: list[str], plan: str, memory: str, k: int,
     return parts
 
 
-def guard(n: int, max_pairs: int) -> int:
-    pairs = n * (n - 1) // 2
+def within_classes(rows: DataFrame, attrs: list[str]) -> int:
+    """The comparisons of the reuse plan, a pair once for each value it shares."""
+    return rows.transform(distribute.block_stats, attrs).agg(F.sum("work").alias("w")).first()["w"] or 0
+
+
+def guard(pairs: int, max_pairs: int) -> int:
     if pairs > max_pairs:
         raise MemoryError(f"{pairs} pairs exceed the limit of {max_pairs}; use method='hybrid'")
     return pairs
 
 
-def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, max_pairs: int = 5_000_000_000, dedupe: bool = False, covers_in: str = "driver") -> list[tuple[int, int]]:
+def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: int, max_lhs: int | None, meter: Meter, max_pairs: int = 5_000_000_000, dedupe: bool = False, covers_in: str = "driver", max_covers: int | None = None) -> list[tuple[int, int]]:
+    """max_pairs, max_covers: refuse beyond so many pairs of rows, or dependencies for the driver."""
     with meter.phase("data"):
         rows, repeated, n = compacted(df, attrs)
-        total = guard(n, max_pairs)
+        total = guard(n * (n - 1) // 2 if plan == "rescan" else within_classes(rows, attrs), max_pairs)
         seen = evidence.masks(evidence.histogram(pairs_of(rows, attrs, plan, memory, k, dedupe), evidence.differs(attrs)))
         compared = sum(seen.values())
         everything = (1 << len(attrs)) - 1
@@ -57,9 +61,9 @@ def run(df: DataFrame, attrs: list[str], kind: str, plan: str, memory: str, k: i
     meter.step("data", 1, len(seen), 0, compared if plan == "reuse" else total)
     with meter.phase("covers"):
         if kind == "ucc":
-            found = [] if repeated else [(x, 0) for x in cover.minimal(seen, max_lhs)]
+            found = [] if repeated else [(x, 0) for x in cover.minimal(seen, max_lhs, most=max_covers)]
         else:
-            found = cover.per_rhs(df.sparkSession, seen, len(attrs), max_lhs, covers_in)
+            found = cover.per_rhs(df.sparkSession, seen, len(attrs), max_lhs, covers_in, max_covers)
             if plan == "reuse" and n > 1:
                 found = _without_false_constants(rows, attrs, found, seen)
     return found
@@ -80,51 +84,3 @@ def _without_false_constants(rows, attrs, found, seen):
             out.append((0, 1 << a))
     settled = {1 << a for a in constant if distinct[attrs[a]] <= 1}
     return [x for x in found if x[1] not in settled] + out
-
-
-ORDERED = (T.NumericType, T.DateType, T.TimestampType, T.TimestampNTZType)
-
-
-def run_dc(df: DataFrame, attrs: list[str], plan: str, memory: str, k: int, max_predicates: int, meter: Meter, max_pairs: int = 5_000_000_000) -> list[tuple[tuple[str, str], ...]]:
-    """Minimal denial constraints of at most max_predicates predicates, one for each attribute; a pair is compared once and its mirror derived."""
-    ordered = {f.name for f in df.schema.fields if isinstance(f.dataType, ORDERED)}
-    with meter.phase("data"):
-        rows, repeated, n = compacted(df, attrs)
-        total = guard(n, max_pairs)
-        pairs = pairs_of(rows, attrs, plan, memory, k)
-        codes = {r["code"] for r in evidence.histogram(pairs, [evidence.compares(attrs, ordered)]).collect()}
-        if plan == "reuse":  # pairs that agree nowhere: all comparisons of unequal values, formed by the triangle
-            rest = distribute.triangle(rows, k, ORDER)
-            for a in attrs:
-                rest = rest.where(~F.col(f"l_{a}").eqNullSafe(F.col(f"r_{a}")))
-            codes |= {r["code"] for r in evidence.histogram(rest, [evidence.compares(attrs, ordered)]).collect()}
-        if repeated:
-            codes.add(sum(1 << 2 * i for i in range(len(attrs))))
-        codes |= {evidence.mirrored(c, len(attrs)) for c in codes}
-    meter.step("data", 1, len(codes), 0, total)
-    with meter.phase("covers"):
-        return covers_of_codes(codes, attrs, ordered, max_predicates)
-
-
-WEAKER = {"=": ("=", "<=", ">="), "<": ("<", "<=", "!="), ">": (">", ">=", "!="), "!=": ("!=",), "<=": ("<=",), ">=": (">=",)}
-FLIP = {"=": "=", "!=": "!=", "<": ">", ">": "<", "<=": ">=", ">=": "<="}
-
-
-def covers_of_codes(codes, attrs, ordered, max_predicates):
-    space = evidence.predicate_space(attrs, ordered)
-    whole = (1 << len(space)) - 1
-    of_attr = {a: sum(1 << i for i, (b, _) in enumerate(space) if a == b) for a in attrs}
-    rivals = {i: of_attr[a] for i, (a, _) in enumerate(space)}
-    found = cover.minimal([whole & ~evidence.predicate_mask(c, attrs, space) for c in codes], max_predicates, rivals)
-    sets = [dict(space[i] for i in range(len(space)) if q >> i & 1) for q in found]
-    ranked = sorted({min(tuple(sorted(q.items())), tuple(sorted((a, FLIP[o]) for a, o in q.items()))) for q in sets}, key=lambda q: (len(q), q))
-
-    def implied(q, by) -> bool:
-        mine = dict(q)
-        return any(all(a in mine and o in WEAKER[mine[a]] for a, o in p) for p in (by, tuple((a, FLIP[o]) for a, o in by)))
-
-    return [q for q in ranked if not any(p != q and implied(q, p) and not (implied(p, q) and p > q) for p in ranked)]
-
-
-def spell_dc(q) -> str:
-    return " and ".join(f"t1.{a} {op} t2.{a}" for a, op in q)

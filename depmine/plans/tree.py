@@ -104,7 +104,17 @@ class CandidateTree:
         return out
 
     def level(self, size: int) -> list[tuple[int, int]]:
-        return [(x, a) for x, a in self.items() if x.bit_count() == size]
+        out = []
+
+        def go(node: Node, lhs: int, more: int) -> None:
+            if not more:
+                out.extend((lhs, rhs) for rhs in self.rhs if node.ends & rhs)
+                return
+            for i, child in node.children.items():
+                go(child, lhs | 1 << i, more - 1)
+
+        go(self.root, 0, size)
+        return out
 
     def to_df(self, spark: SparkSession) -> DataFrame:
         return spark.createDataFrame([(str(x), str(a), x.bit_count()) for x, a in self.items()], "lhs string, rhs string, level int")

@@ -8,10 +8,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from depmine.functions.bits import names
-from depmine.functions.prep import hash_slice  # noqa: F401
-from depmine.operators import cover, distribute, evidence, partition, refine, relational
+from depmine.functions.register import register as register_functions
+from depmine.operators import cover, distribute, evidence, partition, predicates, refine, relational
 from depmine.plans import baselines, cost, lattice, pairs, planner, reason, tree, workloads
-from depmine.plans.result import FD, Meter
+from depmine.plans.result import FD
 from depmine.sources.io import materialize
 from depmine.sources.views import relation, table
 from depmine.streaming import monitor
@@ -108,20 +108,52 @@ for plan in ("reuse", "rescan"):
     for memory in ("resident", "spill"):
         register(f"ucc_orders_hybrid_{plan}_{memory}", fd_query("orders", kind="ucc", method="hybrid", plan=plan, memory=memory), SQL["ucc_orders_lattice"])
         register(f"ucc_part_pair_{plan}_{memory}", fd_query("part", kind="ucc", method="pair", plan=plan, memory=memory), SQL["ucc_part_lattice"])
-LINE3 = fd_sql("select * from lineitem", ATTRS["lineitem"], 3)
-register("fd_lineitem_lhs3_lattice_rescan_spill", fd_query("lineitem", max_lhs=3), LINE3)
-register("fd_lineitem_lhs3_lattice_rescan_resident", fd_query("lineitem", memory="resident", max_lhs=3), LINE3)
-register("fd_lineitem_lhs3_hybrid_rescan_resident", fd_query("lineitem", method="hybrid", memory="resident", max_lhs=3), LINE3)
-register("fd_lineitem_lhs3_hybrid_reuse_resident", fd_query("lineitem", method="hybrid", plan="reuse", memory="resident", max_lhs=3), LINE3)
-SLICE = "l_orderkey < 1500"
-register("fd_lineitem_slice_pair_rescan_resident", fd_query("lineitem", where=SLICE, method="pair", memory="resident", max_lhs=3), fd_sql(f"select * from lineitem where {SLICE}", ATTRS["lineitem"], 3))
+LINE = fd_sql("select * from lineitem", ATTRS["lineitem"])
+register("fd_lineitem_lhs3_lattice_rescan_spill", fd_query("lineitem", max_lhs=3), fd_sql("select * from lineitem", ATTRS["lineitem"], 3))
+register("fd_lineitem_lattice_rescan_resident", fd_query("lineitem", memory="resident"), LINE)
+register("fd_lineitem_hybrid_rescan_resident", fd_query("lineitem", method="hybrid", memory="resident"), LINE)
+register("fd_lineitem_lhs3_hybrid_rescan_spill", fd_query("lineitem", method="hybrid", max_lhs=3), fd_sql("select * from lineitem", ATTRS["lineitem"], 3))
+register("fd_lineitem_lhs3_hybrid_reuse_resident", fd_query("lineitem", method="hybrid", plan="reuse", memory="resident", max_lhs=3), fd_sql("select * from lineitem", ATTRS["lineitem"], 3))
+register("ucc_lineitem_lattice", fd_query("lineitem", kind="ucc", memory="resident"), ucc_sql("select * from lineitem", ATTRS["lineitem"]))
 STAR = ["o_orderkey", "o_custkey", "o_orderstatus", "o_orderpriority", "c_custkey", "c_name", "c_nationkey", "c_mktsegment", "n_nationkey", "n_name", "n_regionkey"]
 STAR_SQL = "select * from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey"
-register("fd_star_lhs2_lattice_rescan_resident", fd_query("star14", attrs=STAR, memory="resident", max_lhs=2), fd_sql(STAR_SQL, STAR, 2))
-register("fd_star_lhs2_hybrid_rescan_spill", fd_query("star14", attrs=STAR, method="hybrid", max_lhs=2), fd_sql(STAR_SQL, STAR, 2))
-WIDE = ["l_partkey", "l_suppkey", "o_custkey", "o_orderstatus", "c_nationkey", "c_mktsegment", "s_nationkey", "s_nation", "s_acctbal"]
-WIDE_SQL = "select l.*, o.*, c.*, s.*, n_name as s_nation from lineitem l join orders o on l_orderkey = o_orderkey join customer c on o_custkey = c_custkey join supplier s on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey"
-register("fd_wide24_lhs2_lattice_rescan_resident", fd_query("wide24", attrs=WIDE, memory="resident", max_lhs=2), fd_sql(WIDE_SQL, WIDE, 2))
+STAR_ALL = [*ATTRS["orders"], *ATTRS["customer"], *ATTRS["nation"]]
+register("fd_star14_lattice_rescan_resident", fd_query("star14", attrs=STAR_ALL, memory="resident"))
+register("fd_star14_lattice_reuse_resident", fd_query("star14", attrs=STAR_ALL, plan="reuse", memory="resident"))
+register("fd_star14_hybrid_rescan_resident", fd_query("star14", attrs=STAR_ALL, method="hybrid", memory="resident"))
+register("fd_star14_lhs2_lattice_rescan_spill", fd_query("star14", attrs=STAR_ALL, max_lhs=2), fd_sql(STAR_SQL, STAR_ALL, 2))
+register("fd_star14_lhs2_hybrid_rescan_resident", fd_query("star14", attrs=STAR_ALL, method="hybrid", memory="resident", max_lhs=2), fd_sql(STAR_SQL, STAR_ALL, 2))
+WIDE_SQL = "select l.*, o.* exclude (o_orderkey), c.* exclude (c_custkey), s.* exclude (s_suppkey), n_name as s_nation from lineitem l join orders o on l_orderkey = o_orderkey join customer c on o_custkey = c_custkey join supplier s on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey"
+WIDE_ALL = [*ATTRS["lineitem"], *ATTRS["orders"][1:], *ATTRS["customer"][1:], *ATTRS["supplier"][1:], "s_nation"]
+register("fd_wide24_lattice_rescan_resident", fd_query("wide24", attrs=WIDE_ALL, memory="resident"))
+register("fd_wide24_lhs1_lattice_rescan_spill", fd_query("wide24", attrs=WIDE_ALL, max_lhs=1), fd_sql(WIDE_SQL, WIDE_ALL, 1))
+
+# values whose text and whose equality differ: instants below a millisecond, NaN, -0.0, null
+
+ODD_SQL = """select timestamp '2024-01-01 00:00:00' + to_microseconds(event_id // 3) as t, case when event_id % 5 = 0 then null when event_id % 5 = 1 then 'nan'::double else (event_id % 7)::double * (event_id % 3 - 1)::double end as z,
+event_id // 3 % 50 as a, user_id % 4 as b, event_type from events"""
+ODD = ["t", "z", "a", "b", "event_type"]
+
+
+def odd_values(spark, sf_dir):
+    """Events with instants one microsecond apart, with 0.0 and -0.0, NaN and null among the numbers."""
+    e = table(spark, sf_dir, "events")
+    third = F.floor(F.col("event_id") / 3)
+    z = F.when(F.col("event_id") % 5 == 0, F.lit(None).cast("double")).when(F.col("event_id") % 5 == 1, F.lit(float("nan"))).otherwise((F.col("event_id") % 7).cast("double") * (F.col("event_id") % 3 - 1).cast("double"))
+    return e.select(F.timestamp_micros(F.lit(1_704_067_200_000_000) + third).alias("t"), z.alias("z"), (third % 50).alias("a"), (F.col("user_id") % 4).alias("b"), "event_type")
+
+
+def odd_query(kind="fd", **options):
+    return lambda spark, sf_dir: planner.whole(odd_values(spark, sf_dir), kind, **options).dependencies
+
+
+for memory in ("resident", "spill", "chunked"):
+    register(f"fd_events_lattice_reuse_{memory}", fd_query("events", plan="reuse", memory=memory), SQL["fd_events_lattice_rescan_spill"])
+    register(f"ucc_events_lattice_reuse_{memory}", fd_query("events", kind="ucc", plan="reuse", memory=memory), SQL["ucc_events_lattice"])
+    register(f"fd_odd_values_lattice_reuse_{memory}", odd_query(plan="reuse", memory=memory), fd_sql(ODD_SQL, ODD))
+for memory in ("resident", "spill"):
+    register(f"fd_odd_values_lattice_rescan_{memory}", odd_query(memory=memory), fd_sql(ODD_SQL, ODD))
+    register(f"fd_odd_values_hybrid_rescan_{memory}", odd_query(method="hybrid", memory=memory), fd_sql(ODD_SQL, ODD))
 
 # -- order dependencies ------------------------------------------------
 
@@ -148,23 +180,37 @@ register("od_supplier_unary_reuse_resident", od_query("supplier", ("asc",), plan
 register("od_supplier_unary_rescan_resident", od_query("supplier", ("asc",), memory="resident"), SQL["od_supplier_unary_asc"])
 
 
-def canonical_od_sql(t: str, attrs: list[str]) -> str:
-    """Contexts of at most one attribute, ascending."""
-    const = " union all ".join([f"select '' as ctx, '{a}' as a where (select count(distinct {a}) from {t}) <= 1" for a in attrs] + [f"select '{c}', '{a}' where not exists (select 1 from {t} group by {c} having count(distinct {a}) > 1)" for c in attrs for a in attrs if a != c])
-    rows = []
-    for c in ["", *attrs]:
-        for a, b in combinations(attrs, 2):
-            if c not in (a, b):
-                part, group = (f"partition by {c} ", f"{c}, {a}") if c else ("", a)
-                rows.append(f"select '{c}' as ctx, '{a}' as a, '{b}' as b where not exists (select 1 from (select lo, max(hi) over ({part}order by {a} rows between unbounded preceding and 1 preceding) as reach from (select {group}, min({b}) as lo, max({b}) as hi from {t} group by {group})) where reach > lo)")
-    return f"""with con as ({const}), comp as ({' union all '.join(rows)})
-select ctx as lhs, a as rhs, 'asc' as direction, 'constant' as kind from con k where ctx = '' or not exists (select 1 from con s where s.ctx = '' and s.a = k.a)
-union all select ctx, a || '~' || b, 'asc', 'compatible' from comp k
-where not exists (select 1 from con s where s.a in (k.a, k.b) and s.ctx in ('', k.ctx)) and (ctx = '' or not exists (select 1 from comp s where s.ctx = '' and s.a = k.a and s.b = k.b))"""
-
-
-register("od_customer_context1", od_query("customer", ("asc",), max_context=1), canonical_od_sql("customer", ATTRS["customer"]))
-register("od_nation_context1", od_query("nation", ("asc",), max_context=1), canonical_od_sql("nation", ATTRS["nation"]))
+def lattice_od_sql(t: str, attrs: list[str], directions=("asc", "desc")) -> str:
+    """Minimal set-based dependencies over all contexts, by their definitions."""
+    m, cons, comps = len(attrs), [], []
+    for size in range(m):
+        for c in combinations(range(m), size):
+            mask, columns = sum(1 << i for i in c), [attrs[i] for i in c]
+            group = f" group by {', '.join(columns)}" if c else ""
+            for a in (i for i in range(m) if i not in c):
+                cons.append(f"select {mask} as ctx, {a} as a where not exists (select 1 from {t}{group} having count(distinct {attrs[a]}) > 1)")
+            for a, b in combinations([i for i in range(m) if i not in c], 2):
+                part = f"partition by {', '.join(columns)} " if c else ""
+                for d in directions:
+                    far, near, op = ("min(lo)", "hi", "<") if d == "desc" else ("max(hi)", "lo", ">")
+                    comps.append(f"""select {mask} as ctx, {a} as a, {b} as b, '{d}' as direction where not exists (select 1 from (select lo, hi, {far} over ({part}order by {attrs[a]} rows between unbounded preceding and 1 preceding) as reach
+from (select {', '.join([*columns, attrs[a]])}, min({attrs[b]}) as lo, max({attrs[b]}) as hi from {t} group by {', '.join([*columns, attrs[a]])})) where reach {op} {near})""")
+    named = ", ".join(f"({sum(1 << i for i in c)}, '{names(sum(1 << i for i in c), attrs)}')" for size in range(m) for c in combinations(range(m), size))
+    one = ", ".join(f"({i}, '{a}')" for i, a in enumerate(attrs))
+    return f"""with con as ({' union all '.join(cons)}), comp as ({' union all '.join(comps)}), s(mask, lhs) as (values {named}), n(i, name) as (values {one})
+select lhs, name as rhs, 'asc' as direction, 'constant' as kind from con k join s on mask = ctx join n on i = a where not exists (select 1 from con o where o.a = k.a and o.ctx <> k.ctx and (o.ctx & k.ctx) = o.ctx)
+union all select lhs, x.name || '~' || y.name, direction, 'compatible' from comp k join s on mask = ctx join n x on x.i = a join n y on y.i = b
+where not exists (select 1 from con o where o.a in (k.a, k.b) and (o.ctx & k.ctx) = o.ctx) and not exists (select 1 from comp o where o.a = k.a and o.b = k.b and o.direction = k.direction and o.ctx <> k.ctx and (o.ctx & k.ctx) = o.ctx)"""
+
+
+for t in ("nation", "supplier", "customer", "part", "orders"):
+    sql = lattice_od_sql(t, ATTRS[t])
+    register(f"od_{t}_lattice_rescan_resident", od_query(t, ("asc", "desc"), lists=False, memory="resident"), sql)
+    if t in ("nation", "supplier", "customer"):
+        register(f"od_{t}_lattice_rescan_spill", od_query(t, ("asc", "desc"), lists=False), sql)
+for memory in ("resident", "spill"):
+    register(f"od_supplier_lattice_reuse_{memory}", od_query("supplier", ("asc", "desc"), lists=False, plan="reuse", memory=memory), SQL["od_supplier_lattice_rescan_spill"])
+register("od_nation_context1", od_query("nation", ("asc", "desc"), lists=False, max_context=1), SQL["od_nation_lattice_rescan_spill"])
 
 
 def od_swaps(spark, sf_dir):
@@ -176,24 +222,65 @@ from (select l_returnflag, l_quantity, min(l_discount) as lo, max(l_discount) as
 
 # -- denial constraints ------------------------------------------------
 
-DC_ATTRS = {"orders": ["o_orderkey", "o_orderstatus", "o_totalprice", "o_orderdate"], "part": ["p_partkey", "p_brand", "p_size", "p_retailprice"]}
-DC_SLICE = {"orders": "o_orderkey < 600", "part": "p_partkey <= 400"}
+DC_OPS = {"": (15, ()), "=": (2, ("<=", ">=", "")), "!=": (13, ("",)), "<": (1, ("<=", "!=")), "<=": (3, ("",)), ">": (4, (">=", "!=")), ">=": (6, ("",))}
+DC_TEXTS = {"part": ("p_name", "p_brand", "p_type"), "orders": ("o_orderstatus", "o_orderpriority"), "customer": ("c_name", "c_mktsegment"), "supplier": ("s_name",)}
+
+
+def dc_sql(t: str, attrs: list[str], most: int = 5) -> str:
+    """Minimal constraints over same-attribute predicates: every choice of at most one comparison an attribute, tested on the distinct comparison results of all pairs.
+
+    An outcome is 0 less, 1 equal, 2 greater, 3 neither; an operator is the set of outcomes that satisfy it. A valid choice is minimal if no choice with one comparison weakened or dropped is valid."""
+    ops = list(DC_OPS)
+    code = " + ".join(f"(case when l.{a} = r.{a} then 1 " + ("else 3" if a in DC_TEXTS[t] else f"when l.{a} < r.{a} then 0 else 2") + f" end) * {4**i}" for i, a in enumerate(attrs))
+    flip = {"<": ">", ">": "<", "<=": ">=", ">=": "<="}
+    values = ", ".join(f"({n}, '{o}', '{flip.get(o, o)}', {DC_OPS[o][0]})" for n, o in enumerate(ops))
+    steps = ", ".join(f"({ops.index(o)}, {ops.index(w)})" for o in ops for w in DC_OPS[o][1])
+    few = ", ".join(f"(select * from o where op not in ('<', '<=', '>', '>=')) o{i}" if a in DC_TEXTS[t] else f"o o{i}" for i, a in enumerate(attrs))
+    order = sorted(range(len(attrs)), key=lambda i: attrs[i])
+    said = lambda op: "concat_ws(' and ', " + ", ".join(f"case when o{i}.n > 0 then 't1.{attrs[i]} ' || o{i}.{op} || ' t2.{attrs[i]}' end" for i in order) + ")"
+    size = " + ".join(f"(o{i}.n > 0)::int" for i in range(len(attrs)))
+    number = " + ".join(f"o{i}.n * {7**i}" for i in range(len(attrs)))
+    held = " and ".join(f"(m{i} >> ((p.code >> {2 * i}) & 3)) & 1 = 1" for i in range(len(attrs)))
+    weaker = " union all ".join(f"select v.number, v.number + (w.d - v.n{i}) * {7**i} as down from v join w on w.u = v.n{i}" for i in range(len(attrs)))
+    return f"""with src as (select row_number() over () as rid, * from {t}), p as (select distinct {code} as code from src l, src r where l.rid <> r.rid),
+o(n, op, flip, mask) as (values {values}), w(u, d) as (values {steps}),
+c as (select {number} as number, {size} as size, {said('op')} as dc, {said('flip')} as mirror, {', '.join(f'o{i}.n as n{i}, o{i}.mask as m{i}' for i in range(len(attrs)))} from {few}),
+v as (select * from c where size between 1 and {most} and not exists (select 1 from p where {held})), down as ({weaker})
+select distinct least(dc, mirror) as dc, size::int as n_predicates from v where not exists (select 1 from down d join v u on u.number = d.down where d.number = v.number)"""
 
 
 def dc_query(t, **options):
-    return lambda spark, sf_dir: planner.denial_constraints(table(spark, sf_dir, t).where(DC_SLICE[t]), DC_ATTRS[t], max_predicates=3, **options)
+    return lambda spark, sf_dir: planner.denial_constraints(table(spark, sf_dir, t).select(*ATTRS[t]), ATTRS[t], **options)
 
 
-for t in ("orders", "part"):
-    for method in ("pair", "hybrid"):
-        for plan in ("reuse", "rescan"):
-            for memory in ("resident", "spill"):
-                register(f"dc_{t}_slice_{method}_{plan}_{memory}", dc_query(t, method=method, plan=plan, memory=memory))
-CHECK = [("o_orderstatus", "="), ("o_totalprice", "<"), ("o_orderdate", ">")]
+DC = {t: dc_sql(t, ATTRS[t]) for t in DC_TEXTS}
+for method in ("pair", "hybrid"):
+    for plan in ("reuse", "rescan"):
+        for memory in ("resident", "spill"):
+            register(f"dc_part_{method}_{plan}_{memory}", dc_query("part", method=method, plan=plan, memory=memory), DC["part"])
+            register(f"dc_customer_{method}_{plan}_{memory}", dc_query("customer", method=method, plan=plan, memory=memory), DC["customer"])
+register("dc_part_covers_in_tasks", dc_query("part", covers_in="tasks"), DC["part"])
+register("dc_orders_hybrid_rescan_resident", dc_query("orders", method="hybrid"), DC["orders"])
+register("dc_orders_pair_rescan_resident", dc_query("orders"), DC["orders"])
+register("dc_supplier_wide_space", dc_query("supplier", cross=True, single=True, overlap=0.0, max_predicates=3))
+register("dc_part_wide_space_hybrid", dc_query("part", method="hybrid", cross=True, single=True, max_predicates=3))
+
+
+def q_predicates(spark, sf_dir):
+    """The predicate space of lineitem: comparisons of one attribute, of two attributes across rows and within one row."""
+    space = predicates.space_of(table(spark, sf_dir, "lineitem"), ATTRS["lineitem"], cross=True, single=True)
+    kinds = [("same" if s.left[1] == s.right[1] else "single" if s.single else "cross", s.left[1], s.right[1], op) for s in space.slots for op in s.ops]
+    return spark.createDataFrame(kinds, "kind string, left_attr string, right_attr string, op string").groupBy("kind").agg(F.count("*").alias("n_predicates"))
+
+
+NUMBERS = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax"]
+_PAIRS = list(combinations(NUMBERS, 2))
+register("predicate_space_lineitem", q_predicates, "with s as (" + " union all ".join(f"select (select count(distinct {a}) from lineitem where {a}::double in (select {b}::double from lineitem)) >= 0.3 * least((select count(distinct {a}) from lineitem), (select count(distinct {b}) from lineitem)) as shared" for a, b in _PAIRS) + ") select 'same' as kind, 58::bigint as n_predicates union all select kind, count(*) * 12 from s, (values ('cross'), ('single')) t(kind) where shared group by 1")
+CHECK = [("o_custkey", "="), ("o_totalprice", "<"), ("o_orderdate", ">")]
 register(
     "dc_violations_orders",
-    lambda spark, sf_dir: reason.dc_violations(table(spark, sf_dir, "orders").where("o_orderkey < 300").select(*DC_ATTRS["orders"]), CHECK, "o_orderkey"),
-    "select a.o_orderkey as t1, b.o_orderkey as t2 from orders a join orders b on a.o_orderstatus = b.o_orderstatus and a.o_totalprice < b.o_totalprice and a.o_orderdate > b.o_orderdate where a.o_orderkey < 300 and b.o_orderkey < 300",
+    lambda spark, sf_dir: reason.dc_violations(table(spark, sf_dir, "orders"), CHECK, "o_orderkey"),
+    "select a.o_orderkey as t1, b.o_orderkey as t2 from orders a join orders b on a.o_custkey = b.o_custkey and a.o_totalprice < b.o_totalprice and a.o_orderdate > b.o_orderdate",
 )
 
 # -- primitives ------------------------------------------------
@@ -225,25 +312,25 @@ for strategy in ("by_grouping_sets", "by_fingerprint", "one_by_one", "broadcast"
 def q_intersect(spark, sf_dir):
     attrs = ATTRS["orders"]
     store = materialize(partition.column_classes(table(spark, sf_dir, "orders"), attrs, "o_orderkey"), "classes")
-    made = partition.intersect(store, spark.createDataFrame([(0b100100, 0b100, 0b100000)], "mask long, left long, right long"))
+    made = partition.intersect(store, spark.createDataFrame([(0, 2, 5)], "node int, left int, right int"))
     return made.select("class_id", "row_id")
 
 
 register("intersect_orders", q_intersect, SQL["classes_orders"])
 
 
-def q_evidence(t, where="true", plan="rescan", memory="resident"):
+def q_evidence(t, plan="rescan", memory="resident"):
     def run(spark, sf_dir):
         attrs = ATTRS[t]
-        rows, _, _ = pairs.compacted(table(spark, sf_dir, t).where(where).select(*attrs), attrs)
+        rows, _, _ = pairs.compacted(table(spark, sf_dir, t).select(*attrs), attrs)
         return evidence.histogram(pairs.pairs_of(rows, attrs, plan, memory, 8), evidence.differs(attrs))
 
     key = ATTRS[t][0]
-    return run, f"select {mask_sql(ATTRS[t])} as ev0, count(*) as n_pairs from {t} l join {t} r on l.{key} < r.{key} where l.{where.replace('true', key + ' = l.' + key)} and r.{where.replace('true', key + ' = r.' + key)} group by 1"
+    return run, f"select {mask_sql(ATTRS[t])} as ev0, count(*) as n_pairs from {t} l join {t} r on l.{key} < r.{key} group by 1"
 
 
-for t, where in (("orders", "o_orderkey < 3000"), ("customer", "true"), ("part", "true")):
-    register(f"evidence_hist_{t}", *q_evidence(t, where))
+for t in ("orders", "customer", "part"):
+    register(f"evidence_hist_{t}", *q_evidence(t))
 register("evidence_hist_part_cartesian", q_evidence("part", memory="spill")[0], q_evidence("part")[1])
 SHARE = " or ".join(f"l.{a} is not distinct from r.{a}" for a in ATTRS["part"])
 
@@ -284,15 +371,15 @@ register("usage_matrix", lambda spark, sf_dir: spark.createDataFrame(list(USAGE.
 
 
 def anchored(spark, sf_dir):
-    return table(spark, sf_dir, "orders").where("o_orderkey < 2000").select("o_orderkey", "o_orderstatus")
+    return table(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus")
 
 
 def anchor():
     return F.pmod(F.col("o_orderkey"), F.lit(4))
 
 
-RIDE = "with o as (select o_orderkey, o_orderkey % 4 as a from orders where o_orderkey < 2000)"
-register("triangle_pairs_orders", lambda spark, sf_dir: distribute.triangle(anchored(spark, sf_dir), 10, ["o_orderkey"], anchor()).agg(F.count("*").alias("n_pairs"), F.sum(F.least("l_o_orderkey", "r_o_orderkey") * F.greatest("l_o_orderkey", "r_o_orderkey")).alias("check_sum")), "select count(*) as n_pairs, sum(l.o_orderkey * r.o_orderkey)::bigint as check_sum from orders l join orders r on l.o_orderkey < r.o_orderkey where r.o_orderkey < 2000")
+RIDE = "with o as (select o_orderkey, o_orderkey % 4 as a from orders)"
+register("triangle_pairs_orders", lambda spark, sf_dir: distribute.triangle(anchored(spark, sf_dir), 10, ["o_orderkey"], anchor()).agg(F.count("*").alias("n_pairs"), F.sum(F.least("l_o_orderkey", "r_o_orderkey") * F.greatest("l_o_orderkey", "r_o_orderkey")).alias("check_sum")), "select count(*) as n_pairs, sum(l.o_orderkey * r.o_orderkey)::bigint as check_sum from orders l join orders r on l.o_orderkey < r.o_orderkey")
 
 
 def q_triangle_load(spark, sf_dir):
@@ -318,6 +405,16 @@ def q_groups(spark, sf_dir):
     return done.agg(F.count("*").alias("n_pairs"), F.sum(F.col("l_o_orderkey") * F.col("r_o_orderkey")).alias("check_sum"))
 
 
+register("pair_schedule_4096", lambda spark, sf_dir: schedule_ends(spark), "select 4096 as n_groups, 8390656::bigint as n_pairs, 1048832::bigint as n_rounds, 8 as first_round, 8 as last_round, 16 as n_distinct")
+
+
+def schedule_ends(spark):
+    """A schedule of millions of pairs, of which only two rounds are made."""
+    schedule = distribute.PairSchedule(4096, 8)
+    first, last = schedule.round(0), schedule.round(schedule.rounds - 1)
+    return spark.createDataFrame([(4096, schedule.total, schedule.rounds, len(first), len(last), len({*first, *last}))], "n_groups int, n_pairs long, n_rounds long, first_round int, last_round int, n_distinct int")
+
+
 register("group_pairs_orders", q_groups, SQL["triangle_pairs_orders"])
 
 
@@ -332,30 +429,77 @@ for t in ("lineitem", "orders", "part", "customer"):
     register(f"w_comparisons_{t}", lambda spark, sf_dir, t=t: cost.work_in_classes(table(spark, sf_dir, t), ATTRS[t]), " union all ".join(f"select '{a}' as attr, coalesce(sum(b * (b - 1) // 2), 0)::bigint as w from (select count(*) as b from {t} group by {a})" for a in ATTRS[t]))
 
 
-def q_bounds(spark, sf_dir):
-    """Counted loads against the bounds: the triangle on orders, with k of 10 cells."""
-    load = cost.maxima(q_triangle_load(spark, sf_dir))
-    n = anchored(spark, sf_dir).agg(F.count("*").alias("n"))
-    x, y = F.col("n") * 2 * (2 / 10) ** 0.5, F.col("n") * F.col("n") * 2 / 20
-    return load.crossJoin(n).select((F.col("meter_x") <= 1.5 * x).alias("x_within"), (F.col("meter_y") <= 1.5 * y).alias("y_within"))  # one row each
+def q_xy_blocks(spark, sf_dir):
+    """What the eight workers of the reuse plan receive and compare in all, on part: by the sizes of classes, whatever worker a class goes to."""
+    attrs = ATTRS["part"]
+    rows, _, _ = pairs.compacted(table(spark, sf_dir, "part"), attrs)
+    stats = distribute.block_stats(rows, attrs)
+    made = distribute.blocks(rows, attrs, 8, pairs.ORDER).count()
+    return stats.agg(F.count("*").alias("n_blocks"), F.sum("size").cast("long").alias("n_members"), F.sum("work").cast("long").alias("w")).withColumn("n_compared", F.lit(made).cast("long"))
+
+
+register("xy_blocks_part", q_xy_blocks, "with b as (" + " union all ".join(f"select count(*) as size from part group by {a} having count(*) > 1" for a in ATTRS["part"]) + ") select count(*) as n_blocks, sum(size)::bigint as n_members, sum(size * (size - 1) // 2)::bigint as w, sum(size * (size - 1) // 2)::bigint as n_compared from b")
 
 
-register("bounds_vs_counted", q_bounds, "select true as x_within, true as y_within")
+def q_bounds(spark, sf_dir):
+    """Counted loads of the busiest of k workers against the bounds, for all four ways to deal pairs, on part.
+
+    The triangle's bound supposes k cells of a grid of side sqrt(2k); a grid of l(l+1)/2 cells exceeds it by sqrt((l+1)/l). Random deals get a tenth on top."""
+    attrs, k = ATTRS["part"], 10
+    rows, _, n = pairs.compacted(table(spark, sf_dir, "part"), attrs)
+    m, w = len(attrs), pairs.within_classes(rows, attrs)
+    order, side = pairs.ORDER, distribute.triangle_side(k)
+    least = distribute.class_routes(rows, "p_brand", k)
+    most = rows.groupBy("p_brand").count().agg(F.max("count")).first()[0]
+    classes = rows.groupBy("p_brand").count().where("count > 1").count()
+    grouped, own = distribute.with_groups(rows, k, order), distribute.PairSchedule(k, k).round(0)
+    left, right = distribute.group_routes(grouped, own)
+    found = {
+        "triangle": (distribute.load_of(distribute.triangle(rows, k, order), distribute.triangle_routes(rows, k, order), "cell", m), cost.bound("pair", "rescan", "resident", n, m, k), ((side + 1) / side) ** 0.5),
+        "blocks": (distribute.load_of(distribute.blocks(rows, attrs, k, order), distribute.block_routes(rows, attrs, k, order), "worker", m), cost.bound("pair", "reuse", "resident", n, m, k, w), 1.0),
+        "groups": (distribute.load_of(distribute.group_pairs(grouped, own, order), left.unionByName(right), "cell", m), cost.bound("hybrid", "rescan", "resident", n, m, k), 1.1),
+        "bands": (distribute.load_of(distribute.led(least, "p_brand", 1, ["p_partkey"]), least, "worker", m), (-(-classes // k) * m * most,) * 2, 1.0),
+    }
+    out = []
+    for name, (load, (x, y), slack) in found.items():
+        top = cost.maxima(load).first()
+        out.append((name, top["meter_x"] <= 1.1 * slack * x, top["meter_y"] <= 1.1 * slack**2 * y))
+    return spark.createDataFrame(out, "strategy string, x_within boolean, y_within boolean")
+
+
+register("bounds_vs_counted", q_bounds, "select * from (values ('triangle', true, true), ('blocks', true, true), ('groups', true, true), ('bands', true, true)) t(strategy, x_within, y_within)")
 
 
 def q_model(spark, sf_dir):
-    rows = [(m, p, s, *map(float, cost.bound(m, p, s, 500_000, 16, 55, 1e10, 1e4))) for m in ("lattice", "pair", "hybrid") for p in ("reuse", "rescan") for s in ("resident", "spill")]
-    return spark.createDataFrame(rows, "method string, plan string, memory string, x double, y double")
+    """The bounds of all plans for half a million rows of 16 columns on 55 workers, rounded."""
+    rows = [(m, p, s, *(round(v) for v in cost.bound(m, p, s, 500_000, 16, 55, 1e10, 1e4))) for m in ("lattice", "pair", "hybrid") for p in ("reuse", "rescan") for s in ("resident", "spill")]
+    return spark.createDataFrame(rows, "method string, plan string, memory string, x long, y long")
+
+
+register("cost_bounds_model", q_model, """with c as (select 500000.0::double as n, 16.0::double as m, 55.0::double as k, 1e10::double as w, 1e4::double as b, 65536.0::double as s)
+select method, plan, memory, round(x)::bigint as x, round(y)::bigint as y from c, lateral (values
+('lattice', 'reuse', 'resident', s * n * sqrt(2 / k), s * 2 * n / k), ('lattice', 'reuse', 'spill', s * n, s * 2 * n), ('lattice', 'rescan', 'resident', n * m, n * m * s / k), ('lattice', 'rescan', 'spill', s * n * m / k, n * m * s / k),
+('pair', 'reuse', 'resident', 5 * m * m * greatest(n / k, sqrt(2 * w / k)), 5 * m * w / k), ('pair', 'reuse', 'spill', n * m * m, 5 * m * w / k), ('pair', 'rescan', 'resident', n * m * sqrt(2 / k), m * n * n / (2 * k)), ('pair', 'rescan', 'spill', n * m * 2 / sqrt(k), m * n * n / (2 * k)),
+('hybrid', 'reuse', 'resident', n * m * b / k, n * m * b / k), ('hybrid', 'reuse', 'spill', n * m * b, n * m * b / k), ('hybrid', 'rescan', 'resident', 2 * n * m / k, m * (n / k) * (n / k)), ('hybrid', 'rescan', 'spill', 2 * n * m / (2 * k), m * (n / (2 * k)) * (n / (2 * k)))) t(method, plan, memory, x, y)""")
 
 
-register("cost_bounds_model", q_model)
+def trace_sql(t: str, attrs: list[str]) -> str:
+    """Sets of each level and dependencies found so far. The open right sides of X are the A for which no B in X has X\\{A,B} -> B; a set goes on if it has one and is no key, and is made if all its subsets one smaller went on."""
+    m = len(attrs)
+    return f"""{counts_sql(f'select * from {t}', attrs, range(m + 1))}, b(bit) as (values {', '.join(f'({1 << i})' for i in range(m))}),
+r as (select count(*) as n from src), open as (select x.mask, a.bit from c x, b a where x.size > 0 and not exists (select 1 from b, c p, c q where (x.mask & b.bit) > 0 and p.mask = (x.mask & ~a.bit & ~b.bit) and q.mask = (p.mask | b.bit) and p.n = q.n)),
+alive as (select mask from c where mask = 0 or (n <> (select n from r) and mask in (select mask from open))),
+made as (select x.mask, x.size from c x where x.size > 0 and not exists (select 1 from b where (x.mask & b.bit) > 0 and (x.mask & ~b.bit) not in (select mask from alive))),
+fd as ({fd_sql(f'select * from {t}', attrs)}), at as (select c.size + (c.n <> (select n from r))::int as level, count(*) as n from fd join c on c.lhs = fd.lhs group by 1)
+select size as level, count(*) as size, coalesce((select sum(n) from at where at.level <= made.size), 0)::bigint as found from made group by made.size"""
 
 
-def q_trace(spark, sf_dir):
-    return planner.whole(table(spark, sf_dir, "orders"), memory="resident").trace.select("level", "size", "found")
+def q_trace(t):
+    return lambda spark, sf_dir: planner.whole(table(spark, sf_dir, t), memory="resident").trace.select("level", "size", "found")
 
 
-register("lattice_trace_orders", q_trace)
+for t in ("orders", "part", "customer"):
+    register(f"lattice_trace_{t}", q_trace(t), trace_sql(t, ATTRS[t]))
 register("hybrid_trace_orders", lambda spark, sf_dir: planner.whole(table(spark, sf_dir, "orders"), method="hybrid", memory="resident").trace)
 register("phase_seconds_orders", lambda spark, sf_dir: planner.whole(table(spark, sf_dir, "orders"), method="hybrid", plan="reuse", memory="resident").cost)
 register("candidate_tree_part", lambda spark, sf_dir: tree_of(spark, sf_dir), SQL["fd_part_lattice_rescan_spill"])
@@ -372,64 +516,91 @@ register("limit_status_lineitem", lambda spark, sf_dir: spark.createDataFrame([(
 
 # -- baselines and accuracy ------------------------------------------------
 
-B_ATTRS = ["l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_shipdate"]
+NODE = "(l_orderkey * 31 + l_partkey * 17 + l_linenumber * 7) % {k}"
 
 
-def q_local(k):
-    def run(spark, sf_dir):
-        df = table(spark, sf_dir, "lineitem").select("l_orderkey", *B_ATTRS)
-        found = baselines.local_intersect(df.select(*B_ATTRS, "l_orderkey"), F.col("l_orderkey") % k, k, 2)
-        attrs = [*B_ATTRS, "l_orderkey"]
-        return spark.createDataFrame([(names(x, attrs), names(a, attrs), x.bit_count()) for x, a in found], FD)
-
-    attrs = [*B_ATTRS, "l_orderkey"]
+def local_sql(k: int, most: int | None) -> str:
+    """The closures of the nodes' dependencies intersected, then minimal ones."""
+    attrs = ATTRS["lineitem"]
+    top = len(attrs) - 1 if most is None else most
     bits = ", ".join(f"({1 << i}, '{a}')" for i, a in enumerate(attrs))
     rows = []
-    for s in range(4):
+    for s in range(top + 2):
         for c in combinations(range(len(attrs)), s):
             mask = sum(1 << i for i in c)
-            cols = ", ".join(["l_orderkey % " + str(k) + " as node", *(attrs[i] for i in c)])
-            rows.append(f"select {mask} as mask, node, count(*) as n, '{names(mask, attrs)}' as lhs, {s} as size from (select distinct {cols} from lineitem) group by node")
-    sql = f"""with c as ({' union all '.join(rows)}), a(bit, name) as (values {bits}),
-fd as (select x.mask, x.lhs, x.size, a.bit, a.name from c x, a, c y where x.size <= 2 and (x.mask & a.bit) = 0 and y.mask = (x.mask | a.bit) and y.node = x.node and y.n = x.n group by all having count(*) = (select count(distinct l_orderkey % {k}) from lineitem))
+            rows.append(f"select {mask} as mask, node, count(*) as n, '{names(mask, attrs)}' as lhs, {s} as size from (select distinct {', '.join(['node', *(attrs[i] for i in c)])} from l) group by node")
+    return f"""with l as (select *, {NODE.format(k=k)} as node from lineitem), c as ({' union all '.join(rows)}), a(bit, name) as (values {bits}),
+fd as (select x.mask, x.lhs, x.size, a.bit, a.name from c x, a, c y where x.size <= {top} and (x.mask & a.bit) = 0 and y.mask = (x.mask | a.bit) and y.node = x.node and y.n = x.n group by all having count(*) = (select count(distinct node) from l))
 select lhs, name as rhs, size as lhs_size from fd f where not exists (select 1 from fd g where g.bit = f.bit and g.mask <> f.mask and (g.mask & f.mask) = g.mask)"""
-    return run, sql
+
+
+def q_local(k, most=None):
+    def run(spark, sf_dir):
+        attrs = ATTRS["lineitem"]
+        found = baselines.local_intersect(table(spark, sf_dir, "lineitem").select(*attrs), F.expr(NODE.format(k=k)), k, most)
+        return spark.createDataFrame([(names(x, attrs), names(a, attrs), x.bit_count()) for x, a in found], FD)
+
+    return run
 
 
 for k in (2, 4, 8):
-    register(f"local_intersect_lineitem_k{k}", *q_local(k))
+    register(f"local_intersect_lineitem_k{k}", q_local(k, 2), local_sql(k, 2))
+register("local_intersect_lineitem_all", q_local(4))
 
 
 def q_sample(spark, sf_dir):
-    found = baselines.sample_only(table(spark, sf_dir, "lineitem").select(*B_ATTRS), F.col("l_partkey") % 10 == 0, 2)
-    return spark.createDataFrame([(names(x, B_ATTRS), names(a, B_ATTRS), x.bit_count()) for x, a in found], FD)
+    attrs = ATTRS["lineitem"]
+    found = baselines.sample_only(table(spark, sf_dir, "lineitem").select(*attrs), F.col("l_partkey") % 10 == 0, None)
+    return spark.createDataFrame([(names(x, attrs), names(a, attrs), x.bit_count()) for x, a in found], FD)
 
 
-register("sample_only_lineitem", q_sample, fd_sql("select * from lineitem where l_partkey % 10 = 0", B_ATTRS, 2))
+register("sample_only_lineitem", q_sample, fd_sql("select * from lineitem where l_partkey % 10 = 0", ATTRS["lineitem"]))
 register("single_task_part", lambda spark, sf_dir: baselines.single_task(table(spark, sf_dir, "part")), SQL["fd_part_lattice_rescan_spill"])
 register("single_task_part_pairs", lambda spark, sf_dir: baselines.single_task(table(spark, sf_dir, "part"), "pair"), SQL["fd_part_lattice_rescan_spill"])
 
 
-def q_precision(spark, sf_dir):
-    df = table(spark, sf_dir, "lineitem")
-    exact = planner.whole(df, memory="resident", max_lhs=3).found
-    rows = []
-    for k in (2, 4, 6, 8, 10):
-        local = baselines.local_intersect(df, F.pmod(F.xxhash64(*df.columns), F.lit(k)), k, 3)
-        rows.append((k, len(local), *map(float, baselines.precision(local, exact))))
-    return spark.createDataFrame(rows, "nodes int, n_found int, precision double, recall double")
+def precision_sql(local: str, label: str, most: int) -> str:
+    """Share of the dependencies in `local` that hold on all rows, and of the minimal ones of all rows that some of them implies."""
+    attrs = ATTRS["lineitem"]
+    inside = lambda x, y: f"list_has_all(string_split({y}, ','), string_split({x}, ','))"
+    return f"""with exact as materialized ({fd_sql('select * from lineitem', attrs, most)}), own as materialized ({local})
+select {label}, (select count(*) from own)::int as n_found,
+round((select count(*) filter (exists (select 1 from exact e where e.rhs = own.rhs and (e.lhs = '' or {inside('e.lhs', 'own.lhs')}))) / count(*) from own), 6) as precision,
+round((select count(*) filter (exists (select 1 from own o where o.rhs = exact.rhs and (o.lhs = '' or {inside('o.lhs', 'exact.lhs')}))) / count(*) from exact), 6) as recall"""
+
+
+def q_precision(ks, most):
+    def run(spark, sf_dir):
+        df = table(spark, sf_dir, "lineitem")
+        exact, rows = planner.whole(df, memory="resident", max_lhs=most).found, []
+        for k in ks:
+            local = baselines.local_intersect(df, F.expr(NODE.format(k=k)), k, most)
+            rows.append((k, len(local), *(round(float(x), 6) for x in baselines.precision(local, exact))))
+        return spark.createDataFrame(rows, "nodes int, n_found int, precision double, recall double")
+
+    return run
+
 
+register("precision_by_nodes", q_precision((2, 4, 6, 8, 10), 3))
+register("precision_by_nodes_lhs2", q_precision((2, 4, 6, 8, 10), 2), " union all ".join(f"select * from ({precision_sql(local_sql(k, 2), f'{k} as nodes', 2)})" for k in (2, 4, 6, 8, 10)))
+PERCENTS = (1, 5, 10, 25, 50)
+SAMPLED = "(l_orderkey * 31 + l_partkey * 17 + l_linenumber * 7) % 100 < {p}"
 
-register("precision_by_nodes", q_precision)
 
+def q_sample_precision(most):
+    def run(spark, sf_dir):
+        df = table(spark, sf_dir, "lineitem")
+        exact, rows = planner.whole(df, memory="resident", max_lhs=most).found, []
+        for p in PERCENTS:
+            own = baselines.sample_only(df, F.expr(SAMPLED.format(p=p)), most)
+            rows.append((p, len(own), *(round(float(x), 6) for x in baselines.precision(own, exact))))
+        return spark.createDataFrame(rows, "percent int, n_found int, precision double, recall double")
 
-def q_sample_precision(spark, sf_dir):
-    df = table(spark, sf_dir, "lineitem")
-    exact = planner.whole(df, memory="resident", max_lhs=3).found
-    return spark.createDataFrame([(p, *map(float, baselines.precision(baselines.sample_only(df, F.pmod(F.xxhash64(*df.columns), F.lit(100)) < p, 3), exact))) for p in (1, 5, 10, 25, 50)], "percent int, precision double, recall double")
+    return run
 
 
-register("precision_by_sample", q_sample_precision)
+register("precision_by_sample", q_sample_precision(3))
+register("precision_by_sample_lhs2", q_sample_precision(2), " union all ".join(f"select * from ({precision_sql(fd_sql('select * from lineitem where ' + SAMPLED.format(p=p), ATTRS['lineitem'], 2), f'{p} as percent', 2)})" for p in PERCENTS))
 
 # -- worked examples ------------------------------------------------
 
@@ -462,6 +633,79 @@ def q_two_nodes(spark, sf_dir):
 
 register("example_two_nodes", q_two_nodes, "select * from (values ('local', 1), ('whole', 0)) t(found_on, n_fds)")
 
+
+def q_example_classes(spark, sf_dir):
+    """The classes of A, B, C, D from rows, and of CD from the stored classes of C and D."""
+    rows = materialize(spark.createDataFrame([(i, *r) for i, r in enumerate(ABCD, 1)], "id int, A string, B string, C string, D string"), "rows")
+    single = materialize(partition.column_classes(rows, list("ABCD"), "id"), "classes")
+    both = partition.intersect(single, spark.createDataFrame([(4, 2, 3)], "node int, left int, right int"))
+    named = F.get(F.array(*map(F.lit, ["A", "B", "C", "D", "CD"])), F.col("node"))
+    return single.unionByName(both).groupBy(named.alias("attrs"), "class_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list("row_id")), lambda x: x.cast("string")), ",").alias("members")).select("attrs", "members")
+
+
+register("example_four_rows_classes", q_example_classes, "select * from (values ('A', '1,3'), ('A', '2,4'), ('B', '1'), ('B', '2'), ('B', '3,4'), ('C', '1,2,3'), ('C', '4'), ('D', '1,2'), ('D', '3'), ('D', '4'), ('CD', '1,2'), ('CD', '3'), ('CD', '4')) t(attrs, members)")
+
+
+def q_example_meetings(spark, sf_dir):
+    """How often each two rows meet: once for each shared value in the reuse plan (rows 1 and 4 never, 1 and 3 twice), once in the rescan plan."""
+    rows = spark.createDataFrame([(i, *r) for i, r in enumerate(ABCD, 1)], "id int, A string, B string, C string, D string")
+    met = lambda pairs, n: pairs.select(F.least("l_id", "r_id").alias("a"), F.greatest("l_id", "r_id").alias("b")).groupBy("a", "b").agg(F.count("*").alias(n))
+    reuse, rescan = met(distribute.blocks(rows, list("ABCD"), 3, ["id"]), "n_reuse"), met(distribute.triangle(rows, 3, ["id"]), "n_rescan")
+    return rescan.join(reuse, ["a", "b"], "left").select("a", "b", F.coalesce("n_reuse", F.lit(0)).alias("n_reuse"), "n_rescan")
+
+
+register("example_four_rows_meetings", q_example_meetings, "select * from (values (1, 2, 2::bigint, 1::bigint), (1, 3, 2, 1), (1, 4, 0, 1), (2, 3, 1, 1), (2, 4, 1, 1), (3, 4, 1, 1)) t(a, b, n_reuse, n_rescan)")
+#: Fixed example rows: tax records.
+TAX_ATTRS = ["ID", "GD", "AC", "PH", "CT", "ST", "ZIP", "SAL", "TR", "STX"]
+TAX = [
+    ("1009", "M", 304, "232-7667", "Anthony", "WV", 25813, 5000, 3.0, 2000),
+    ("2136", "M", 719, "154-4816", "Denver", "CO", 80290, 60000, 4.63, 0),
+    ("0457", "F", 636, "604-2692", "Cyrene", "MO", 64739, 40000, 6.0, 0),
+    ("1942", "F", 501, "378-7304", "West Crossett", "AR", 72045, 85000, 7.22, 0),
+    ("2247", "M", 319, "150-3642", "Gifford", "IA", 52404, 15000, 2.48, 50),
+    ("6160", "M", 970, "190-3324", "Denver", "CO", 80251, 60000, 4.63, 0),
+    ("4312", "F", 501, "154-4816", "Kremlin", "AR", 72045, 70000, 7.0, 0),
+    ("3339", "F", 304, "540-4707", "Kyle", "WV", 25813, 10000, 4.0, 500),
+]
+TAX_SQL = "select * from (values " + ", ".join(map(str, TAX)) + f") t({', '.join(TAX_ATTRS)})"
+
+
+def tax(spark):
+    return spark.createDataFrame(TAX, "ID string, GD string, AC int, PH string, CT string, ST string, ZIP int, SAL int, TR double, STX int")
+
+
+register("example_tax_fds", lambda spark, sf_dir: planner.whole(tax(spark)).dependencies, fd_sql(TAX_SQL, TAX_ATTRS))
+register("example_tax_keys", lambda spark, sf_dir: planner.whole(tax(spark), "ucc", method="pair", memory="resident").dependencies, ucc_sql(TAX_SQL, TAX_ATTRS))
+TAX_DC = [("ST", "="), ("SAL", "<"), ("TR", ">")]
+register("example_tax_constraint", lambda spark, sf_dir: reason.dc_violations(tax(spark), TAX_DC, "ID").agg(F.count("*").alias("n_violations")), f"select count(*) as n_violations from ({TAX_SQL}) a join ({TAX_SQL}) b on a.ST = b.ST and a.SAL < b.SAL and a.TR > b.TR")
+TAX_FEW = ["ST", "SAL", "TR"]
+
+
+def q_tax_constraints(spark, sf_dir):
+    """Whether discovery reports the constraint, or a more general one that implies it."""
+    found = planner.denial_constraints(tax(spark), TAX_FEW, max_predicates=3)
+    return found.where(F.col("dc").isin("t1.SAL < t2.SAL and t1.ST = t2.ST and t1.TR > t2.TR", "t1.SAL < t2.SAL and t1.ST = t2.ST and t1.TR >= t2.TR", "t1.SAL <= t2.SAL and t1.ST = t2.ST and t1.TR > t2.TR")).agg((F.count("*") > 0).alias("reported"))
+
+
+register("example_tax_constraint_found", q_tax_constraints, "select true as reported")
+
+
+def q_tax_evidence(spark, sf_dir):
+    """What rows 2 and 6 differ in, and which comparisons they satisfy."""
+    df = tax(spark)
+    two = df.where(F.col("ID") == "2136").select(*[F.col(c).alias(f"l_{c}") for c in df.columns]).crossJoin(df.where(F.col("ID") == "6160").select(*[F.col(c).alias(f"r_{c}") for c in df.columns]))  # one row each
+    mask = next(iter(evidence.masks(evidence.histogram(two, evidence.differs(df.columns)))))
+    space = predicates.space_of(df, df.columns, order_texts=True)
+    code = next(iter(evidence.masks(evidence.histogram(two, space.codes()))))
+    held = [space.slots[s].spelled(op) for s, op in space.predicates if op in predicates.SATISFIED[space.outcome(code, s)]]
+    return spark.createDataFrame([("differs", a) for i, a in enumerate(df.columns) if mask >> i & 1] + [("satisfies", p) for p in held], "kind string, said string")
+
+
+_BOTH = f"with l as (select * from ({TAX_SQL}) where ID = '2136'), r as (select * from ({TAX_SQL}) where ID = '6160')"
+register("example_tax_evidence", q_tax_evidence, _BOTH + " " + " union all ".join([f"select 'differs' as kind, '{a}' as said from l, r where l.{a} <> r.{a}" for a in TAX_ATTRS] + [f"select 'satisfies', 't1.{a} {o} t2.{a}' from l, r where l.{a} {o} r.{a}" for a in TAX_ATTRS for o in ("=", "!=", "<", "<=", ">", ">=")]))
+_OD = ["SAL", "STX"]
+register("example_tax_order", lambda spark, sf_dir: planner.order_dependencies(tax(spark), _OD), "select 'SAL' as lhs, 'STX' as rhs, 'desc' as direction, 'list' as kind")
+
 # -- uses ------------------------------------------------
 
 register("fd_violations_customer", lambda spark, sf_dir: reason.violations(table(spark, sf_dir, "customer"), ["c_acctbal"], "c_nationkey").select("c_custkey"), "select c_custkey from customer where c_acctbal in (select c_acctbal from customer group by 1 having count(distinct c_nationkey) > 1)")
@@ -470,23 +714,26 @@ register("duplicate_keys_lineitem", lambda spark, sf_dir: reason.duplicate_keys(
 
 
 def star_fds(spark, sf_dir):
-    return reason.as_sets(planner.whole(relation(spark, sf_dir, "star14").select(*STAR), memory="resident", max_lhs=1).dependencies.collect())
+    return reason.as_sets(planner.whole(relation(spark, sf_dir, "star14").select(*STAR_ALL), memory="resident", max_lhs=1).dependencies.collect())
 
 
-register("candidate_keys_star", lambda spark, sf_dir: spark.createDataFrame([(",".join(sorted(k)),) for k in reason.candidate_keys(STAR, star_fds(spark, sf_dir))], "candidate_key string"), "select 'o_orderkey' as candidate_key")
-register("bcnf_star", lambda spark, sf_dir: spark.createDataFrame([(",".join(sorted(x)), a) for x, a in reason.bcnf_violations(STAR, star_fds(spark, sf_dir))], "lhs string, rhs string"), "select lhs, rhs from (" + fd_sql(STAR_SQL, STAR, 1) + ") where lhs <> 'o_orderkey'")
+register("candidate_keys_star", lambda spark, sf_dir: spark.createDataFrame([(",".join(sorted(k)),) for k in reason.candidate_keys(STAR_ALL, star_fds(spark, sf_dir))], "candidate_key string"), "select 'o_orderkey' as candidate_key")
+register("bcnf_star", lambda spark, sf_dir: spark.createDataFrame([(",".join(sorted(x)), a) for x, a in reason.bcnf_violations(STAR_ALL, star_fds(spark, sf_dir))], "lhs string, rhs string"), "select lhs, rhs from (" + fd_sql(STAR_SQL, STAR_ALL, 1) + ") where lhs <> 'o_orderkey'")
 register("shrink_group_by_star", lambda spark, sf_dir: spark.createDataFrame([(c,) for c in reason.shrink_group_by(["c_custkey", "c_name", "n_name", "n_regionkey", "o_orderstatus"], star_fds(spark, sf_dir))], "kept string"), "select * from (values ('c_custkey'), ('o_orderstatus')) t(kept)")
 register("shrink_order_by_events", lambda spark, sf_dir: spark.createDataFrame([(c,) for c in reason.shrink_order_by(["event_id", "ts", "value"], [(r["lhs"], r["rhs"]) for r in QUERIES["od_events_unary_asc"](spark, sf_dir).collect()])], "kept string"), "select * from (values ('event_id'), ('value')) t(kept)")
 
 
+EARLIER = "o_orderdate < timestamp '1994-01-01'"  # the state of an earlier day, against today's
+
+
 def q_change(spark, sf_dir):
     attrs = ["o_orderkey", "o_custkey", "o_totalprice", "o_orderdate"]
     df = table(spark, sf_dir, "orders").select(*attrs)
-    return reason.compare(planner.whole(df.where("o_orderkey < 500"), memory="resident").dependencies, planner.whole(df, memory="resident").dependencies)
+    return reason.compare(planner.whole(df.where(EARLIER), memory="resident").dependencies, planner.whole(df, memory="resident").dependencies)
 
 
 O4 = ["o_orderkey", "o_custkey", "o_totalprice", "o_orderdate"]
-register("dependency_change_orders", q_change, f"select lhs, rhs, lhs_size, case when o.k is null then 'gained' when n.k is null then 'lost' else 'kept' end as change from (select *, 1 as k from ({fd_sql('select * from orders where o_orderkey < 500', O4)})) o full join (select *, 1 as k from ({fd_sql('select * from orders', O4)})) n using (lhs, rhs, lhs_size)")
+register("dependency_change_orders", q_change, f"select lhs, rhs, lhs_size, case when o.k is null then 'gained' when n.k is null then 'lost' else 'kept' end as change from (select *, 1 as k from ({fd_sql('select * from orders where ' + EARLIER, O4)})) o full join (select *, 1 as k from ({fd_sql('select * from orders', O4)})) n using (lhs, rhs, lhs_size)")
 
 # -- relational support ------------------------------------------------
 
@@ -524,12 +771,65 @@ register("events_session_counts", lambda s, d: monitor.session_counts(events(s,
 register("events_fd_refutations", lambda s, d: monitor.watch_fd(events(s, d), ["user_id"], "event_type"), "select user_id, min(event_type) as value_1, max(event_type) as value_2 from events group by 1 having min(event_type) <> max(event_type)")
 register("events_ucc_refutations", lambda s, d: monitor.watch_ucc(events(s, d), ["user_id", "event_type"]), "select user_id, event_type, count(*) as n_rows from events group by 1, 2 having count(*) > 1")
 
-# -- experiment reports ------------------------------------------------
+# -- functions for SQL users, and levels in Spark ------------------------------------------------
+
+
+def q_cells(spark, sf_dir):
+    register_functions(spark)
+    return spark.sql("select r.anchor, c.* from (select explode(sequence(0, 3)) as anchor) r, lateral triangle_cells(r.anchor, 4) c")
+
+
+register("sql_triangle_cells", q_cells, "select a.i as anchor, (least(a.i, o.i) * 4 + greatest(a.i, o.i))::int as cell, a.i <= o.i as stands_left, a.i >= o.i as stands_right from (select unnest([0, 1, 2, 3]) as i) a, (select unnest([0, 1, 2, 3]) as i) o")
+
+
+def q_antichain(spark, sf_dir):
+    register_functions(spark)
+    q_evidence("part")[0](spark, sf_dir).createOrReplaceTempView("depmine_evidence")
+    return spark.sql("select explode(mask_antichain(ev0)) as ev0 from depmine_evidence")
+
+
+register("sql_mask_antichain_part", q_antichain, f"with e as (select distinct {mask_sql(ATTRS['part'])} as ev0 from part l join part r on l.p_partkey < r.p_partkey) select ev0 from e where not exists (select 1 from e o where o.ev0 <> e.ev0 and (o.ev0 & e.ev0) = o.ev0)")
+
+
+def q_tests(spark, sf_dir):
+    """Every candidate of level two of orders, tested on the workers."""
+    attrs = ATTRS["orders"]
+    df = table(spark, sf_dir, "orders")
+    one, two = [1 << i for i in range(6)], [1 << i | 1 << j for i, j in combinations(range(6), 2)]
+    found = refine.level_tests(spark, partition.counts_by_grouping_sets(df, attrs, two), partition.counts_by_grouping_sets(df, attrs, one))
+    name = F.create_map(*[x for i, a in enumerate(attrs) for x in (F.lit(str(1 << i)), F.lit(a))])
+    return found.select(F.element_at(name, F.col("lhs")).alias("lhs"), F.element_at(name, F.col("rhs")).alias("rhs"), "holds")
+
+
+register("level_tests_orders", q_tests, " union all ".join(f"select '{a}' as lhs, '{b}' as rhs, not exists (select 1 from orders group by {a} having count(distinct {b}) > 1) as holds" for a in ATTRS["orders"] for b in ATTRS["orders"] if a != b))
+for memory in ("resident", "spill"):
+    register(f"level_join_lineitem_{memory}", lambda s, d, memory=memory: s.createDataFrame([(names(x, ATTRS["lineitem"]),) for x in lattice.joined(s, [1 << i | 1 << j for i, j in combinations(range(11), 2)], 6, memory)], "lhs string"), "select * from (values " + ", ".join(f"('{','.join(sorted(c))}')" for c in combinations(ATTRS["lineitem"], 3)) + ") t(lhs)")
+
+# -- experiments ------------------------------------------------
+
+RESULT = ("experiment", "relation", "n_rows", "n_columns", "method", "plan", "memory", "n_found", "status")
+COUNTED = {t: f"(select count(*) from ({SQL[f'fd_{t}_lattice_rescan_spill']}))" for t in ("part", "customer", "orders")}
+
+
+def report_sql(experiment: str, runs) -> str:
+    """(relation, kind and method, plan, memory) of finished runs."""
+    return " union all ".join(f"select '{experiment}' as experiment, '{t}' as relation, (select count(*) from {t}) as n_rows, {len(ATTRS[t])}::int as n_columns, '{m}' as method, '{p}' as plan, '{s}' as memory, {COUNTED[t]} as n_found, 'done' as status" for t, m, p, s in runs)
+
 
-register("scaling_columns_wide109", lambda s, d: workloads.by_columns(s, d, "wide109", (5, 10, 20), "vec_id < 200"))
-register("scaling_columns_wide60", lambda s, d: workloads.by_columns(s, d, "wide60", (5, 10), "l_orderkey < 200"))
-register("scaling_rows_lineitem", lambda s, d: workloads.by_rows(s, d, "lineitem", (5, 10, 20), max_lhs=1))
-register("scaling_workers_orders", lambda s, d: workloads.by_workers(anchored(s, d), ["o_orderkey"], (1, 3, 6, 10)))
 for method in ("lattice", "pair", "hybrid"):
-    register(f"plans_{method}_wide24", lambda s, d, method=method: workloads.by_plan(s, d, "wide24", "l_orderkey < 100", method, 1))
-register("datasets_by_method", lambda s, d: workloads.by_columns(s, d, "star14", (14,), "o_orderkey < 500").unionByName(workloads.by_columns(s, d, "wide39", (12,), "l_orderkey < 100")))
+    register(f"plans_{method}_small", lambda s, d, method=method: workloads.plans(s, d, method, ("part", "customer"), ("resident", "spill")).select(*RESULT), report_sql(f"{method} plans", [(t, f"fd_{method}", p, m) for t in ("part", "customer") for p in ("reuse", "rescan") for m in ("resident", "spill")]))
+    register(f"plans_{method}_costs", lambda s, d, method=method: workloads.plans(s, d, method, ("part", "star14")))
+register("memories_small", lambda s, d: workloads.memories(s, d, ("part", "customer"), (5.0, 0.001)).select(*RESULT), " union all ".join(report_sql(f"workers of {mb} MB", [(t, f"fd_{m}", "rescan", memory) for t in ("part", "customer") for m in ("lattice", "pair", "hybrid")]) for mb, memory in (("5", "resident"), ("0.001", "spill"))))
+register("memories_costs", lambda s, d: workloads.memories(s, d))
+register("three_versions_part", lambda s, d: workloads.three_versions(s, d).select(*RESULT), f"select 'three versions' as experiment, 'part' as relation, (select count(*) from part) as n_rows, 6::int as n_columns, 'fd_pair' as method, plan, 'resident' as memory, {COUNTED['part']} as n_found, 'done' as status from (values ('single task'), ('reuse'), ('rescan')) t(plan)")
+register("three_versions_star14", lambda s, d: workloads.three_versions(s, d, "star14"))
+register("pair_growth_lineitem", lambda s, d: workloads.pair_growth(s, d))
+register("scaling_workers_part", lambda s, d: workloads.workers(s, d))
+register("scaling_rows_lineitem", lambda s, d: workloads.by_rows(s, d, "lineitem", methods=(("fd", "lattice"), ("fd", "pair"), ("fd", "hybrid"), ("ucc", "hybrid"))))
+register("scaling_rows_part_seven", lambda s, d: workloads.by_rows(s, d, "part"))
+register("scaling_rows_star14", lambda s, d: workloads.by_rows(s, d, "star14", (20, 60, 100), workloads.SEVEN[:4]))
+register("scaling_columns_wide109", lambda s, d: workloads.by_columns(s, d, "wide109", (10, 20, 40, 80, 109), 1_000))
+register("scaling_columns_wide60", lambda s, d: workloads.by_columns(s, d, "wide60", (10, 20, 40, 60), 10_000))
+register("scaling_columns_part_seven", lambda s, d: workloads.by_columns(s, d, "part", (2, 3, 4, 5, 6), methods=workloads.SEVEN))
+register("hybrid_phases_star14", lambda s, d: workloads.phases(s, d))
+register("methods_by_relation", lambda s, d: workloads.by_relation(s, d))

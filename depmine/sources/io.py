@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import re
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
 FORMATS = ("parquet", "csv", "json", "text", "orc")
@@ -44,16 +47,40 @@ def write_stream(df: DataFrame, checkpoint: str, batch=None, format: str = "memo
     return (writer.queryName(name) if name else writer).start()
 
 
-#: Used only where the session names no spark.checkpoint.dir, as in tests on one machine.
+#: Used only on one machine whose session names no spark.checkpoint.dir, as in tests.
 LOCAL_FALLBACK = "/tmp/checkpoints/depmine"
 
 
-def materialize(df: DataFrame, name: str = "level") -> DataFrame:
-    """Write df to the shared folder and read it back: cuts the lineage of an iteration and fixes row numbers, and survives lost executors."""
-    import uuid
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that the driver and all executors share; on a cluster the session must name it."""
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.match(r"local($|\[)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return (named or LOCAL_FALLBACK).rstrip("/")
+
+
+def fresh_path(spark: SparkSession, name: str) -> str:
+    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+def drop_path(spark: SparkSession, path: str) -> None:
+    """Delete a folder of the shared storage through Spark's own file system layer."""
+    jvm = spark.sparkContext._jvm
+    target = jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
+
+def stored(df: DataFrame, name: str, partition_by=()) -> tuple[DataFrame, str]:
+    """df written to the shared folder and read back, and its path, for drop_path once it is used up."""
     spark = df.sparkSession
-    base = (spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or LOCAL_FALLBACK).rstrip("/")
-    path = f"{base}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    path = fresh_path(spark, name)
+    df.write.partitionBy(*partition_by).parquet(path)
+    return spark.read.schema(df.schema).parquet(path).select(*df.columns), path
+
+
+def materialize(df: DataFrame, name: str = "level") -> DataFrame:
+    """Cut the lineage of an iteration and fix row numbers: df written to the shared folder and read back.
+
+    Unlike a cache, the copy survives the loss of executors.
+    """
+    return stored(df, name)[0]

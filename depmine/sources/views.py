@@ -64,7 +64,7 @@ def wide109(spark, sf_dir) -> DataFrame:
     flat = array_to_columns(table(spark, sf_dir, "embeddings"), "embedding", 64, "d")
     fine = [F.floor(F.col(f"d{i}") * 40).cast("int").alias(f"d{i}") for i in range(64)]
     coarse = [F.floor(F.col(f"d{i}") * 6).cast("int").alias(f"q{i}") for i in range(43)]
-    return flat.where("vec_id < 500").select("vec_id", "label", *fine, *coarse)
+    return flat.select("vec_id", "label", *fine, *coarse)
 
 
 VIEWS = {"star14": star14, "wide24": wide24, "wide39": wide39, "wide60": wide60, "wide109": wide109}

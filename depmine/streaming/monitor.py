@@ -42,6 +42,11 @@ def session_counts(df: DataFrame, ts: str, gap: str, key: str) -> DataFrame:
     return df.groupBy(F.session_window(ts, gap).alias("w"), key).agg(F.count("*").alias("n_rows")).select(F.col("w.start").alias("session_start"), key, "n_rows")
 
 
+def late_rows(query) -> int:
+    """Rows that a running or ended query has dropped behind its watermark, over the batches that it still reports."""
+    return sum(int(state["numRowsDroppedByWatermark"]) for p in query.recentProgress for state in p["stateOperators"])
+
+
 class EvidenceFold:
     """For foreachBatch: each batch is compared with what lies in the store, by the attributes' classes, and refutations are appended."""
 
