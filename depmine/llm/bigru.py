@@ -1,11 +1,12 @@
 """Language identification by a bidirectional gated recurrent network over bytes.
 
 The network labels every byte of a text; the text's probabilities are the mean
-over its bytes. Texts are read as consecutive windows of `WINDOW` bytes, so all
-of a text is used and thousands of windows advance together. Training is plain
-numpy: backpropagation through time over the windows, Adam updates, on a
-bounded sample of labelled rows (`sample_docs` texts, of each one piece of
-`piece_chars` characters).
+over its bytes. A text is read whole, in stretches of at most `STRETCH` bytes;
+a state enters a stretch after `LEAD` bytes of what stands before it (behind
+it, for the backward direction), which only warm it up. Stretches of like
+length advance together. Training is plain numpy: backpropagation through time
+over windows of `WINDOW` bytes, Adam updates, on a bounded sample of labelled rows
+(`sample_docs` texts, as many of each language, of each one piece of `piece_chars` characters).
 
 Defined results: a null text or one without a letter is `und` with score 0; so
 is every text if there was nothing to learn from; rows without language are not
@@ -23,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import binary_list, fold
 
-WINDOW = 64
-BLOCK = 4096
+WINDOW, STRETCH, LEAD = 64, 960, 32
+BLOCK = 1024
 LETTER = regex.compile(r"\p{L}")
 UND = "und"
 
@@ -140,7 +141,7 @@ class Network:
         """The label of each whole text and its pooled probability."""
         names, scores = [UND] * len(texts), [0.0] * len(texts)
         live = [i for i, t in enumerate(texts) if t and LETTER.search(t.decode("utf-8", "replace"))] if self.labels else []
-        for at in _groups([len(texts[i]) for i in live], BLOCK * WINDOW * 4):
+        for at in _groups([len(texts[i]) for i in live], 1 << 22):
             own = live[at]
             pooled = self._pooled([texts[i] for i in own])
             for i, p in zip(own, pooled):
@@ -149,19 +150,23 @@ class Network:
         return names, scores
 
     def _pooled(self, texts: list[bytes]) -> np.ndarray:
-        sizes = np.array([len(t) for t in texts])
-        windows = -(-sizes // WINDOW)
-        laid = np.frombuffer(b"".join(t.ljust(w * WINDOW, b"\0") for t, w in zip(texts, windows.tolist())), np.uint8).reshape(-1, WINDOW)
-        filled = np.full(len(laid), WINDOW)
-        last = np.cumsum(windows) - 1
-        filled[last] = sizes - (windows - 1) * WINDOW
-        sums = np.empty((len(laid), len(self.labels)))
-        for at in range(0, len(laid), BLOCK):
-            n = filled[at : at + BLOCK]
-            mask = (np.arange(WINDOW)[:, None] < n[None, :]).astype(np.float32)
-            p = self.position_probabilities(np.ascontiguousarray(laid[at : at + BLOCK].T), mask if (n < WINDOW).any() else None)
-            sums[at : at + BLOCK] = np.einsum("tnl,tn->nl", p, mask)
-        return np.add.reduceat(sums, last - windows + 1) / sizes[:, None]
+        stretches = []  # (bytes read, text, first counted byte, counted bytes)
+        for n, t in enumerate(texts):
+            for at in range(0, len(t), STRETCH):
+                begin, end = max(0, at - LEAD), min(len(t), at + STRETCH)
+                stretches.append((t[begin : end + LEAD], n, at - begin, end - at))
+        stretches.sort(key=lambda s: len(s[0]))
+        sums = np.zeros((len(texts), len(self.labels)))
+        for at in range(0, len(stretches), BLOCK):
+            own = stretches[at : at + BLOCK]
+            steps = len(own[-1][0])
+            laid = np.frombuffer(b"".join(s[0].ljust(steps, b"\0") for s in own), np.uint8).reshape(len(own), steps)
+            place = np.arange(steps)[:, None]
+            filled, lead, counted = (np.array(x) for x in zip(*((len(s[0]), s[2], s[3]) for s in own)))
+            p = self.position_probabilities(np.ascontiguousarray(laid.T), (place < filled).astype(np.float32) if (filled < steps).any() else None)
+            weight = ((place >= lead) & (place < lead + counted)).astype(np.float32)
+            np.add.at(sums, [s[1] for s in own], np.einsum("tnl,tn->nl", p, weight))
+        return sums / np.array([len(t) for t in texts])[:, None]
 
 
 def _groups(sizes: list[int], most: int):
@@ -177,20 +182,22 @@ def _groups(sizes: list[int], most: int):
 
 
 def train(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "lang", folds: int = 5, sample_docs: int = 3_000, piece_chars: int = 600, size: int = 8, seed: int = 42) -> Network:
-    """A network learned from rows outside fold 0: about sample_docs of them, of each at most piece_chars characters at a hashed place."""
+    """A network learned from rows outside fold 0: about sample_docs of them, shared evenly by the languages, of each at most piece_chars characters at a hashed place."""
     rows = df.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.col(label_col).cast("string").alias("label"))
     rows = rows.where((fold(F.col("id"), folds) != 0) & F.col("label").isNotNull() & F.col("text").isNotNull())
-    total = rows.count()
+    sizes = rows.groupBy("label").agg(F.count("*").alias("n"))  # a row for each language
+    each = max(1, sample_docs // max(1, sizes.count()))
     place = F.pmod(F.xxhash64("id", F.lit(1)), F.greatest(F.lit(1), F.length("text") - piece_chars)) + 1
-    share = F.pmod(F.xxhash64("id", F.lit(0)), F.lit(max(1, total))) < sample_docs
-    found = rows.where(share).select("label", F.substring("text", place.cast("int"), F.lit(piece_chars)).alias("piece")).limit(2 * sample_docs).toArrow().to_pydict()
+    share = F.pmod(F.xxhash64("id", "text"), F.col("n")) < each
+    found = rows.join(F.broadcast(sizes), "label").where(share).select("label", F.substring("text", place.cast("int"), F.lit(piece_chars)).alias("piece")).limit(2 * sample_docs).toArrow().to_pydict()
     pairs = sorted(zip(found["label"], found["piece"]))
     labels = sorted({lab for lab, _ in pairs})
     windows, own = [], []
     for label, piece in pairs:
         raw = piece.encode()
         raw = raw * (WINDOW // max(1, len(raw)) + 1) if 0 < len(raw) < WINDOW else raw
-        for at in range(0, len(raw) - WINDOW + 1, WINDOW):
+        for at in range(0, len(raw), WINDOW):
+            at = min(at, len(raw) - WINDOW)  # the last window ends with the piece
             windows.append(raw[at : at + WINDOW])
             own.append(labels.index(label))
     net = Network(labels, size, seed)

@@ -1,44 +1,15 @@
-"""Shared helpers of the training-data operators: shared storage, materialised tables, component labels."""
+"""Shared helpers of the training-data operators: joins that split hot keys, component labels, folds."""
 
 from __future__ import annotations
 
-import uuid
-
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Used only where the session names no spark.checkpoint.dir, as in tests on one machine.
-LOCAL_FALLBACK = "/tmp/checkpoints/depmine"
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    return (named or LOCAL_FALLBACK).rstrip("/")
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write df as a table in the shared folder and read it back.
-
-    Unlike a cache, the copy survives the loss of executors, and unlike a
-    recomputation it is stable for what depends on partition numbers.
-    """
-    path = fresh_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+from depmine.sources.io import drop_path, fresh_path, materialize, stored
 
-
-def drop_path(spark: SparkSession, path: str) -> None:
-    """Delete a folder of the shared storage through Spark's own file system layer."""
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+__all__ = ["binary_list", "connected_components", "drop_path", "fold", "forest", "fresh_path", "materialize", "salted_join", "stored"]
 
 
 def binary_list(column: pa.Array) -> list[bytes | None]:
@@ -71,27 +42,47 @@ def forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return nodes[moved], nodes[label[moved]]
 
 
+def salted_join(rows: DataFrame, table: DataFrame, key: str, by: str, n: int) -> DataFrame:
+    """Inner join of `rows` with a table in which `key` is unique, where a key may hold any share of the n rows.
+
+    A key with more than a thousandth of the rows is cut by a hash of `by` into
+    parts of about that size, and its row of the table is sent to each part. The
+    list of these keys, at most a thousand, is told to all tasks.
+    """
+    if n <= 10_000:  # no key can be hot
+        return rows.join(table, key)
+    most = max(200, n // 1_000)
+    hot = rows.groupBy(key).agg(F.count("*").alias("__n")).where(F.col("__n") > most).select(F.col(key).alias("__key"), F.ceil(F.col("__n") / most).cast("int").alias("__salts"))
+    marked = rows.join(F.broadcast(hot), F.col(key) == F.col("__key"), "left").withColumn("__salt", F.coalesce(F.pmod(F.xxhash64(by), F.col("__salts")), F.lit(0)).cast("int")).drop("__key", "__salts")
+    spread = table.join(F.broadcast(hot), F.col(key) == F.col("__key"), "left").withColumn("__salt", F.explode(F.sequence(F.lit(0), F.coalesce("__salts", F.lit(1)) - 1))).drop("__key", "__salts")
+    return marked.join(spread, [key, "__salt"]).drop("__salt")
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root) for every node of the undirected edges (a, b): root is the component's smallest node.
 
     Alternates two local rewirings until nothing changes: every node hands its
     larger neighbours to the smallest one it sees, then keeps one link
-    downwards. Each round is written to shared storage, so no lineage grows;
-    nothing but one changed-row count reaches the driver.
+    downwards. A node with many neighbours is split over tasks. Each round is
+    written to shared storage, so no lineage grows, and the round before is
+    deleted; nothing but counts reaches the driver.
     """
-    current = materialize(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    for _ in range(max_rounds):
+    spark = edges.sparkSession
+    current, path = stored(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
+    n = current.count()
+    for _ in range(max_rounds if n else 0):
         both = current.unionByName(current.select(F.col("b").alias("a"), F.col("a").alias("b")))
         lowest = both.groupBy("a").agg(F.min("b").alias("low")).select("a", F.least("a", "low").alias("low"))
-        large = both.join(lowest, "a").where("b > a").select(F.col("b").alias("a"), F.col("low").alias("b")).where("a <> b").distinct()
-        below = large.groupBy("a").agg(F.min("b").alias("low"))
-        down = large.join(below, "a")
+        large = salted_join(both, lowest, "a", "b", n).where("b > a").select(F.col("b").alias("a"), F.col("low").alias("b")).where("a <> b").distinct()
+        down = salted_join(large, large.groupBy("a").agg(F.min("b").alias("low")), "a", "b", n)
         small = down.select(F.when(F.col("b") == F.col("low"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("low").alias("b")).union(down.select("a", F.col("low").alias("b")))
-        after = materialize(small.where("a <> b").distinct(), "edges")
-        changed = after.join(current, ["a", "b"], "left_anti").limit(1).count() + current.join(after, ["a", "b"], "left_anti").limit(1).count()
-        current = after
-        if not changed:
+        after, written = stored(small.where("a <> b").distinct(), "edges")
+        same = after.count() == n and after.join(current, ["a", "b"], "left_anti").isEmpty()
+        drop_path(spark, path)
+        current, path, n = after, written, after.count()
+        if same:
             break
     else:
-        raise RuntimeError("the components did not settle")
+        if n:
+            raise RuntimeError("the components did not settle")
     return current.select(F.col("a").alias("node"), F.col("b").alias("root"))

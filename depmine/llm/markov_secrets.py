@@ -32,46 +32,80 @@ WORD = r"[A-Za-z][A-Za-z0-9_-]{4,}"
 SPAN = "array<struct<start:long,kind_no:int,stop:long,value:string>>"
 
 
-def _located(text: Column, pattern: str, kind_no: int, hits: Column) -> Column:
-    """The hits with their offsets: what stands between them is as long as the split of the text says."""
+#: Hits and spans are folded in blocks of so many, for which arrays grow, and texts cut in pieces of so many characters: work stays near linear in a text.
+FOLDED, PIECE = 256, 4096
+
+
+def _folded(items: Column, begin: Column, kind: str, step) -> Column:
+    """The array that step(acc, item) -> (at, own array to append) makes, folded block by block; begin: struct (at, found)."""
+    blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(items) - 1) / FOLDED).cast("int")), lambda b: F.slice(items, b * FOLDED + 1, F.lit(FOLDED)))
+    none = F.from_json(F.lit("[]"), kind)
+
+    def one(acc, item):
+        at, more = step(acc["at"], item)
+        return F.struct(at.alias("at"), F.concat(acc["found"], more).alias("found"))
+
+    def block(acc, items):
+        inner = F.array(F.aggregate(items, F.struct(acc["at"].alias("at"), none.alias("found")), one))  # as an element, so that it is made once
+        return F.get(F.transform(inner, lambda x: F.struct(x["at"].alias("at"), F.concat(acc["found"], x["found"]).alias("found"))), F.lit(0))
+
+    return F.when(F.size(items) > 0, F.aggregate(blocks, F.struct(begin.alias("at"), none.alias("found")), block)["found"]).otherwise(none)
+
+
+def _paired(text: Column, pattern: str, hits: Column) -> Column:
+    """Each hit with what stands between it and the one before."""
     gaps = F.split(text, pattern, -1)
-    none = F.from_json(F.lit("[]"), SPAN)
-    begin = F.struct(F.lit(0).cast("long").alias("at"), none.alias("found"))
+    return F.when(F.size(hits) > 0, F.zip_with(F.slice(gaps, 1, F.size(hits)), hits, lambda gap, hit: F.struct(F.length(gap).alias("gap"), hit.alias("hit")))).otherwise(F.from_json(F.lit("[]"), "array<struct<gap:int,hit:string>>"))
+
 
-    def step(acc, pair):
-        start = acc["at"] + F.length(pair["gap"])
+def _located(pairs: Column, kind_no: int) -> Column:
+    """The hits with their offsets: each begins where the one before and the gap end."""
+
+    def step(at, pair):
+        start = at + pair["gap"]
         stop = start + F.length(pair["hit"])
-        span = F.struct(start.alias("start"), F.lit(kind_no).alias("kind_no"), stop.alias("stop"), pair["hit"].alias("value"))
-        return F.struct(stop.alias("at"), F.concat(acc["found"], F.array(span)).alias("found"))
+        return stop, F.array(F.struct(start.alias("start"), F.lit(kind_no).alias("kind_no"), stop.alias("stop"), pair["hit"].alias("value")))
+
+    return _folded(pairs, F.lit(0).cast("long"), SPAN, step)
 
-    pairs = F.zip_with(F.slice(gaps, 1, F.size(hits)), hits, lambda gap, hit: F.struct(gap.alias("gap"), hit.alias("hit")))
-    located = F.aggregate(pairs, begin, step)["found"]
-    return F.when(F.size(hits) > 0, located).otherwise(none)
+
+def with_spans(df: DataFrame, patterns) -> DataFrame:
+    """Adds __spans0, ... of the patterns over __text, given as (kind number, pattern). Hits, pairs and spans are columns of their own, so that each is made once a row."""
+    out = df
+    for n, pattern in patterns:
+        out = out.withColumn(f"__hits{n}", F.regexp_extract_all("__text", F.lit(pattern), F.lit(0)))
+    for n, pattern in patterns:
+        out = out.withColumn(f"__pairs{n}", _paired(F.col("__text"), pattern, F.col(f"__hits{n}")))
+    for n, _ in patterns:
+        out = out.withColumn(f"__spans{n}", _located(F.col(f"__pairs{n}"), n))
+    return out.drop(*[f"__{x}{n}" for x in ("hits", "pairs") for n, _ in patterns])
 
 
 def with_base_spans(df: DataFrame, text_col: str) -> DataFrame:
     """Adds __text and __base: the spans of the fixed patterns by start, then kind."""
-    out = df.withColumn("__text", F.coalesce(F.col(text_col), F.lit("")))
-    for n, pattern in enumerate((ASSIGN, ACCESS, HEX)):
-        out = out.withColumn(f"__hits{n}", F.regexp_extract_all("__text", F.lit(pattern), F.lit(0)))
-    for n, pattern in enumerate((ASSIGN, ACCESS, HEX)):
-        out = out.withColumn(f"__spans{n}", _located(F.col("__text"), pattern, n, F.col(f"__hits{n}")))
+    out = with_spans(df.withColumn("__text", F.coalesce(F.col(text_col), F.lit(""))), list(enumerate((ASSIGN, ACCESS, HEX))))
     kept = F.filter("__spans0", lambda s: F.length(F.regexp_extract(s["value"], ASSIGN, 2)) >= 6)
-    return out.withColumn("__base", F.array_sort(F.concat(kept, F.col("__spans1"), F.col("__spans2")))).drop(*[f"__{x}{n}" for x in ("hits", "spans") for n in range(3)])
+    return out.withColumn("__base", F.array_sort(F.concat(kept, F.col("__spans1"), F.col("__spans2")))).drop("__spans0", "__spans1", "__spans2")
+
+
+def _neighbours(value: Column) -> Column:
+    """Each two neighbouring characters of a string, in one pass over it."""
+    chars = F.split(value, "")
+    return F.zip_with(F.slice(chars, 1, F.length(value) - 1), F.slice(chars, 2, F.length(value) - 1), lambda a, b: F.concat(a, b))
 
 
 def _pairs(strings: DataFrame) -> DataFrame:
     """Counts of neighbouring characters over the column value."""
-    places = F.sequence(F.lit(1), F.length("value") - 1)
-    return strings.where(F.length("value") > 1).select(F.explode(F.transform(places, lambda i: F.substring("value", i, F.lit(2)))).alias("pair")).groupBy("pair").count()
+    return strings.where(F.length("value") > 1).select(F.explode(_neighbours(F.col("value"))).alias("pair")).groupBy("pair").count()
 
 
 def train(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", sample_docs: int = 400, generated: int = 2_000, smoothing: float = 0.2) -> list[float]:
-    """128 x 128 log-likelihood ratios of a character after another: random strings over identifiers."""
+    """128 x 128 log-likelihood ratios of a character after another: random strings over identifiers. The sample is drawn by a hash of id and text: about sample_docs rows, twice as many at most."""
     spark = df.sparkSession
     rows = df.count()
-    share = F.pmod(F.xxhash64(id_col), F.lit(max(1, rows))) < sample_docs
-    sample = with_base_spans(df.where(share).select(F.col(text_col).alias("text")), "text")
+    drawn = F.xxhash64(F.col(id_col), F.col(text_col))
+    share = F.pmod(drawn, F.lit(max(1, rows))) < sample_docs
+    sample = with_base_spans(df.where(share).select(F.col(text_col).alias("text"), drawn.alias("__drawn")).orderBy("__drawn").limit(2 * sample_docs), "text")
     digest = F.sha2(F.col("id").cast("string"), 512)
     made = spark.range(generated).select(F.explode(F.array(F.base64(F.unhex(digest)), F.lower(F.base64(F.unhex(digest))), F.upper(F.base64(F.unhex(digest))), digest)).alias("value"))
     known = sample.select(F.explode("__base").alias("s")).select(F.when(F.col("s.kind_no") == 0, F.regexp_extract("s.value", ASSIGN, 2)).otherwise(F.col("s.value")).alias("value"))
@@ -89,22 +123,34 @@ def train(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", sample_
 
 
 def mean_ratio(value: Column, model: list[float]) -> Column:
-    """Mean log-likelihood ratio of a string's characters."""
-    table = F.array(*[F.lit(round(x, 4)) for x in model[33 * 128 :]])
-    code = lambda i: F.ascii(F.substring(value, i, F.lit(1)))
-    places = F.sequence(F.lit(1), F.length(value) - 1)
-    return F.aggregate(places, F.lit(0.0), lambda acc, i: acc + F.get(table, (code(i) - 33) * 128 + code(i + 1))) / (F.length(value) - 1)
+    """Mean log-likelihood ratio of a string's characters, in one pass over it."""
+    table = F.split(F.lit(",".join(str(round(x, 4)) for x in model[33 * 128 :])), ",").cast("array<double>")  # one constant: thousands of literals would slow planning down
+    codes = F.transform(F.split(value, ""), lambda c: F.ascii(c))
+    n = F.length(value) - 1
+    steps = F.zip_with(F.slice(codes, 1, n), F.slice(codes, 2, n), lambda a, b: F.get(table, (a - 33) * 128 + b))
+    return F.aggregate(steps, F.lit(0.0), lambda acc, x: acc + x) / n
 
 
 def find_secrets(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", model: list[float] | None = None, threshold: float = 0.8, sample_docs: int = 400) -> DataFrame:
     """df with __base and __all: arrays of (start, kind_no, stop, value) by start, then kind."""
     model = model or train(df, text_col, id_col, sample_docs)
-    out = with_base_spans(df, text_col)
-    out = out.withColumn("__hits", F.regexp_extract_all("__text", F.lit(CANDIDATE), F.lit(0)))
-    out = out.withColumn("__spans", _located(F.col("__text"), CANDIDATE, 3, F.col("__hits")))
-    fresh = F.filter("__spans", lambda s: ~F.exists("__base", lambda b: (b["start"] < s["stop"]) & (s["start"] < b["stop"])))
-    out = out.withColumn("__spans", F.when(F.size("__spans") > 0, F.filter(fresh, lambda s: mean_ratio(s["value"], model) > threshold)).otherwise(F.col("__spans")))
-    return out.withColumn("__all", F.array_sort(F.concat("__base", "__spans"))).drop("__hits", "__spans")
+    out = with_spans(with_base_spans(df, text_col), [(3, CANDIDATE)])
+
+    def ahead(at, s):
+        """Spans by start: a candidate goes if a base span before it reaches into it."""
+        base = s["kind_no"] < 3
+        return F.when(base, F.greatest(at, s["stop"])).otherwise(at), F.when(base | (s["start"] >= at), F.array(s)).otherwise(F.slice(F.array(s), 1, 0))
+
+    def behind(at, s):
+        """Spans from the last: a candidate goes if a base span behind its start begins within it, or if it is not random enough."""
+        base = s["kind_no"] < 3
+        kept = base | (s["stop"] <= at) & (mean_ratio(s["value"], model) > threshold)
+        return F.when(base, F.least(at, s["start"])).otherwise(at), F.when(kept, F.array(s)).otherwise(F.slice(F.array(s), 1, 0))
+
+    out = out.withColumn("__both", F.when(F.size("__spans3") > 0, F.array_sort(F.concat("__base", "__spans3"))).otherwise(F.from_json(F.lit("[]"), SPAN)))
+    out = out.withColumn("__left", F.reverse(_folded(F.col("__both"), F.lit(0).cast("long"), SPAN, ahead)))
+    out = out.withColumn("__kept", F.array_sort(_folded(F.col("__left"), F.lit(1 << 62).cast("long"), SPAN, behind)))
+    return out.withColumn("__all", F.when(F.size("__spans3") > 0, F.col("__kept")).otherwise(F.col("__base"))).drop("__spans3", "__both", "__left", "__kept")
 
 
 def spelled(spans: Column) -> Column:
@@ -121,15 +167,20 @@ def scan(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", **option
 
 
 def redact(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", mark: str = "[SECRET]", **options) -> DataFrame:
-    """df with every span of the text replaced by the mark; null texts stay null."""
-    found = find_secrets(df, text_col, id_col, **options)
-    text = F.col("__text")
-
-    def step(acc, s):
-        more = s["start"] >= acc["at"]
-        piece = F.concat(acc["out"], F.substring(text, (acc["at"] + 1).cast("int"), (s["start"] - acc["at"]).cast("int")), F.lit(mark))
-        return F.struct(F.greatest(acc["at"], s["stop"]).alias("at"), F.when(more, piece).otherwise(acc["out"]).alias("out"))
-
-    begin = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
-    done = F.aggregate("__all", begin, step, lambda acc: F.concat(acc["out"], F.substring(text, (acc["at"] + 1).cast("int"), F.length(text))))
+    """df with every span of the text replaced by the mark, spans that overlap by one; null texts stay null."""
+    found = find_secrets(df, text_col, id_col, **options).withColumn("__pieces", F.regexp_extract_all("__text", F.lit(f"(?s).{{1,{PIECE}}}"), F.lit(0)))
+
+    def between(start, stop):
+        """Characters start to stop of the text, read from its pieces."""
+        first, last = F.floor(start / PIECE).cast("int"), F.floor((stop - 1) / PIECE).cast("int")
+        near = F.array_join(F.slice("__pieces", first + 1, F.greatest(last - first + 1, F.lit(0))), "")
+        return F.substring(near, (start % PIECE + 1).cast("int"), (stop - start).cast("int"))
+
+    def step(at, s):
+        more = s["start"] >= at
+        return F.greatest(at, s["stop"]), F.when(more, F.array(F.concat(F.when(s["start"] > at, between(at, s["start"])).otherwise(""), F.lit(mark)))).otherwise(F.array().cast("array<string>"))
+
+    kept = _folded(F.col("__all"), F.lit(0).cast("long"), "array<string>", step)
+    end, size = F.array_max(F.transform("__all", lambda s: s["stop"])), F.length("__text").cast("long")
+    done = F.concat(F.array_join(kept, ""), F.when(size > end, between(end, size)).otherwise(""))
     return found.withColumn(text_col, F.when(F.size("__all") > 0, done).otherwise(F.col(text_col))).select(*df.columns)

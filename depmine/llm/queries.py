@@ -108,7 +108,7 @@ with parts as (
     coalesce(regexp_extract(rest, '^[^/?#]*([^?#]*)', 1), '') as path from parts
 ), c as (
   select *, array_to_string(list_sort(list_filter(string_split(coalesce(regexp_extract(url, '^[^?#]*\?([^#]*)', 1), ''), '&'),
-      lambda a: a <> '' and not regexp_matches(a, '^(utm_[^=]*|ref|page)(=|$)'))), '&') as kept,
+      lambda a: a <> '' and not regexp_matches(a, '^(utm_[^=]*|ref)(=|$)'))), '&') as kept,
     regexp_replace(host, '^(www|m)\.', '') || regexp_replace(path, '/+$', '') as bare from hp
 ), canon as (
   select page_id, url, host, path, case when host = '' then null when kept = '' then bare else bare || '?' || kept end as canon from c

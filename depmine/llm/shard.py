@@ -10,7 +10,7 @@ into ranges of bounded size, so no shard meets in one task.
 
 Defined results: every row gets a place, repeated rows and null or empty texts
 too (size 8, checksum 0); an empty table gives an empty result; other columns
-are ignored. The draw depends on the seed and on how rows lie in source partitions.
+are ignored, and a `shard` or `slot` that the input has is replaced. The draw depends on the seed and on how rows lie in source partitions.
 """
 
 from __future__ import annotations
@@ -84,7 +84,7 @@ def slot_ranges(rows: int, shards: int, range_rows: int) -> list[tuple[int, int,
 def shuffle(df: DataFrame, shards: int = 24, seed: int = 42, range_rows: int = 100_000) -> DataFrame:
     """df with shard and slot: a uniform random permutation cut into shards whose sizes differ by one at most."""
     spark = df.sparkSession
-    placed = materialize(df.select("*", F.spark_partition_id().alias("__shard_source"), F.monotonically_increasing_id().alias("__shard_place")), "shard-input")
+    placed = materialize(df.select(*[c for c in df.columns if c.lower() not in ("shard", "slot")], F.spark_partition_id().alias("__shard_source"), F.monotonically_increasing_id().alias("__shard_place")), "shard-input")
     counts = sorted((r["__shard_source"], r["count"]) for r in placed.groupBy("__shard_source").count().collect())  # a row for each source partition
     sources = {s: i for i, (s, _) in enumerate(counts)}
     ends = np.cumsum([n for _, n in counts]).tolist()

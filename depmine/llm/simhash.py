@@ -5,7 +5,7 @@ of a few segments. Each fingerprint is filed under its segment values and under
 the values a small Hamming ball around them reaches; fingerprints that share a
 file are then compared in full. Only distinct fingerprints are compared, a file
 yields the edges of a spanning forest and not its pairs, and a file above
-`split_at` is filed anew by its remaining bits, so no group is unbounded.
+`split_at` is filed anew by its remaining bits until none is, so no group is unbounded.
 
 Defined results: a null or blank text has fingerprint zero, and such texts
 link like any others; equal texts share a fingerprint; repeated rows are kept;
@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import binary_list, connected_components, forest, materialize
+from .common import binary_list, connected_components, forest, materialize, salted_join
 
 WIDTH = 64
 BUFFERED = 400_000
@@ -142,20 +142,22 @@ def link_files(keys: np.ndarray, fps: np.ndarray, bits: int, small: int = 16):
         yield from spread(fps[at : at + n], bits)
 
 
-def links(fps: DataFrame, bits: int = 4, segments: int = 3, split_at: int = 20_000, max_depth: int = 3) -> DataFrame:
-    """Edges (a, b) that connect the same fingerprints as all pairs within `bits` do. fps: distinct values, column fp."""
+def links(fps: DataFrame, bits: int = 4, segments: int = 3, split_at: int = 20_000) -> DataFrame:
+    """Edges (a, b) that connect the same fingerprints as all pairs within `bits` do. fps: distinct values, column fp.
+
+    A file of more than split_at is filed anew by the bits that its key leaves
+    free, level by level. Each level settles a third of them, and k free bits
+    hold at most 2^k distinct fingerprints, so after four levels no file is large.
+    """
     level = file_rows(fps.select(F.lit(0).cast("long").alias("key"), F.lit(-1).cast("long").alias("free"), "fp"), bits, segments)
     parts = []
-    for depth in range(max_depth):
-        if depth + 1 < max_depth:
-            large = materialize(level.groupBy("key").count().where(F.col("count") > split_at).select("key"), "files")
-            if large.isEmpty():
-                parts.append(level)
-                break
-            parts.append(level.join(large, "key", "left_anti"))
-            level = file_rows(level.join(large, "key", "left_semi").select("key", "free", "fp"), bits, segments)
-        else:
+    while True:
+        large = materialize(level.groupBy("key").count().where(F.col("count") > split_at).select("key"), "files")
+        if large.isEmpty():
             parts.append(level)
+            break
+        parts.append(level.join(large, "key", "left_anti"))
+        level = file_rows(level.join(large, "key", "left_semi").where("free <> 0").select("key", "free", "fp"), bits, segments)
     filed = parts[0].select("key", "fp")
     for p in parts[1:]:
         filed = filed.unionByName(p.select("key", "fp"))
@@ -202,7 +204,7 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     rooted = distinct.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     lowest = rooted.groupBy("root").agg(F.min("rep").alias("component_id"))
     named = rooted.join(lowest, "root").select("fp", "component_id")
-    return own.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "fp")
+    return salted_join(own, named, "fp", "doc_id", own.count()).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "fp")
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

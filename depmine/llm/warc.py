@@ -26,13 +26,15 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import binary_list, fresh_path
+from .common import binary_list, fresh_path, materialize, salted_join
 
 #: Fixed by the archive and compression formats.
 DICTIONARY_FRAME, DICTIONARY_MAGIC = 0x184D2A5D, 0xEC30A437
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2020-01-01T00:00:00Z"
 MANIFEST = "path string, records long, bytes long"
+#: So many hashes of repeated payloads (40 bytes each) are told to all tasks, and no page moves; beyond, pages meet them by exchange, a common payload split over tasks.
+TOLD = 200_000
 RECORD = "page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, payload binary"
 
 
@@ -116,9 +118,17 @@ def write_archives(pages: DataFrame, path: str | None = None, id_col: str = "pag
     spark = pages.sparkSession
     path = path or fresh_path(spark, "warc")
     rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).alias("url"), F.coalesce(F.col(html_col), F.lit("")).alias("html"))
-    keyed = rows.withColumn("sha", F.sha1(F.col("html").cast("binary"))).withColumn("size", F.octet_length("html"))
-    first = keyed.where(F.col("size") >= least_bytes).groupBy("sha").agg(F.min("page_id").alias("first"))
-    joined = keyed.join(first, "sha", "left").select("page_id", "url", "html", F.when(F.col("page_id").isNull() | (F.col("first") != F.col("page_id")), F.col("first")).alias("refers_to"))
+    keyed = rows.withColumn("sha", F.sha1(F.col("html").cast("binary")))
+    stored_once = keyed.select("page_id", "sha", F.octet_length("html").alias("size")).where(F.col("size") >= least_bytes)
+    shared = materialize(stored_once.groupBy("sha").agg(F.min("page_id").alias("first"), F.count("*").alias("__copies")).where("__copies > 1").drop("__copies"), "payloads")  # hashes only
+    n_shared = shared.count()
+    if n_shared <= TOLD:
+        joined = keyed.join(F.broadcast(shared), "sha", "left")
+    else:
+        known = salted_join(keyed, shared, "sha", "page_id", keyed.count())
+        joined = keyed.join(shared, "sha", "left_anti").withColumn("first", F.lit(None).cast("long")).unionByName(known)
+    own = F.col("page_id").isNull() | (F.col("first") != F.col("page_id"))
+    joined = joined.select("page_id", "url", "html", F.when(own, F.col("first")).alias("refers_to"))
     total = max(1, rows.count())
     drawn = rows.where(F.pmod(F.xxhash64("page_id", "url"), F.lit(total)) < sample_records).select("page_id", "url", F.substring("html", 1, sample_bytes).alias("html")).limit(2 * sample_records).collect()
     held = spark.sparkContext.broadcast(train_dictionary([record(r["page_id"], r["url"], r["html"].encode(), None) for r in drawn]))

@@ -11,7 +11,7 @@ import public_tokenizers
 import pytest
 import tiktoken
 import xxhash
-from pyspark.sql import functions as F
+
 
 from depmine.llm import bigru, bpe_dp, hpylm, markov_secrets, queries, simhash, spaced_seeds
 
@@ -203,6 +203,44 @@ def test_models_tell_random_from_ordinary(spark, small):
     assert got == {i: int(x) for i, (_, x) in enumerate(made)}
 
 
+def slow_markov(text, model, threshold=0.8):
+    """Candidates outside base spans whose mean ratio exceeds the threshold, one character after another."""
+    base = slow_base(text)
+    out = []
+    for m in re.finditer(markov_secrets.CANDIDATE, text or ""):
+        codes = [ord(c) for c in m[0]]
+        mean = sum(round(model[a * 128 + b], 4) for a, b in zip(codes, codes[1:])) / (len(codes) - 1)
+        if mean > threshold and not any(a < m.end() and m.start() < b for a, _, b, _ in base):
+            out.append(f"markov:{m.start()}:{m.end()}")
+    return out
+
+
+def test_added_spans_equal_brute_force_and_find_planted_strings(spark, small, docs):
+    model = markov_secrets.train(spark.read.parquet(f"{small}/documents.parquet"))
+    rng = np.random.default_rng(8)
+    letters = list("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/")
+    planted = [(10_000 + i, f"é key {''.join(rng.choice(letters, 24 + i % 30))} end") for i in range(200)]
+    rows = [(d, t) for d, t, _ in docs] + planted
+    got = {r["doc_id"]: r for r in markov_secrets.scan(spark.createDataFrame(rows, "doc_id long, text string"), model=model).collect()}
+    for d, t in rows:
+        assert [s for s in got[d]["spans"].split(",") if s.startswith("markov")] == slow_markov(t, model)
+    assert sum(got[d]["n_markov"] == 1 or bool(slow_base(t)) for d, t in planted) >= 190
+
+
+def test_long_candidates_and_many_spans(spark):
+    """A megabyte of one candidate, and one of 30,000 spans: work is near linear in the text."""
+    rng = np.random.default_rng(9)
+    whole = "".join(rng.choice(list("ABCDEFGHabcdefgh01234567+/"), 1_000_000))
+    many = "é ".join("0123456789abcdef01234567" for _ in range(30_000))
+    frame = spark.createDataFrame([(1, whole), (2, many)], "doc_id long, text string")
+    model = markov_secrets.train(frame)
+    got = {r["doc_id"]: r for r in markov_secrets.scan(frame, model=model).collect()}
+    assert got[2]["n_hex"] == 30_000
+    check_secrets([(2, many)], [got[2]])
+    clean = {r["doc_id"]: r["text"] for r in markov_secrets.redact(frame, model=model).collect()}
+    assert clean[2] == "é ".join("[SECRET]" for _ in range(30_000))
+
+
 # -- language ------------------------------------------------
 
 
