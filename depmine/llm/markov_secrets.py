@@ -100,12 +100,12 @@ def _pairs(strings: DataFrame) -> DataFrame:
 
 
 def train(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", sample_docs: int = 400, generated: int = 2_000, smoothing: float = 0.2) -> list[float]:
-    """128 x 128 log-likelihood ratios of a character after another: random strings over identifiers. The sample is drawn by a hash of id and text: about sample_docs rows, twice as many at most."""
+    """128 x 128 log-likelihood ratios of a character after another: random strings over identifiers. The sample is drawn by a hash of id and text, equal ones once: about sample_docs rows."""
     spark = df.sparkSession
     rows = df.count()
     drawn = F.xxhash64(F.col(id_col), F.col(text_col))
     share = F.pmod(drawn, F.lit(max(1, rows))) < sample_docs
-    sample = with_base_spans(df.where(share).select(F.col(text_col).alias("text"), drawn.alias("__drawn")).orderBy("__drawn").limit(2 * sample_docs), "text")
+    sample = with_base_spans(df.where(share).select(F.col(text_col).alias("text"), drawn.alias("__drawn")).dropDuplicates(["__drawn"]), "text")
     digest = F.sha2(F.col("id").cast("string"), 512)
     made = spark.range(generated).select(F.explode(F.array(F.base64(F.unhex(digest)), F.lower(F.base64(F.unhex(digest))), F.upper(F.base64(F.unhex(digest))), digest)).alias("value"))
     known = sample.select(F.explode("__base").alias("s")).select(F.when(F.col("s.kind_no") == 0, F.regexp_extract("s.value", ASSIGN, 2)).otherwise(F.col("s.value")).alias("value"))

@@ -330,41 +330,144 @@ def check_scores(rows, got):
 
 
 def test_scores_and_base_counts(spark, small, docs, odd, none):
-    got = hpylm.score(spark.read.parquet(f"{small}/documents.parquet"), chunk_bytes=300_000, bucket_bytes=400_000).collect()
+    trace = []
+    got = hpylm.score(spark.read.parquet(f"{small}/documents.parquet"), chunk_bytes=400_000, part_bytes=500_000, shard_bytes=900_000, trace=trace).collect()
     check_scores([(d, t) for d, t, _ in docs], got)
     held = [r for r in got if r["held_out"]]
     assert sum(r["score"] for r in held) > sum(r["base_score"] for r in held)
+    assert abs(trace[-1] - trace[-2]) < 0.01 * trace[-1]  # the seating has settled
     check_scores([r[:2] for r in odd_rows()], hpylm.score(odd).collect())
     assert hpylm.score(none).count() == 0
 
 
+def held(doc_id):
+    return zlib.crc32(str(doc_id).encode()) % 7 == 2
+
+
+def plain_sampler(train, asked, rounds=60, burn=20, seed=3):
+    """The same model in one process: every customer of every restaurant is taken away and seated anew, one after another."""
+    rng = np.random.default_rng(seed)
+    words = sorted({w for s in train for w in s} | {""})
+    v = len(words)
+    rooms = collections.defaultdict(lambda: collections.defaultdict(list))  # context -> word -> table sizes
+    root = collections.defaultdict(list)
+    customers = [(a, b) for s in train for a, b in zip(["", *s], [*s, ""])]
+
+    def seat(tables, total, d, strength, base):
+        weights = [n - d for n in tables] + [(strength + d * total) * base]
+        at = rng.choice(len(weights), p=np.array(weights) / sum(weights))
+        if at == len(tables):
+            tables.append(1)
+            return True
+        tables[at] += 1
+        return False
+
+    def p_root(w):
+        n = sum(map(sum, root.values()))
+        return (max(sum(root[w]) - hpylm.ROOT_DISCOUNT * len(root[w]), 0) + (hpylm.ROOT_STRENGTH + hpylm.ROOT_DISCOUNT * n_root[0]) / (v + 1)) / (hpylm.ROOT_STRENGTH + n)
+
+    n_root, n_room = [0], collections.Counter()
+
+    def leave(tables):
+        at = rng.choice(len(tables), p=np.array(tables) / sum(tables))
+        tables[at] -= 1
+        if not tables[at]:
+            del tables[at]
+            return True
+        return False
+
+    def add(a, b):
+        if seat(rooms[a][b], n_room[a], hpylm.DISCOUNT, hpylm.STRENGTH, p_root(b)):
+            n_room[a] += 1
+            n_root[0] += seat(root[b], n_root[0], hpylm.ROOT_DISCOUNT, hpylm.ROOT_STRENGTH, 1 / (v + 1))
+
+    for a, b in customers:
+        add(a, b)
+    total = np.zeros(len(asked))
+    seen = collections.Counter(a for a, _ in customers)
+    for turn in range(rounds):
+        for a, b in customers:
+            if leave(rooms[a][b]):
+                n_room[a] -= 1
+                n_root[0] -= leave(root[b])
+            add(a, b)
+        if turn >= burn:
+            for i, (a, b) in enumerate(asked):
+                tables = rooms[a][b] if a in rooms and b in rooms[a] else []
+                total[i] += hpylm.predictive(sum(tables), len(tables), seen[a], n_room[a], p_root(b)) / (rounds - burn)
+    return total
+
+
+def test_agrees_with_a_plain_sampler(spark):
+    rng = np.random.default_rng(6)
+    texts = {i: [f"w{int(x)}" for x in rng.zipf(1.5, rng.integers(5, 25)) % 25] for i in range(120)}
+    train = [w for i, w in texts.items() if not held(i)]
+    asked = sorted({(a, b) for i, w in texts.items() for a, b in zip(["", *w], [*w, ""])})
+    p = dict(zip(asked, plain_sampler(train, asked)))
+    frame = spark.createDataFrame([(i, " ".join(w)) for i, w in texts.items()], "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: r["score"] for r in hpylm.score(frame, chunk_bytes=2_000, part_bytes=2_000, shard_bytes=2_000, samples=12, burn=6).collect()}
+    want = {i: sum(math.log10(p[x]) for x in zip(["", *w], [*w, ""])) for i, w in texts.items()}
+    gaps = [(got[i] - want[i]) / (len(w) + 1) for i, w in texts.items()]
+    assert max(map(abs, gaps)) < 0.03 and abs(np.mean(gaps)) < 0.006
+
+
+def test_table_counts_follow_their_law():
+    """Draws against customer-by-customer Gibbs for few customers, and the approximation for many against exact weights."""
+    rng = np.random.default_rng(1)
+    for c, first, more in ((2, 0.3, 0.01), (10, 2.0, 0.05), (40, 8.0, 0.2)):
+        drawn = hpylm.Tables(0.8).draw(np.full(20_000, c), np.full(20_000, first), np.full(20_000, more), rng)
+        tables, seen = [c], []
+        for turn in range(6_000):
+            for _ in range(3):
+                at = rng.choice(len(tables), p=np.array(tables) / sum(tables))
+                tables[at] -= 1
+                tables = [n for n in tables if n]
+                weights = np.array([n - 0.8 for n in tables] + [first + more * len(tables)])
+                at = rng.choice(len(weights), p=weights / weights.sum())
+                tables = [*tables, 1] if at == len(tables) else [n + (i == at) for i, n in enumerate(tables)]
+            seen.append(len(tables))
+        assert abs(drawn.mean() - np.mean(seen[1_000:])) < 0.06 * drawn.mean()
+    logs = hpylm.log_stirling(0.8, 600)
+    for c, first, more in ((65, 0.5, 0.01), (200, 5.0, 0.1), (600, 40.0, 0.4), (600, 0.02, 0.001)):
+        t = np.arange(1, c + 1)
+        weight = logs[c, 1 : c + 1] + np.log(first + more * np.arange(c)).cumsum()
+        weight = np.exp(weight - weight.max())
+        mean = (t * weight).sum() / weight.sum()
+        spread = ((t - mean) ** 2 * weight).sum() / weight.sum()
+        drawn = hpylm.Tables(0.8).draw(np.full(20_000, c), np.full(20_000, first), np.full(20_000, more), rng)
+        assert abs(drawn.mean() - mean) < 0.04 * mean + 0.1 and abs(drawn.std() - spread**0.5) < 0.15 * spread**0.5 + 0.15
+
+
 def test_predictions_sum_to_one():
     rng = np.random.default_rng(2)
-    chunk = hpylm.Chunk()
-    for i in range(200):
-        chunk.add(i, False, " ".join(f"w{int(x)}" for x in rng.zipf(1.4, 60) % 50).encode())
-    blobs = [x for x in chunk.finish(1, 0) if x[0] >= 0]
-    table = hpylm.merge([b[2] for b in blobs])
-    first, n = hpylm.as_model(hpylm.bucket_totals(table))
-    assert n == 200 * 61
-    seatings = hpylm.sample_bucket(table, first, samples=3, burn=2, moves=4, seed=1)
-    models = [hpylm.as_model(hpylm.bucket_totals(table, s))[0] for s in seatings]
-    known = table[0]
-    for context in (0, 77, int(table[2][0]), int(table[2][-1])):
-        asked = np.append(known, np.uint64(known[-1] + np.uint64(1)))
-        blob = hpylm.pack(asked, np.ones(len(asked), np.int64), np.full(len(asked), context, np.uint16), np.zeros(len(asked), np.uint8))
-        logs, _ = hpylm.Answers(table, seatings, models)(blob)
-        assert math.isclose((10.0 ** logs.astype(np.float64)).sum(), 1, rel_tol=1e-3)
-
-
-def test_seating_keeps_its_customers():
-    rng = np.random.default_rng(4)
-    customers = rng.integers(1, 30, 500)
-    floor = hpylm.Floor(customers, 0.8, 1.0)
-    for _ in range(5):
-        floor.sweep(np.full(500, 0.1), np.full(500, 50.0), 5, rng)
-        ((rows, sizes),) = floor.blocks
-        assert (sizes.sum(axis=0) == floor.customers[rows]).all() and (sizes >= 0).all() and len(set(rows)) == len(rows)
-        assert ((floor.tables >= 1) & (floor.tables <= floor.customers)).all()
-        floor.follow(np.maximum(1, floor.customers + rng.integers(-3, 4, 500)), rng)
-    assert (floor.tables[floor.customers > 5] > 1).any()
+    customers = rng.integers(0, 30, 500)
+    tables = np.minimum(customers, rng.integers(1, 30, 500))
+    root = hpylm.Root(customers.sum(), tables.sum(), 500)
+    p = np.append(root.p(customers, tables), root.p(np.zeros(1), np.zeros(1)))
+    assert math.isclose(p.sum(), 1, rel_tol=1e-12)
+    c = np.append(rng.integers(0, 5, 500), 0)
+    t = np.minimum(c, 1 + rng.integers(0, 3, 501))
+    assert math.isclose(hpylm.predictive(c, t, c.sum(), t.sum(), p).sum(), 1, rel_tol=1e-12)
+
+
+def test_a_text_learned_once_is_told_from_a_new_one(spark):
+    """Held-out texts of rare words: those that occur once more, in training, get by far the lower perplexity."""
+    rng = np.random.default_rng(11)
+    made = lambda: " ".join("".join(rng.choice(list("abcdefghijkl"), 7)) for _ in range(30))
+    ids = iter(range(10_000))
+    rows, twins, single = [], [], []
+    common = [made().split()[0] for _ in range(300)]
+    while len(twins) < 20 or len(single) < 20:
+        i = next(ids)
+        if not held(i):
+            rows.append((i, " ".join(rng.choice(common, 40))))
+        elif len(twins) <= len(single):
+            text = made()
+            twins.append(i)
+            rows += [(i, text), (next(j for j in ids if not held(j)), text)]
+        else:
+            single.append(i)
+            rows.append((i, made()))
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: r["perplexity"] for r in hpylm.score(frame).collect()}
+    assert max(got[i] for i in twins) < 0.5 * min(got[i] for i in single)
