@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import itertools
 import math
 import re
 import zlib
@@ -139,12 +140,66 @@ def test_contamination_tolerates_substitution(spark, none):
     frame, test = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(bench, "item_id long, text string")
     got = {(r["doc_id"], r["item_id"]) for r in spaced_seeds.contaminated(frame, test).collect()}
     assert got == set(planted.items()) | {(202, 99), (None, 99)}
-    blocks = spaced_seeds.contaminated(frame, test, block_bytes=1_000)
-    assert {(r["doc_id"], r["item_id"]) for r in blocks.collect()} == got
-    assert {r["doc_id"] for r in spaced_seeds.decontaminate(frame, test).collect()} == {200, 201, None} | set(range(100, 120))
+    for told in (0, 500_000):  # a document without id goes too
+        assert {r["doc_id"] for r in spaced_seeds.decontaminate(frame, test, told=told).collect()} == {200, 201} | set(range(100, 120))
     assert spaced_seeds.contaminated(frame, test.limit(0)).count() == 0 == spaced_seeds.contaminated(none, test).count()
 
 
+def test_every_passage_meets_a_seed():
+    """All ways to change up to a fifth of the inner tokens, of 12 to 30 tokens by masks, of 6 to 11 by pieces."""
+    masks = [sum(1 << i for i in spaced_seeds.places(m)) for m in spaced_seeds.MASKS]
+    for n in range(12, 31):
+        shifted = np.array([m << i for m, text in zip(masks, spaced_seeds.MASKS) for i in range(n - len(text) + 1)], np.int64)
+        changed = np.array([sum(1 << i for i in c) for c in itertools.combinations(range(1, n - 1), n // 5)], np.int64)
+        met = np.zeros(len(changed), bool)
+        for m in shifted:
+            met |= (changed & m) == 0
+        assert met.all(), n
+    for n in range(6, 12):
+        ((mask, at, _),) = spaced_seeds.item_seeds(np.arange(n).astype(np.uint64), 0.8, 12)
+        assert mask in spaced_seeds.masks_for(12, 0.8)
+        for c in itertools.combinations(range(1, n - 1), n // 5):
+            assert any(not set(c) & set(range(a, a + len(mask))) for a in at.tolist())
+
+
+def slow_overlaps(docs, items, identity=0.8, least=12):
+    """Every item laid on every document at every place."""
+    out = set()
+    for d, text in docs:
+        a = spaced_seeds.tokens(text.encode())
+        for i, item in items:
+            b = spaced_seeds.tokens(item.encode())
+            for shift in range(1 - len(b), len(a)):
+                lo, hi = max(0, shift), min(len(a), shift + len(b))
+                region = spaced_seeds.longest_region(np.array([a[x] == b[x - shift] for x in range(lo, hi)]), identity)
+                if region and region[1] >= min(least, len(b)):
+                    out.add((d, i))
+    return out
+
+
+def test_substituted_overlaps_equal_brute_force(spark):
+    """Items of 6 to 40 tokens, whole and in part, with words changed anywhere, one phrase in every item."""
+    rng = np.random.default_rng(12)
+    word = lambda: "".join(rng.choice(list("abcdefgh"), 5))
+    phrase = [word() for _ in range(7)]
+    items, docs = [], []
+    for i in range(30):
+        own = [word() for _ in range(6 + i)]
+        items.append((i, own[: len(own) // 2] + (phrase if i > 14 else []) + own[len(own) // 2 :]))
+    for d in range(90):
+        own = list(items[d % 30][1])
+        lo = int(rng.integers(0, max(1, len(own) - 12)))
+        own = own[lo:] if d % 2 else own
+        for at in rng.choice(len(own), int(rng.integers(0, len(own) // 4 + 1)), replace=False):
+            own[at] = word()
+        docs.append((d, " ".join([word() for _ in range(5)] + own + phrase * (d % 3 == 0) + [word() for _ in range(5)])))
+    items = [(i, " ".join(w)) for i, w in items]
+    got = spaced_seeds.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()
+    want = slow_overlaps(docs, items)
+    found = {(r["doc_id"], r["item_id"]) for r in got}
+    assert found <= want and len(found) >= 0.97 * len(want) and len(got) == len(found)
+
+
 def test_contamination_finds_all_verbatim_passages(spark, small, docs):
     bench = [(r["item_id"], spaced_seeds.tokens(r["text"].encode())) for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()]
     joined = [(d, b" %s " % b" ".join(spaced_seeds.tokens(t.encode()))) for d, t, _ in docs]
