@@ -1,15 +1,22 @@
 """Worked examples, agreement of all plans, bounds and odd relations."""
 
+import datetime
+import math
+import os
 import random
+import subprocess
+import sys
+import time
 from itertools import combinations
 
 import pytest
+from pyspark.sql import functions as F
 
 from depmine.functions.bits import names, subset
-from depmine.operators import cover, distribute, partition
-from depmine.plans import baselines, lattice, planner, reason
+from depmine.operators import cover, distribute, partition, predicates, refine
+from depmine.plans import baselines, cost, lattice, pairs, planner, reason
 from depmine.plans.tree import CandidateTree
-from depmine.queries import ABCD, QUERIES, abcd
+from depmine.queries import ABCD, QUERIES
 
 PLANS = [("lattice", "reuse", "resident"), ("lattice", "reuse", "spill"), ("lattice", "reuse", "chunked"), ("lattice", "rescan", "resident"), ("lattice", "rescan", "spill"), ("pair", "reuse", "resident"), ("pair", "reuse", "spill"), ("pair", "rescan", "resident"), ("pair", "rescan", "spill"), ("hybrid", "reuse", "resident"), ("hybrid", "rescan", "resident"), ("hybrid", "rescan", "spill")]
 
@@ -60,6 +67,204 @@ def test_plans_agree(spark, method, plan, memory):
     assert set(planner.discover(df, method=method, plan=plan, memory=memory, k=3).found) == brute(rows, 5)
 
 
+def typed_rows():
+    """Instants one microsecond apart, 0.0 and -0.0, NaN and null: text and equality of these differ."""
+    at = datetime.datetime(2024, 1, 1)
+    t = [at + datetime.timedelta(microseconds=m) for m in (1, 2, 2, 86_400_000_000, 1, 3)]
+    z = [0.0, -0.0, float("nan"), float("nan"), None, 1.5]
+    return [(a, b, i % 2, i // 2, d) for i, (a, b, d) in enumerate(zip(t, z, [None, None, 1.0, -0.0, 0.0, 1.0]))]
+
+
+def same(v):
+    return "nan" if isinstance(v, float) and math.isnan(v) else v
+
+
+@pytest.mark.parametrize(("method", "plan", "memory"), [*PLANS, ("hybrid", "reuse", "spill")])
+def test_plans_agree_on_types(spark, method, plan, memory):
+    df = spark.createDataFrame(typed_rows(), "t timestamp_ntz, z double, a int, b long, d double")
+    rows = [tuple(map(same, r)) for r in typed_rows()]
+    assert set(planner.discover(df, method=method, plan=plan, memory=memory, k=3).found) == brute(rows, 5)
+    if method == "lattice":
+        assert set(planner.discover(df, "ucc", plan=plan, memory=memory, k=3).found) == brute(rows, 5, "ucc")
+
+
+def test_hot_classes_are_named_by_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(partition, "HOT_ROWS", 20)
+    df = spark.range(300).select("id", F.when(F.col("id") < 200, None).otherwise(F.col("id") % 30).alias("v"))
+    got = {r["row_id"]: r["class_id"] for r in partition.numbered(df.select("v", F.col("id").alias("row_id")), ["v"], "row_id").collect()}
+    least = {}
+    for i in range(300):
+        least.setdefault(None if i < 200 else i % 30, i)
+    assert got == {i: least[None if i < 200 else i % 30] for i in range(300)}
+
+
+def test_schedule_of_many_groups_makes_no_list():
+    for groups, k in ((1, 3), (2, 8), (7, 3), (40, 8)):
+        schedule = distribute.PairSchedule(groups, k)
+        made = [p for r in range(schedule.rounds) for p in schedule.round(r)]
+        assert sorted(made) == [(a, b) for a in range(groups) for b in range(a, groups)]
+    began = time.time()
+    schedule = distribute.PairSchedule(4096, 8)
+    assert len(schedule.round(0)) == 8 and time.time() - began < 0.1
+    assert distribute.PairSchedule(40, 8, 1).round(0) != distribute.PairSchedule(40, 8, 2).round(0)
+
+
+def test_places_and_window_pairs(spark):
+    """A class that spans partitions, and both ways to pair rows at a distance."""
+    rng = random.Random(2)
+    rows = [(rng.choice([None, 1, 1, 1, 2, i]), i, rng.random()) for i in range(400)]
+    df = spark.createDataFrame(rows, "v int, i int, x double").repartition(7)
+    groups = {}
+    for v, i, x in sorted(rows, key=lambda r: (r[2], r[1])):
+        groups.setdefault(v, []).append(i)
+    placed = {r["i"]: r["_pos"] for r in distribute.positions(df, ["v"], ["x", "i"]).collect()}
+    assert placed == {i: n for own in groups.values() for n, i in enumerate(own)}
+    want = {(a, b) for own in groups.values() for a, b in zip(own, own[2:])}
+    for mode in ("lead", "join"):
+        assert {(r["l_i"], r["r_i"]) for r in distribute.window_pairs(df, "v", 2, ["x", "i"], mode, 3).collect()} == want
+    with pytest.raises(MemoryError):
+        distribute.class_routes(df, "v", 3, largest=10)
+
+
+def brute_constraints(rows, space, attrs, most):
+    """Every choice of predicates against every ordered pair of rows; minimal if none can be dropped or weakened."""
+    ops = {"=": lambda x, y: x == y, "!=": lambda x, y: x != y, "<": lambda x, y: None not in (x, y) and x < y, ">": lambda x, y: None not in (x, y) and x > y}
+    ops |= {"<=": lambda x, y: x == y or ops["<"](x, y), ">=": lambda x, y: x == y or ops[">"](x, y)}
+    value = lambda pair, operand: pair[operand[0] - 1][attrs.index(operand[1])]
+    held = [{(s, op) for s, slot in enumerate(space.slots) for op in slot.ops if ops[op](value(p, slot.left), value(p, slot.right))} for i, a in enumerate(rows) for j, b in enumerate(rows) if i != j for p in [(a, b)]]
+    valid = set()
+    for size in range(1, most + 1):
+        for chosen in combinations(range(len(space.slots)), size):
+            choices = [()]
+            for s in chosen:
+                choices = [(*c, (s, op)) for c in choices for op in space.slots[s].ops]
+            valid |= {frozenset(q) for q in choices if not any(set(q) <= h for h in held)}
+    out = set()
+    for q in valid:
+        weaker = [q - {x} for x in q] + [q - {(s, op)} | {(s, w)} for s, op in q for w in predicates.WEAKER[op]]
+        if not any(frozenset(x) in valid for x in weaker) and not space.impossible(q):
+            out.add(min(space.spelled(q), space.spelled(space.mirror(q))))
+    return out
+
+
+@pytest.mark.parametrize(("method", "plan"), [("pair", "reuse"), ("pair", "rescan"), ("hybrid", "reuse"), ("hybrid", "rescan")])
+def test_constraints_over_the_whole_space(spark, method, plan):
+    """Comparisons across attributes and within one row, nulls and a repeated row among the data."""
+    rng = random.Random(4)
+    rows = [(rng.randint(0, 4), rng.randint(1, 5), rng.choice("xy")) for _ in range(12)] + [(None, 2, "x"), (1, 5, "y"), (1, 5, "y")]
+    df = spark.createDataFrame(rows, "a int, b int, c string")
+    space = predicates.space_of(df, df.columns, cross=True, single=True)
+    assert len(space.slots) == 7 and len(space.predicates) == 6 * 6 + 2
+    got = {r["dc"] for r in planner.denial_constraints(df, df.columns, method, plan, k=3, max_predicates=3, cross=True, single=True).collect()}
+    assert got == brute_constraints(rows, space, df.columns, 3) and got
+
+
+def test_violations_by_ranges(spark, monkeypatch):
+    """One late order among many: ranges of the ordering find the only violating pairs."""
+    from depmine.plans import dc
+
+    rows = [(i, i * 3 if i != 700 else 0, i % 2) for i in range(1, 1001)]
+    df = spark.createDataFrame(rows, "a int, b int, c int")
+    monkeypatch.setattr(dc, "RANGES", 16)
+    bare, _, n = pairs.compacted(df, df.columns)
+    space = predicates.space_of(df, df.columns)
+    search = dc.Violations(bare, n, df.columns, space, 200_000)
+    q = ((0, "<"), (1, ">"))
+    codes = search.all([q])
+    assert sum(codes.values()) == 699 and all(space.outcome(c, 0) == 0 and space.outcome(c, 1) == 2 for c in codes)
+    tight = dc.Violations(bare, n, df.columns, space, 10)
+    with pytest.raises(MemoryError):
+        tight.all([q])
+
+
+def test_constraints_of_many_attributes(spark):
+    """More slots than one word holds."""
+    df = spark.range(40).selectExpr(*[f"cast(id % {i + 2} as int) as c{i}" for i in range(36)])
+    space = predicates.space_of(df, df.columns)
+    assert len(space.codes()) == 2
+    code = next(iter(set(dc_codes(df, space))))
+    assert space.mirrored(space.mirrored(code)) == code
+
+
+def dc_codes(df, space):
+    from depmine.plans import dc
+
+    rows, _, _ = pairs.compacted(df, df.columns)
+    return dc._seen(distribute.triangle(rows, 3, pairs.ORDER), space)
+
+
+def brute_orders(rows, m, directions=("asc", "desc")):
+    """Set-based order dependencies by their definition: constant, or no two rows of a class ordered against each other."""
+    key = lambda v: (v is not None, v)
+    groups = lambda x: {tuple(r[i] for i in range(m) if x >> i & 1): [q for q in rows if all(q[i] == r[i] for i in range(m) if x >> i & 1)] for r in rows}.values()
+    cons, comps = set(), set()
+    for x in range(1 << m):
+        for a in (i for i in range(m) if not x >> i & 1):
+            if all(len({r[a] for r in g}) == 1 for g in groups(x)):
+                cons.add((x, a))
+        for a, b in combinations([i for i in range(m) if not x >> i & 1], 2):
+            for d in directions:
+                if not any(key(p[a]) < key(q[a]) and ((key(p[b]) > key(q[b])) if d == "asc" else (key(p[b]) < key(q[b]))) for g in groups(x) for p in g for q in g):
+                    comps.add((x, a, b, d))
+    out = {(x, a) for x, a in cons if not any(y != x and y & ~x == 0 and c == a for y, c in cons)}
+    out |= {(x, a, b, d) for x, a, b, d in comps if not any(y & ~x == 0 and c in (a, b) for y, c in cons) and not any(y != x and y & ~x == 0 and q == (a, b, d) for y, *q in [(z[0], *z[1:]) for z in comps] for q in [tuple(q)])}
+    return out
+
+
+@pytest.mark.parametrize(("plan", "memory"), [("rescan", "resident"), ("rescan", "spill"), ("reuse", "resident")])
+def test_order_lattice(spark, plan, memory):
+    rng = random.Random(9)
+    rows = [(i // 3, i // 4, rng.choice([None, 1, 2]), rng.randint(0, 2)) for i in range(14)]
+    df = spark.createDataFrame(rows, "a int, b int, c int, d int")
+    want = {(names(x[0], df.columns), df.columns[x[1]] if len(x) == 2 else f"{df.columns[x[1]]}~{df.columns[x[2]]}", "asc" if len(x) == 2 else x[3]) for x in brute_orders(rows, 4)}
+    got = planner.order_dependencies(df, df.columns, plan, memory, 3, lists=False).collect()
+    assert {(r["lhs"], r["rhs"], r["direction"]) for r in got} == want and len(got) == len(want)
+
+
+def test_swaps_of_a_class_over_partitions(spark):
+    rng = random.Random(3)
+    rows = [(i % 2, i // 5, i // 7 + (rng.random() < 0.01) * 5, i) for i in range(2_000)]
+    df = spark.createDataFrame(rows, "g int, a int, b int, i int").repartition(5)
+    for context in ([], ["g"]):
+        for down in (False, True):
+            plain, spread = (sorted(map(tuple, refine.swaps(df, context, "a", "b", down, s).collect())) for s in (False, True))
+            assert plain == spread and plain
+
+
+def test_raw_values_are_measured_before_they_move(spark):
+    df = spark.range(1_000).select(F.repeat(F.col("id").cast("string"), 500).alias("long"), "id")
+    with pytest.raises(MemoryError):
+        partition.BroadcastCodes(df, df.columns, 2, limit=100_000)
+    assert planner.whole(df, memory="resident").status == "done"
+
+
+def test_shuffled_bytes_and_loads_are_measured(spark, tiny):
+    df = spark.read.parquet(f"{tiny}/orders.parquet")
+    costs = {r["phase"]: r for r in planner.discover(df, method="hybrid", memory="resident", k=4).cost.collect()}
+    assert costs["data"]["shuffle_mb"] > 0 and 0 < costs["data"]["worker_mb"] <= costs["data"]["shuffle_mb"] and costs["total"]["broadcast_mb"] > 0
+    loads = planner.discover(df, plan="reuse", memory="resident", k=3).loads.collect()
+    assert {r["worker"] for r in loads if r["step"] == "level 1"} == {0, 1, 2}
+    constant, factor, far = cost.quadratic([(1, 3.0), (2, 9.0), (3, 19.0)], 10)
+    assert (round(constant, 9), round(factor, 9), round(far, 9)) == (1, 2, 201)
+
+
+BLOCKED = """
+import sys
+class Block:
+    def find_spec(self, name, path=None, target=None):
+        if name.split('.')[0] == 'zstandard':
+            raise ImportError(name)
+sys.meta_path.insert(0, Block())
+import __spark_entry__ as e
+assert not any(q.startswith('op') and q[2:3].isdigit() or q == 'pipeline' for q in e.queries()) and len(e.queries()) > 150 and 'pipeline' not in e.oracle_sql()
+"""
+
+
+def test_a_missing_dependency_drops_only_its_part():
+    top = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    subprocess.run([sys.executable, "-c", BLOCKED], cwd=top, env=os.environ | {"PYTHONPATH": top}, check=True, timeout=120)
+
+
 def test_pruning_keeps_what_the_literal_rule_loses(spark):
     rows, m = RELATIONS["trap"]
     found = {(names(x, list("BCDE")), names(a, list("BCDE"))) for x, a in planner.discover(frame(spark, rows, m), memory="resident").found}

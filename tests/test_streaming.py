@@ -24,3 +24,17 @@ def test_fold_of_batches(spark, tiny, tmp_path):
         fold(batch.where(F.pmod(F.xxhash64("user_id", "event_type"), F.lit(3)) == i), i)
     got = {r["user_id"] for r in spark.read.parquet(f"{tmp_path}/out").collect()}
     assert got == {r["user_id"] for r in monitor.watch_fd(batch, ["user_id"], "event_type").collect()}
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    """A row two days behind the watermark is dropped and counted."""
+    rows = lambda day, n: spark.createDataFrame([(f"2024-01-{day:02d} 00:00:{i:02d}", i) for i in range(n)], "ts string, v int").selectExpr("cast(ts as timestamp) as ts", "v")
+    for n, (day, size) in enumerate(((10, 5), (11, 5), (3, 4), (12, 5))):
+        rows(day, size).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        if not n:
+            stream = monitor.with_watermark(load_stream(spark, f"{tmp_path}/in", rows(1, 1).schema), "ts", "1 hour")
+            query = write_stream(monitor.window_counts(stream, "ts", "1 day"), f"{tmp_path}/cp", name="windows", mode="append")
+        query.processAllAvailable()
+    dropped = monitor.late_rows(query)
+    query.stop()
+    assert dropped > 0 and 3 not in {r["window_start"].day for r in spark.table("windows").collect()}
