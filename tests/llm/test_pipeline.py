@@ -38,6 +38,28 @@ def test_stages(spark, small):
     assert all(np.array_equal(got[d], reference.encode_ordinary(r["text"])) for d, r in rows["secrets"].items())
 
 
+def test_odd_rows_through_all_stages(spark, small, tmp_path):
+    """Nulls in every column, empty and very long texts, repeated rows, an empty benchmark, and extra columns with the operators' own names."""
+    plain = "the committee met in the morning and agreed on a plan for the library and its many readers in town today"
+    other = "a different story of rain and rivers that nobody in the valley had told before the long dry summer ended"
+    long = " ".join(f"word{i % 991}x{i}" for i in range(60_000))
+    rows = [(1, plain, "en", "s", 9), (1, plain, "en", "s", 9), (2, plain, None, None, None), (3, None, "en", "s", 1), (4, "", None, "s", 0), (5, "123 456 !!", None, "s", 1), (None, other + " api_key = 'Zx81kQpL0a9s'", None, None, None), (6, other, "en", None, None), (7, long, "en", "s", 1), (8, long + " end", "en", "s", 1)]
+    frame = spark.createDataFrame([(*r, "k", 1, "x", 2) for r in rows], "doc_id long, text string, lang string, source string, n_chars long, key string, fp int, hash string, shift int").repartition(3)
+    spark.createDataFrame([], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    kept = {}
+    for name, stage in corpus_pipeline.STAGES:
+        frame = stage(spark, frame, str(tmp_path))
+        kept[name] = frame.collect()
+        if name != "tokens":
+            assert frame.columns == list(corpus_pipeline.COLUMNS)
+            frame = spark.createDataFrame(kept[name], frame.schema)
+    ids = lambda name: sorted((r["doc_id"] is None, r["doc_id"]) for r in kept[name])
+    assert ids("language") == [(False, i) for i in (1, 1, 2, 6, 7, 8)] + [(True, None)]
+    assert ids("near_duplicates") == [(False, 1), (False, 6), (False, 7), (True, None)] == ids("decontamination")
+    assert {r["text"][-8:] for r in kept["secrets"] if r["doc_id"] is None} == {"SECRET]'"} and all(r["lang"] == "en" and r["n_chars"] == len(r["text"]) for r in kept["secrets"])
+    assert ids("tokens") == ids("secrets")
+
+
 def test_empty_documents(spark, small):
     frame = spark.read.parquet(f"{small}/documents.parquet").limit(0)
     for _, stage in corpus_pipeline.STAGES:
