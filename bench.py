@@ -4,7 +4,7 @@ import json
 import os
 import time
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 from depmine.plans import planner
 from depmine.sources.views import relation
@@ -14,16 +14,22 @@ CPUS = os.environ.get("BENCH_CPUS", "8")
 
 
 def workloads():
-    """The published workloads on the given tables: two plans of the lattice, pairs on a slice, hybrid on many rows."""
-    run = planner.discover
+    """The published workloads on whole given tables: both plans of the lattice, of pairs and of the hybrid, keys, orders and constraints."""
+    run, of = planner.discover, lambda s, name: relation(s, SF_DIR, name)
     return {
-        "lattice_rescan_resident_lineitem": lambda s: run(relation(s, SF_DIR, "lineitem"), memory="resident", k=32),
-        "lattice_rescan_spill_orders": lambda s: run(relation(s, SF_DIR, "orders")),
-        "lattice_reuse_resident_customer": lambda s: run(relation(s, SF_DIR, "customer"), plan="reuse", memory="resident"),
-        "pair_rescan_resident_part": lambda s: run(relation(s, SF_DIR, "part").where("p_partkey <= 6000"), method="pair", memory="resident"),
-        "pair_reuse_resident_part": lambda s: run(relation(s, SF_DIR, "part").where("p_partkey <= 6000"), method="pair", plan="reuse", memory="resident"),
-        "hybrid_rescan_resident_orders": lambda s: run(relation(s, SF_DIR, "orders"), method="hybrid", memory="resident", k=32),
-        "ucc_lattice_lineitem_lhs3": lambda s: run(relation(s, SF_DIR, "lineitem"), "ucc", memory="resident", k=32, max_lhs=3),
+        "lattice_rescan_resident_lineitem": lambda s: run(of(s, "lineitem"), memory="resident", k=32),
+        "lattice_rescan_spill_orders": lambda s: run(of(s, "orders")),
+        "lattice_reuse_resident_customer": lambda s: run(of(s, "customer"), plan="reuse", memory="resident"),
+        "lattice_reuse_resident_orders": lambda s: run(of(s, "orders"), plan="reuse", memory="resident"),
+        "pair_rescan_resident_part": lambda s: run(of(s, "part"), method="pair", memory="resident"),
+        "pair_reuse_resident_part": lambda s: run(of(s, "part"), method="pair", plan="reuse", memory="resident"),
+        "hybrid_rescan_resident_orders": lambda s: run(of(s, "orders"), method="hybrid", memory="resident", k=32),
+        "hybrid_rescan_resident_lineitem": lambda s: run(of(s, "lineitem"), method="hybrid", memory="resident", k=32),
+        "hybrid_rescan_spill_lineitem_lhs2": lambda s: run(of(s, "lineitem"), method="hybrid", max_lhs=2),
+        "ucc_lattice_lineitem": lambda s: run(of(s, "lineitem"), "ucc", memory="resident", k=32),
+        "od_lattice_resident_orders": lambda s: planner.order_dependencies(of(s, "orders"), of(s, "orders").columns, memory="resident", k=32, lists=False),
+        "dc_pair_rescan_resident_supplier": lambda s: planner.denial_constraints(of(s, "supplier"), of(s, "supplier").columns),
+        "dc_hybrid_rescan_resident_customer": lambda s: planner.denial_constraints(of(s, "customer"), of(s, "customer").columns, method="hybrid"),
     }
 
 
@@ -34,7 +40,8 @@ def main():
     for name, run in workloads().items():
         at = time.time()
         done = run(spark)
-        seconds[name], found[name] = round(time.time() - at, 3), len(done.found) if done.status == "done" else done.status
+        n = done.count() if isinstance(done, DataFrame) else len(done.found) if done.status == "done" else done.status
+        seconds[name], found[name] = round(time.time() - at, 3), n
     print(json.dumps({"metric": "discovery_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "found": found, "sf": SF_DIR.rstrip("/").rpartition("sf")[2]}))
 
 

@@ -263,7 +263,7 @@ register("dc_part_covers_in_tasks", dc_query("part", covers_in="tasks"), DC["par
 register("dc_orders_hybrid_rescan_resident", dc_query("orders", method="hybrid"), DC["orders"])
 register("dc_orders_pair_rescan_resident", dc_query("orders"), DC["orders"])
 register("dc_supplier_wide_space", dc_query("supplier", cross=True, single=True, overlap=0.0, max_predicates=3))
-register("dc_part_wide_space_hybrid", dc_query("part", method="hybrid", cross=True, single=True, max_predicates=3))
+register("dc_supplier_wide_space_hybrid", dc_query("supplier", method="hybrid", cross=True, single=True, overlap=0.0, max_predicates=3))
 
 
 def q_predicates(spark, sf_dir):
@@ -490,8 +490,8 @@ def trace_sql(t: str, attrs: list[str]) -> str:
 r as (select count(*) as n from src), open as (select x.mask, a.bit from c x, b a where x.size > 0 and not exists (select 1 from b, c p, c q where (x.mask & b.bit) > 0 and p.mask = (x.mask & ~a.bit & ~b.bit) and q.mask = (p.mask | b.bit) and p.n = q.n)),
 alive as (select mask from c where mask = 0 or (n <> (select n from r) and mask in (select mask from open))),
 made as (select x.mask, x.size from c x where x.size > 0 and not exists (select 1 from b where (x.mask & b.bit) > 0 and (x.mask & ~b.bit) not in (select mask from alive))),
-fd as ({fd_sql(f'select * from {t}', attrs)}), at as (select c.size + (c.n <> (select n from r))::int as level, count(*) as n from fd join c on c.lhs = fd.lhs group by 1)
-select size as level, count(*) as size, coalesce((select sum(n) from at where at.level <= made.size), 0)::bigint as found from made group by made.size"""
+fd as ({fd_sql(f'select * from {t}', attrs)}), placed as (select c.size + (c.n <> (select n from r))::int as level, count(*) as n from fd join c on c.lhs = fd.lhs group by 1)
+select size as level, count(*) as size, coalesce((select sum(n) from placed where placed.level <= made.size), 0)::bigint as found from made group by made.size"""
 
 
 def q_trace(t):
