@@ -323,28 +323,37 @@ def number_words(pdf: pd.DataFrame, plan: Plan) -> pd.DataFrame:
 class Pairs:
     """The distinct pairs of a chunk in the order in which parts are asked for them."""
 
-    def __init__(self, own: tuple, sent: pd.DataFrame, plan: Plan):
+    def __init__(self, own: tuple, sent: pd.DataFrame, plan: Plan, of_tokens: bool):
+        """With of_tokens, the pair of each token; else the number of times that each pair is learned from, for which a plain sort is enough."""
         _, _, held, lengths, spoken, place = own
         sent = sent.sort_values("source")
         self.ids = np.concatenate([summed(unpack(x)[0]) + plan.offsets[s] for s, x in zip(sent["source"], sent["data"])])
         place = joined(place)
         self.stream = place[joined(spoken)]
-        self.before = np.concatenate([place[:1], self.stream[:-1]])  # every text ends with number 0
-        keys, self.of_token = np.unique(self.before << 32 | self.stream, return_inverse=True)
+        keys = np.concatenate([place[:1], self.stream[:-1]]) << 32 | self.stream  # every text ends with number 0
+        if of_tokens:
+            keys, of_token = np.unique(keys, return_inverse=True)
+        else:
+            keys = np.sort(keys << 1 | np.repeat(held, lengths))
+            learned, keys = (keys & 1) == 0, keys >> 1
+            first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+            keys, counts = keys[first], np.add.reduceat(learned.astype(np.int64), first)
         v, w = keys >> 32, keys & 0xFFFFFFFF
         part = plan.part_of(self.ids[v], self.ids[w])
         order = np.argsort(part, kind="stable")
         self.v, self.w, self.part = v[order], w[order], part[order]
-        turn = np.empty(len(order), np.int64)
-        turn[order] = np.arange(len(order))
-        self.of_token = turn[self.of_token]
-        self.counts = np.bincount(self.of_token[~np.repeat(held, lengths)], minlength=len(order))
+        if of_tokens:
+            turn = np.empty(len(order), np.int64)
+            turn[order] = np.arange(len(order))
+            self.of_token = turn[of_token]
+        else:
+            self.counts = counts[order]
 
 
 def ask_parts(pdf: pd.DataFrame, plan: Plan) -> pd.DataFrame:
     """A chunk: its pairs as word numbers, with counts, to each part."""
     own = pdf[pdf["tag"] == "own"].iloc[0]
-    pairs = Pairs(get(own["path"]), pdf[pdf["tag"] == "ids"], plan)
+    pairs = Pairs(get(own["path"]), pdf[pdf["tag"] == "ids"], plan, False)
     parts = np.unique(pairs.part)
     cut = np.searchsorted(pairs.part, np.append(parts, plan.parts))
     out = []
@@ -367,15 +376,15 @@ def merge_pairs(pdf: pd.DataFrame, plan: Plan) -> pd.DataFrame:
     part, sent = int(pdf["dest"].iloc[0]), []
     for data in pdf["data"]:
         v, each, w, n = unpack(data)
-        sent.append((np.repeat(summed(v), each), joined(w), n.astype(np.int64)))
-    before = np.unique(np.concatenate([np.unique(v) for v, _, _ in sent]))
+        sent.append((summed(v), each, joined(w), n))
+    before = np.unique(np.concatenate([v for v, *_ in sent]))
     bits = max(1, int(plan.words).bit_length())
-    keys = [np.searchsorted(before, v) << bits | w for v, w, _ in sent]
+    keys = [np.repeat(np.searchsorted(before, v) << bits, each) | w for v, each, w, _ in sent]
     every = np.unique(np.concatenate(keys))
     asked = [np.searchsorted(every, k) for k in keys]
     counts = np.zeros(len(every), np.int64)
-    for at, (_, _, n) in zip(asked, sent):
-        counts[at] += n
+    for at, (*_, n) in zip(asked, sent):
+        counts[at] += n.astype(np.int64)
     v, w = before[every >> bits], every & (1 << bits) - 1
     words = np.unique(np.concatenate([before, w]))
     context, word = np.searchsorted(words, v), np.searchsorted(words, w)
@@ -455,7 +464,7 @@ def score_chunk(pdf: pd.DataFrame, plan: Plan, roots: list[Root]) -> pd.DataFram
     own = get(pdf[pdf["tag"] == "own"]["path"].iloc[0])
     ids, null, held, lengths, _, _ = own
     sent = pdf[pdf["tag"] == "ids"].sort_values("source")
-    pairs = Pairs(own, sent, plan)
+    pairs = Pairs(own, sent, plan, True)
     told = [unpack(x) for x in sent["data"]]
     counts = np.concatenate([t[1] for t in told]).astype(np.float64)
     answers = [unpack(x) for x in pdf[pdf["tag"] == "tables"].sort_values("source")["data"]]
@@ -479,7 +488,7 @@ def score_chunk(pdf: pd.DataFrame, plan: Plan, roots: list[Root]) -> pd.DataFram
 # -- the distributed whole ------------------------------------------------
 
 
-def score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, chunk_bytes: int = 12 << 20, part_bytes: int = 12 << 20, shard_bytes: int = 32 << 20, samples: int = 2, burn: int = 3, turns: int = 2, seed: int = 42, trace: list | None = None) -> DataFrame:
+def score(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, chunk_bytes: int = 12 << 20, part_bytes: int = 12 << 20, shard_bytes: int = 32 << 20, samples: int = 2, burn: int = 3, turns: int = 1, seed: int = 42, trace: list | None = None) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, perplexity of every row. trace: gets the tables of all context restaurants after each round."""
     spark = df.sparkSession
     size = df.agg(F.sum(F.octet_length(text_col))).first()[0] or 0

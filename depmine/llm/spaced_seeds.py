@@ -78,17 +78,17 @@ def item_seeds(words: np.ndarray, identity: float, least: int) -> list[tuple[str
     return [("1" * size, at, seed_hashes(words, "1" * size)[at])] if n else []
 
 
-def masks_for(least: int, identity: float) -> list[str]:
-    """All masks that items of any length may be posted under."""
-    short = {n // (int(n * (1 - identity) + 1e-9) + 1) if n >= 6 else n for n in range(1, least)}
-    return [*MASKS, *("1" * size for size in sorted(short))]
+def masks_for(lengths, least: int, identity: float) -> list[str]:
+    """The masks that items of these numbers of tokens are posted under."""
+    short = {n // (int(n * (1 - identity) + 1e-9) + 1) if n >= 6 else n for n in lengths if n < least}
+    return [*(MASKS if any(n >= least for n in lengths) else ()), *("1" * size for size in sorted(short))]
 
 
 class Filter:
-    """A Bloom filter of seed hashes with two probes, of a size that the number of hashes settles."""
+    """A Bloom filter of seed hashes with two probes, of 8 to 64 MB by the number of hashes: small ones pass one hash in millions."""
 
     def __init__(self, n: int):
-        self.bits = min(29, max(20, (64 * max(1, n)).bit_length()))
+        self.bits = min(29, max(26, (64 * max(1, n)).bit_length()))
         self.table = np.zeros(1 << self.bits - 3, np.uint8)
 
     def _probes(self, hashes: np.ndarray):
@@ -217,7 +217,9 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str, text_col: str,
     text = F.col(text_col)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), *text_keys(text))
     held = spark.sparkContext.broadcast(filter_of(postings.select("hash"), n))
-    hit = materialize(possible_hits(rows, held, masks_for(least, identity) if n else []), "hits") if n else spark.createDataFrame([], "doc_key long, doc_id long, k1 long, k2 long, doc_words binary, hits array<struct<hash: long, pos: int>>")
+    words = F.least(F.octet_length("item_words") / 8, F.lit(least)).cast("int")
+    lengths = [r["n"] for r in items.select(words.alias("n")).distinct().collect()]  # at most `least` of them
+    hit = materialize(possible_hits(rows, held, masks_for(lengths, least, identity)), "hits") if n else spark.createDataFrame([], "doc_key long, doc_id long, k1 long, k2 long, doc_words binary, hits array<struct<hash: long, pos: int>>")
     seeds = hit.select("doc_key", F.explode("hits").alias("h")).select("doc_key", "h.hash", "h.pos")
     lists = postings.groupBy("hash", F.pmod(F.xxhash64("item_no", "at"), F.lit(max(1, n // LISTED))).alias("list")).agg(F.collect_list(F.struct("item_no", "at")).alias("posted")).drop("list") if n > LISTED else postings.groupBy("hash").agg(F.collect_list(F.struct("item_no", "at")).alias("posted"))
     met = salted_join(seeds, lists, "hash", "doc_key", hit.agg(F.sum(F.size("hits"))).first()[0] or 0)
