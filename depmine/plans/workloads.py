@@ -21,10 +21,13 @@ from .result import Meter
 
 REPORT = "experiment string, relation string, n_rows long, n_columns int, method string, plan string, memory string, k int, n_found long, status string, seconds double, data_s double, schema_s double, rest_s double, shuffle_mb double, worker_mb double, broadcast_mb double"
 FD_METHODS = (("lattice", "rescan", "resident"), ("pair", "rescan", "resident"), ("hybrid", "rescan", "resident"))
-#: The seven methods that the scaling experiments run: kind and method.
+#: What runs on wide relations, and the seven methods of the scaling experiments: kind and method.
+FD_KINDS = (("fd", "lattice"), ("fd", "hybrid"), ("ucc", "hybrid"))
 SEVEN = (("fd", "lattice"), ("fd", "pair"), ("fd", "hybrid"), ("ucc", "hybrid"), ("od", "lattice"), ("dc", "pair"), ("dc", "hybrid"))
 #: Limits of the reports: pairs of rows, sets or candidates of a level, dependencies for the driver.
-LIMITS = {"max_pairs": 300_000_000, "max_nodes": 20_000, "max_covers": 200_000, "max_candidates": 100_000}
+LIMITS = {"max_pairs": 100_000_000, "max_nodes": 10_000, "max_covers": 30_000, "max_candidates": 20_000}
+#: Seconds after which a run on a wide relation ends with the time limit.
+LIMIT_S = 30.0
 
 
 def discovered(df: DataFrame, kind: str, method: str, plan: str, memory: str, k: int = 8, limits: dict = LIMITS, **options) -> tuple[int, str, Meter, float]:
@@ -153,7 +156,7 @@ def by_columns(spark: SparkSession, sf_dir: str, name: str, sizes, n_rows: int |
         n = df.count()
     for size in sizes:
         part = df.select(df.columns[:size])
-        rows += [report_row(f"{size} columns", name, part, n, kind, method, "rescan", "resident", **options) for kind, method in methods]
+        rows += [report_row(f"{size} columns", name, part, n, kind, method, "rescan", "resident", **(options if kind in ("od", "dc") else {"limit_s": LIMIT_S} | options)) for kind, method in methods]
     return reported(spark, rows)
 
 
@@ -163,7 +166,7 @@ def by_relation(spark: SparkSession, sf_dir: str, names=("star14", "lineitem", "
     for name in names:
         df = relation(spark, sf_dir, name)
         n = df.count()
-        rows += [report_row("methods by relation", name, df, n, "fd", *m, **options) for m in methods]
+        rows += [report_row("methods by relation", name, df, n, "fd", *m, **{"limit_s": LIMIT_S} | options) for m in methods]
     return reported(spark, rows)
 
 
