@@ -5,7 +5,7 @@ import pytest
 
 from depmine.queries import QUERIES, SQL
 
-NAMES = ["columns_deal_lineitem"]
+NAMES = ["columns_deal_lineitem", "cost_bounds_model"]
 
 
 @pytest.mark.parametrize("name", NAMES)
