@@ -5,7 +5,7 @@ import pytest
 
 from depmine.queries import QUERIES, SQL
 
-NAMES = ["columns_deal_lineitem", "cost_bounds_model", "example_four_rows_classes", "example_four_rows_evidence", "example_four_rows_fds", "example_four_rows_keys", "example_four_rows_meetings"]
+NAMES = ["columns_deal_lineitem", "cost_bounds_model", "example_four_rows_classes", "example_four_rows_evidence", "example_four_rows_fds", "example_four_rows_keys", "example_four_rows_meetings", "example_tax_constraint", "example_tax_constraint_found", "example_tax_evidence", "example_tax_fds", "example_tax_keys"]
 
 
 @pytest.mark.parametrize("name", NAMES)
