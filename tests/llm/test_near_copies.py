@@ -124,3 +124,16 @@ def test_odd_rows(odd, none):  # noqa: F811
     assert sorted(r["doc_id"] for r in kept.collect() if r["doc_id"] is not None) == sorted(set(want.values()))
     assert near_copies.keep_one(odd).where("doc_id is null").count() == 1
     assert near_copies.keep_one(none).count() == near_copies.near_copies(none).count() == 0
+
+
+def test_links_come_from_simhash(spark, monkeypatch):
+    """Near fingerprints are linked by multi-index hashing, and near-copies follow from these links where no prefix file offers a pair."""
+    words = [f"w{i}" for i in range(400)]
+    texts = [" ".join(words), " ".join(words[:-1] + ["other"]), " ".join(reversed(words))]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    asked = []
+    links = near_copies.simhash.links
+    monkeypatch.setattr(near_copies.simhash, "links", lambda fps, *a, **o: (asked.append(fps.count()), links(fps, *a, **o))[1])
+    monkeypatch.setattr(near_copies, "first_edges", lambda files, *a: files.where("false").selectExpr("key", "set_id as a", "n as b"))
+    got = {r["doc_id"]: r["component_id"] for r in near_copies.near_copies(df).collect()}
+    assert asked == [3] and got == {0: 0, 1: 0, 2: 2}
