@@ -26,6 +26,8 @@ from .common import binary_list, fold
 
 WINDOW, STRETCH, LEAD = 64, 960, 32
 BLOCK = 1024
+#: Rows of a batch that are held as bytes at once.
+ROWS = 2048
 LETTER = regex.compile(r"\p{L}")
 UND = "und"
 
@@ -65,6 +67,35 @@ class Direction:
             out[t] = h
         return out
 
+    def outputs(self, text: np.ndarray, mask: np.ndarray | None, weights: np.ndarray) -> np.ndarray:
+        """states() @ weights, without the states: gates apart from each other, so that every operation runs over whole buffers in place."""
+        steps, n = text.shape
+        size = len(self.recur)
+        half = np.array([0.5, 0.5, 1], np.float32)[:, None, None]  # of the two logistic gates, as half a hyperbolic tangent
+        table = self.table.reshape(-1, 3, size).transpose(1, 0, 2) * half
+        recur = self.recur.reshape(size, 3, size).transpose(1, 0, 2) * half
+        out, h = np.empty((steps, n, weights.shape[1]), np.float32), np.zeros((n, size), np.float32)
+        x, g = np.empty((3, n, size), np.float32), np.empty((3, n, size), np.float32)
+        gates, (update, reset, fresh) = x[:2], x
+        for t in range(steps):
+            for i in range(3):
+                np.take(table[i], text[t], axis=0, out=x[i], mode="clip")
+            np.matmul(h, recur, out=g)
+            gates += g[:2]
+            np.tanh(gates, out=gates)
+            gates *= np.float32(0.5)
+            gates += np.float32(0.5)
+            reset *= g[2]
+            fresh += reset
+            np.tanh(fresh, out=fresh)
+            h -= fresh
+            h *= update
+            h += fresh
+            if mask is not None:
+                h *= mask[t][:, None]
+            np.matmul(h, weights, out=out[t])
+        return out
+
     def gradients(self, text: np.ndarray, kept: list, d_states: np.ndarray) -> list[np.ndarray]:
         """Backpropagation through time: gradients of table and recur."""
         size = len(self.recur)
@@ -103,7 +134,14 @@ class Network:
 
     def position_probabilities(self, text: np.ndarray, mask: np.ndarray | None = None) -> np.ndarray:
         """(steps, windows, labels) for bytes laid out as (steps, windows)."""
-        return self._pass(text, mask)[2]
+        w, size = self.weights, len(self.weights[1])
+        scores = Direction(w[0], w[1]).outputs(text, mask, w[4][:size])
+        scores += Direction(w[2], w[3]).outputs(text[::-1], None if mask is None else mask[::-1], w[4][size:])[::-1]
+        scores += w[5]
+        scores -= scores.max(axis=2, keepdims=True)
+        np.exp(scores, out=scores)
+        scores /= scores.sum(axis=2, keepdims=True)
+        return scores
 
     def step(self, text: np.ndarray, labels: np.ndarray) -> tuple[float, list[np.ndarray]]:
         """Mean loss over all positions, and the gradients."""
@@ -211,10 +249,14 @@ def identify(df: DataFrame, net: Network, id_col: str = "doc_id", text_col: str
     held = df.sparkSession.sparkContext.broadcast(net)
 
     def run(batches):
-        for b in batches:
-            names, scores = held.value.predict(binary_list(b.column(2)))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(names), pa.array(scores, pa.float64()), *b.columns[3:]], ["doc_id", "held_out", "lang_pred", "score", *keep])
+        for whole in batches:
+            for at in range(0, whole.num_rows, ROWS):
+                b = whole.slice(at, ROWS)
+                names, scores = held.value.predict(binary_list(b.column(place)))
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(names), pa.array(scores, pa.float64()), *b.columns[first:]], ["doc_id", "held_out", "lang_pred", "score", *keep])
 
-    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), folds) == 0).alias("held_out"), F.col(text_col).alias("__text"), *[F.col(c) for c in keep])
+    kept = text_col in keep  # then the text moves once
+    place, first = (2 + keep.index(text_col), 2) if kept else (2, 3)
+    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), folds) == 0).alias("held_out"), *([] if kept else [F.col(text_col).alias("__text")]), *[F.col(c) for c in keep])
     types = dict(df.dtypes)
     return rows.mapInArrow(run, ", ".join(["doc_id long, held_out boolean, lang_pred string, score double", *[f"`{c}` {types[c]}" for c in keep]]))
