@@ -77,9 +77,10 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         down = salted_join(large, large.groupBy("a").agg(F.min("b").alias("low")), "a", "b", n)
         small = down.select(F.when(F.col("b") == F.col("low"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("low").alias("b")).union(down.select("a", F.col("low").alias("b")))
         after, written = stored(small.where("a <> b").distinct(), "edges")
-        same = after.count() == n and after.join(current, ["a", "b"], "left_anti").isEmpty()
+        left = after.count()
+        same = left == n and after.join(current, ["a", "b"], "left_anti").isEmpty()
         drop_path(spark, path)
-        current, path, n = after, written, after.count()
+        current, path, n = after, written, left
         if same:
             break
     else:
