@@ -22,7 +22,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import binary_list, fold
+from .common import binary_list, fold, thrifty
 
 WINDOW, STRETCH, LEAD = 64, 960, 32
 BLOCK = 1024
@@ -259,4 +259,4 @@ def identify(df: DataFrame, net: Network, id_col: str = "doc_id", text_col: str
     place, first = (2 + keep.index(text_col), 2) if kept else (2, 3)
     rows = df.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), folds) == 0).alias("held_out"), *([] if kept else [F.col(text_col).alias("__text")]), *[F.col(c) for c in keep])
     types = dict(df.dtypes)
-    return rows.mapInArrow(run, ", ".join(["doc_id long, held_out boolean, lang_pred string, score double", *[f"`{c}` {types[c]}" for c in keep]]))
+    return rows.mapInArrow(thrifty(run), ", ".join(["doc_id long, held_out boolean, lang_pred string, score double", *[f"`{c}` {types[c]}" for c in keep]]))

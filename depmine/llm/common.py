@@ -2,14 +2,44 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from depmine.sources.io import drop_path, fresh_path, materialize, stored
 
-__all__ = ["binary_list", "connected_components", "drop_path", "fold", "forest", "fresh_path", "materialize", "salted_join", "stored"]
+__all__ = ["binary_list", "connected_components", "drop_path", "fold", "forest", "fresh_path", "give_back", "materialize", "salted_join", "short_batches", "stored", "thrifty"]
+
+#: Most bytes of rows that Spark hands to a Python worker at once where short_batches() was called.
+BATCH_BYTES = 4 << 20
+
+
+def short_batches(spark: SparkSession) -> None:
+    """Set the session's limit on the bytes of an Arrow batch: 10,000 whole texts in one batch are held several times over, in the executor and in its Python worker."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+
+def give_back() -> None:
+    """Return freed memory to the system, which a process that waits for its next task would keep."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # only glibc has it
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def thrifty(run):
+    """run(batches), a function for mapInArrow, that gives memory back at the end of each task."""
+
+    def whole(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return whole
 
 
 def binary_list(column: pa.Array) -> list[bytes | None]:

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import binary_list, connected_components, forest, materialize, salted_join
+from .common import binary_list, connected_components, forest, materialize, salted_join, thrifty
 
 WIDTH = 64
 BUFFERED = 400_000
@@ -55,7 +55,7 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             fps = [fingerprint(t, shingle) for t in binary_list(b.column(1))]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.int64())], ["doc_id", "fp"])
 
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(thrifty(run), "doc_id long, fp long")
 
 
 def segment_plan(free: int, bits: int, segments: int) -> list[tuple[list[int], int]]:
@@ -107,7 +107,7 @@ def file_rows(df: DataFrame, bits: int, segments: int) -> DataFrame:
                 for arrays in file_keys(fps[own], parents[own], int(free), bits, segments):
                     yield pa.RecordBatch.from_arrays([pa.array(x) for x in arrays], ["key", "free", "fp"])
 
-    return df.mapInArrow(run, FILED)
+    return df.mapInArrow(thrifty(run), FILED)
 
 
 def spread(fps: np.ndarray, bits: int):
@@ -188,7 +188,7 @@ def links(fps: DataFrame, bits: int = 4, segments: int = 3, split_at: int = 20_0
         if held:
             yield flush()
 
-    return filed.repartition("key").sortWithinPartitions("key").mapInArrow(run, "a long, b long")
+    return filed.repartition("key").sortWithinPartitions("key").mapInArrow(thrifty(run), "a long, b long")
 
 
 def _closed(batches):

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import binary_list, materialize, salted_join
+from .common import binary_list, materialize, salted_join, thrifty
 
 #: Fixed seeds of weight 6.
 MASKS = ("111111", "1110111", "1101111", "1111011", "11011011", "11100111", "1101010011")
@@ -137,7 +137,7 @@ def posted(items: DataFrame, identity: float, least: int) -> DataFrame:
                 for _, at, hashes in item_seeds(np.frombuffer(words, np.uint64), identity, least):
                     yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64)), pa.array(np.full(len(at), no)), pa.array(at.astype(np.int32))], ["hash", "item_no", "at"])
 
-    return items.select("item_no", "item_words").mapInArrow(run, "hash long, item_no long, at int")
+    return items.select("item_no", "item_words").mapInArrow(thrifty(run), "hash long, item_no long, at int")
 
 
 def filter_of(hashes: DataFrame, n: int) -> Filter:
@@ -150,7 +150,7 @@ def filter_of(hashes: DataFrame, n: int) -> Filter:
         yield pa.RecordBatch.from_arrays([pa.array([own.table.tobytes()], pa.large_binary())], ["data"])
 
     whole = Filter(n)
-    for r in hashes.repartition(4).mapInArrow(run, "data binary").toLocalIterator():  # four rows of at most 64 MB
+    for r in hashes.repartition(4).mapInArrow(thrifty(run), "data binary").toLocalIterator():  # four rows of at most 64 MB
         whole.table |= np.frombuffer(r["data"], np.uint8)
     return whole
 
@@ -199,7 +199,7 @@ def possible_hits(rows: DataFrame, held, masks: list[str]) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(out, kinds)], ["doc_key", "doc_id", "k1", "k2", "doc_words", "hits"])
                 group, size = [], 0
 
-    return rows.mapInArrow(run, "doc_key long, doc_id long, k1 long, k2 long, doc_words binary, hits array<struct<hash: long, pos: int>>")
+    return rows.mapInArrow(thrifty(run), "doc_key long, doc_id long, k1 long, k2 long, doc_words binary, hits array<struct<hash: long, pos: int>>")
 
 
 def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str, text_col: str, item_id_col: str, item_text_col: str, identity: float, least: int) -> DataFrame:
@@ -211,7 +211,7 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str, text_col: str,
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([word_hashes(t).tobytes() for t in binary_list(b.column(2))], pa.binary())], ["item_no", "item_id", "item_words"])
 
     named = benchmark.select(F.monotonically_increasing_id().alias("item_no"), F.col(item_id_col).cast("long").alias("item_id"), F.col(item_text_col).alias("text")).where(F.col("text").isNotNull())
-    items = materialize(named.mapInArrow(hashed, "item_no long, item_id long, item_words binary").where(F.octet_length("item_words") > 0), "items")
+    items = materialize(named.mapInArrow(thrifty(hashed), "item_no long, item_id long, item_words binary").where(F.octet_length("item_words") > 0), "items")
     postings = materialize(posted(items, identity, least), "postings")
     n = postings.count()
     text = F.col(text_col)
@@ -245,7 +245,7 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, id_col: str, text_col: str,
                 at = pa.array(out[1], pa.int64())
                 yield pa.RecordBatch.from_arrays([*kept.columns[:6], pa.compute.add(kept.column(6), at), pa.compute.add(kept.column(7), at), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int64())], ["doc_key", "item_no", "doc_id", "item_id", "k1", "k2", "doc_start", "item_start", "n_tokens", "n_equal"])
 
-    regions = slices.mapInArrow(verified, f"doc_key long, item_no long, doc_id long, item_id long, k1 long, k2 long, {', '.join(FOUND.split(', ')[2:])}")
+    regions = slices.mapInArrow(thrifty(verified), f"doc_key long, item_no long, doc_id long, item_id long, k1 long, k2 long, {', '.join(FOUND.split(', ')[2:])}")
     best = F.struct("n_tokens", "n_equal", -F.col("doc_start"), "doc_id", "item_id", "k1", "k2", "doc_start", "item_start")
     longest = regions.groupBy("doc_key", "item_no").agg(F.max(best).alias("b"))
     return longest.select(*[f"b.{c.split()[0]}" for c in FOUND.split(", ")], "b.k1", "b.k2")

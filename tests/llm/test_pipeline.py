@@ -1,11 +1,13 @@
 """The pipeline's stages, each held against what its own input should keep."""
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers
 import tiktoken
 
 import corpus_pipeline
 from depmine.llm import bpe_dp
+from depmine.llm.common import BATCH_BYTES, thrifty
 from test_near_copies import slow_classes, word_sets
 from test_text_ops import slow_base
 
@@ -65,3 +67,18 @@ def test_empty_documents(spark, small):
     for _, stage in corpus_pipeline.STAGES:
         frame = stage(spark, frame, small)
     assert frame.count() == 0
+
+
+def test_no_stage_moves_many_whole_texts_at_once(spark):
+    """Batches of 10,000 whole texts took an executor over its memory; every stage with Python workers bounds their bytes."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    texts = spark.range(200, numPartitions=1).selectExpr("id as doc_id", "repeat(concat('word', id, ' '), 12500) as text", "'en' as lang", "cast(null as string) as source", "100000L as n_chars")
+    before = spark.conf.get(name)
+    try:
+        for _, stage in (s for s in corpus_pipeline.STAGES if s[0] in ("near_duplicates", "tokens")):
+            spark.conf.set(name, str(64 << 20))
+            stage(spark, texts, "")
+            largest = texts.mapInArrow(thrifty(lambda batches: (pa.RecordBatch.from_arrays([pa.array([b.nbytes])], ["n"]) for b in batches)), "n long").agg({"n": "max"}).first()[0]
+            assert 0 < largest <= 2 * BATCH_BYTES
+    finally:
+        spark.conf.set(name, before)
