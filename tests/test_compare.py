@@ -3,8 +3,8 @@ import time
 import duckdb
 import pytest
 
-from depmine.operators import compare, evidence
-from depmine.plans import pairs, planner, workloads
+from depmine.operators import compare, distribute, evidence, predicates
+from depmine.plans import dc, pairs, planner, workloads
 from depmine.queries import QUERIES, SQL
 
 
@@ -64,3 +64,36 @@ def test_reports_with_sql_end_at_any_size(spark, tiny, report, monkeypatch):
     monkeypatch.setitem(workloads.LIMITS, "max_pairs", 10)
     assert {r["status"] for r in report(spark, tiny, {"limits": workloads.WHOLE}).collect()} == {"done"}
     assert planner.discover(spark.read.parquet(f"{tiny}/part.parquet"), method="pair", max_pairs=10).status == "memory limit"
+
+
+def test_slots_of_two_attributes_equal_pairs_as_rows(spark):
+    """Whole numbers against doubles with null, NaN and -0.0, across rows and within one, and texts of two attributes."""
+    rows = [(i, None if i % 5 == 0 else i % 7, None if i % 6 == 0 else float("nan") if i % 6 == 1 else [0.0, -0.0, 1.5, 3.0][i % 4], "abc"[i % 3], None if i % 4 == 0 else "bcd"[i % 3]) for i in range(120)]
+    df = spark.createDataFrame(rows, "a long, b int, c double, d string, e string")
+    bare, _, n = pairs.compacted(df, df.columns)
+    space = predicates.space_of(df, df.columns, cross=True, single=True, overlap=0.0)
+    form = compare.SlotForm(space.slots, len(df.columns))
+    assert form.fits(bare) and len(space.slots) == 21
+    got = evidence.masks(compare.triangle(bare, n, 6, pairs.ORDER, form))
+    expected = evidence.masks(evidence.histogram(distribute.triangle(bare, 6, pairs.ORDER), space.codes()))
+
+    def unordered(seen):
+        out = {}
+        for c, m in seen.items():
+            key = min(c, space.mirrored(c))
+            out[key] = out.get(key, 0) + m
+        return out
+
+    assert unordered(got) == unordered(expected) and sum(got.values()) == n * (n - 1) // 2
+
+
+def test_hybrid_of_few_pairs_compares_them_once(spark, monkeypatch):
+    """Violations of a wide space come from one comparison of all pairs, not from joins by candidate."""
+    df = spark.createDataFrame([(i, i * 7 % 40, float(i % 9)) for i in range(300)], "a int, b int, c double")
+    calls = []
+    triangle = compare.triangle
+    monkeypatch.setattr(compare, "triangle", lambda *a: calls.append(1) or triangle(*a))
+    wide = dict(cross=True, single=True, overlap=0.0, max_predicates=3)
+    hybrid = planner.denial_constraints(df, df.columns, "hybrid", **wide).collect()
+    assert len(calls) == 1
+    assert hybrid == planner.denial_constraints(df, df.columns, "pair", **wide).collect() and hybrid
