@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from depmine.operators import partition
-from depmine.plans import planner
+from depmine.plans import lattice, planner
 from depmine.queries import ATTRS, ODD, QUERIES, SQL, odd_values
 
 
@@ -76,3 +76,16 @@ def test_hybrid_refuses_before_it_samples(spark, tiny, monkeypatch):
     monkeypatch.setattr(partition, "BroadcastCodes", refuse)
     monkeypatch.setattr(pairs, "compacted", lambda *a, **o: pytest.fail("rows were prepared"))
     assert planner.discover(spark.read.parquet(f"{tiny}/orders.parquet").select(*ATTRS["orders"]), method="hybrid", memory="resident").status == "memory limit"
+
+
+def test_stored_codes_count_like_grouping_sets(spark):
+    """The resident reuse plan keeps a set's classes as one value: nulls, NaN, -0.0, repeated rows, a constant; and no rows at all."""
+    rows = [(i % 6, None if i % 5 == 0 else float("nan") if i % 5 == 1 else [0.0, -0.0, 1.5][i % 3], None if i % 4 == 0 else "abc"[i % 3], 1, i // 2, i % 7) for i in range(150)]
+    df = spark.createDataFrame(rows, "a int, b double, c string, d int, e long, f long").repartition(3)
+    held = lattice.StoredCodes(df, df.columns, 4)
+    for size in (1, 2, 3):
+        masks = [x for x in range(1, 1 << 6) if x.bit_count() == size]
+        assert held.counts(masks) == partition.counts_by_grouping_sets(df, df.columns, masks)
+    none = df.where("a < 0")
+    counts, _ = lattice.counter_for(none, none.columns, "reuse", "resident", 4)
+    assert counts([1, 2]) == {1: 0, 2: 0}
