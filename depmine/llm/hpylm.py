@@ -50,6 +50,8 @@ NAMES = [c.split()[0] for c in ROWS.split(", ")]
 #: Discounts and strengths of context restaurants and of the root.
 DISCOUNT, STRENGTH, ROOT_DISCOUNT, ROOT_STRENGTH = 0.8, 1.0, 0.5, 1.0
 EXACT = 64
+#: Up to so many customers the weights of all numbers of tables fit in double precision without logarithms.
+PLAIN = 16
 
 
 def pack(*arrays) -> bytes:
@@ -150,10 +152,12 @@ def likely_tables(c: np.ndarray, first: np.ndarray, more: np.ndarray, discount:
 
 
 def few_tables(c: np.ndarray, first: np.ndarray, more: np.ndarray, discount: float, rng, most: int = 48) -> np.ndarray:
-    """Draws where few tables are likely: the law of 1 to `most` tables from these ratios."""
-    t = np.arange(1, most)[None, :] + np.zeros((len(c), 1))
-    s = bisected(t.shape, lambda s: saddle(s, c[:, None], discount)[0] < t)
-    ratio = np.log(first[:, None] + more[:, None] * t) + saddle(s, c[:, None], discount)[1] - np.log(t)
+    """Draws where few tables are likely: the law of 1 to `most` tables from these ratios. Saddle points depend on the customers alone, so each number of customers finds them once."""
+    own, which = np.unique(c, return_inverse=True)
+    t = np.arange(1, most)[None, :] + np.zeros((len(own), 1))
+    s = bisected(t.shape, lambda s: saddle(s, own[:, None], discount)[0] < t)
+    fixed = saddle(s, own[:, None], discount)[1] - np.log(t)
+    ratio = np.log(first[:, None] + more[:, None] * t[:1]) + fixed[which]
     weight = np.concatenate([np.zeros((len(c), 1)), ratio.cumsum(axis=1)], axis=1)
     weight = np.exp(weight - weight.max(axis=1, keepdims=True)).cumsum(axis=1)
     return 1 + (weight < (rng.random(len(c)) * weight[:, -1])[:, None]).sum(axis=1)
@@ -174,8 +178,13 @@ class Tables:
             rows = order[cut[c - 2] : cut[c - 1]]
             for at in range(0, len(rows), max(1, piece // c)):
                 own = rows[at : at + max(1, piece // c)]
-                weight = np.log(first[own][:, None] + more[own][:, None] * np.arange(c)).cumsum(axis=1) + self.logs[c, 1 : c + 1]
-                weight = np.exp(weight - weight.max(axis=1, keepdims=True)).cumsum(axis=1)
+                if c <= PLAIN:  # weights relative to one table
+                    weight = np.ones((len(own), c))
+                    np.multiply(first[own][:, None] + more[own][:, None] * np.arange(1, c), np.exp(np.diff(self.logs[c, 1 : c + 1])), out=weight[:, 1:])
+                    weight = weight.cumprod(axis=1).cumsum(axis=1)
+                else:
+                    weight = np.log(first[own][:, None] + more[own][:, None] * np.arange(c)).cumsum(axis=1) + self.logs[c, 1 : c + 1]
+                    weight = np.exp(weight - weight.max(axis=1, keepdims=True)).cumsum(axis=1)
                 out[own] = 1 + (weight < (rng.random(len(own)) * weight[:, -1])[:, None]).sum(axis=1)
         rows = order[cut[-1] :]
         if len(rows):

@@ -526,3 +526,17 @@ def test_a_text_learned_once_is_told_from_a_new_one(spark):
     frame = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r["doc_id"]: r["perplexity"] for r in hpylm.score(frame).collect()}
     assert max(got[i] for i in twins) < 0.5 * min(got[i] for i in single)
+
+
+def test_saddle_points_are_found_once_for_each_number_of_customers(monkeypatch):
+    """Many dishes with few numbers of customers: the costly part depends on these numbers alone."""
+    c = np.repeat([70.0, 90.0], 500)
+    first, more = np.linspace(0.001, 0.01, 1000), np.full(1000, 0.0008)
+    singly = [hpylm.few_tables(c[i : i + 1], first[i : i + 1], more[i : i + 1], 0.8, np.random.default_rng(i))[0] for i in (0, 499, 999)]
+    sizes, saddle = [], hpylm.saddle
+    monkeypatch.setattr(hpylm, "saddle", lambda s, *more: (sizes.append(len(s)), saddle(s, *more))[1])
+    drawn = hpylm.few_tables(c, first, more, 0.8, np.random.default_rng(0))
+    assert max(sizes) == 2 and drawn[0] == singly[0] and drawn.min() >= 1
+    weights = hpylm.Tables(0.8).draw(np.full(20_000, 9), np.full(20_000, 1e-3), np.full(20_000, 8e-4), np.random.default_rng(1))
+    exact = np.exp(hpylm.log_stirling(0.8, 9)[9, 1:] + np.log(1e-3 + 8e-4 * np.arange(9)).cumsum())
+    assert np.abs(np.bincount(weights, minlength=10)[1:] / 20_000 - exact / exact.sum()).max() < 0.02
