@@ -97,3 +97,28 @@ def test_hybrid_of_few_pairs_compares_them_once(spark, monkeypatch):
     hybrid = planner.denial_constraints(df, df.columns, "hybrid", **wide).collect()
     assert len(calls) == 1
     assert hybrid == planner.denial_constraints(df, df.columns, "pair", **wide).collect() and hybrid
+
+
+@pytest.mark.parametrize("plan,memory", [("rescan", "resident"), ("rescan", "spill"), ("reuse", "resident"), ("reuse", "spill")])
+def test_pairs_counted_by_classes_equal_pairs_as_rows(odd, plan, memory, monkeypatch):
+    """Nulls, NaN and -0.0 in cells of one and of two blocks, none of whose pairs is compared."""
+    rows, _, n = odd
+    monkeypatch.setattr(compare, "CLASS_SIDE", 50)
+    monkeypatch.setattr(compare, "CLASS_BLOCK", 40)
+    monkeypatch.setattr(compare, "SHORT", 1)
+    monkeypatch.setattr(compare, "many", lambda pairs, rows, form: form.by_classes)
+    want = evidence.histogram(pairs.pairs_of(rows, list("abcd"), plan, memory, 8), evidence.differs(list("abcd")))
+    assert histogram(pairs.evidence_of(rows, n, list("abcd"), plan, memory, 8)) == histogram(want)
+
+
+@pytest.mark.parametrize("memory", ["resident", "spill"])
+def test_tens_of_billions_of_pairs_are_counted_in_a_minute(spark, memory):
+    """One by one they took several minutes."""
+    df = spark.range(300_000).selectExpr("id", "id % 1000 as a", "id % 7 as b", "cast(id % 13 as string) as c", "id * 37 % 20011 as e")
+    rows, _, n = pairs.compacted(df, df.columns)
+    at = time.time()
+    found = histogram(pairs.evidence_of(rows, n, df.columns, "rescan", memory, 8))
+    assert sum(found.values()) == n * (n - 1) // 2 and time.time() - at < 60
+    for a, bit in (("a", 2), ("b", 4), ("c", 8), ("e", 16)):
+        agreeing = df.groupBy(a).count().selectExpr("sum(count * (count - 1) div 2)").first()[0]
+        assert sum(m for e, m in found.items() if not e & bit) == agreeing
